@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairlens.llm import html_extract, packing, token_counts, url_filter, warc
+from pairlens.llm import html_extract, minhash_dedup, packing, quality_rules, token_counts, url_filter, warc
 from pairlens.llm.shared import Scratch, ship, table
 
 #: Folder of the tokenizers' files, unless a caller gives another path.
@@ -67,8 +67,19 @@ def op8_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_extract.extract(table(spark, sf_dir, "pages"))
 
 
+def op3_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship(spark)
+    return minhash_dedup.near_duplicates(table(spark, sf_dir, "documents"), shingle=4)
+
+
+def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    rules = quality_rules.learn(docs, table(spark, sf_dir, "labels"))
+    return quality_rules.judge(docs, rules)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op2_url_filters, op4_token_counts, op6_best_fit_packing, op7_warc, op8_html_extraction)
+    own = (op2_url_filters, op3_minhash_near_dedup, op4_token_counts, op6_best_fit_packing, op7_warc, op8_html_extraction, op10_quality_rules)
     return {f.__name__: f for f in own}
 
 
