@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairlens.llm import html_extract, minhash_dedup, packing, quality_rules, token_counts, url_filter, warc
+from pairlens.llm import decontaminate, html_extract, minhash_dedup, packing, quality_rules, token_counts, url_filter, warc
 from pairlens.llm.shared import Scratch, ship, table
 
 #: Folder of the tokenizers' files, unless a caller gives another path.
@@ -42,6 +42,10 @@ def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), tokenizer("piece_bpe_32k.model"))
 
 
+def op5_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op6_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship(spark)
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer("byte_bpe_50k.json"))
@@ -79,7 +83,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op2_url_filters, op3_minhash_near_dedup, op4_token_counts, op6_best_fit_packing, op7_warc, op8_html_extraction, op10_quality_rules)
+    own = (op2_url_filters, op3_minhash_near_dedup, op4_token_counts, op5_benchmark_decontamination, op6_best_fit_packing, op7_warc, op8_html_extraction, op10_quality_rules)
     return {f.__name__: f for f in own}
 
 
