@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairlens.llm import decontaminate, html_extract, minhash_dedup, packing, quality_rules, token_counts, url_filter, warc
+from pairlens.llm import decontaminate, html_extract, minhash_dedup, packing, quality_rules, suffix_dedup, token_counts, url_filter, warc
 from pairlens.llm.shared import Scratch, ship, table
 
 #: Folder of the tokenizers' files, unless a caller gives another path.
@@ -76,6 +76,11 @@ def op3_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash_dedup.near_duplicates(table(spark, sf_dir, "documents"), shingle=4)
 
 
+def op9_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship(spark)
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     rules = quality_rules.learn(docs, table(spark, sf_dir, "labels"))
@@ -83,7 +88,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op2_url_filters, op3_minhash_near_dedup, op4_token_counts, op5_benchmark_decontamination, op6_best_fit_packing, op7_warc, op8_html_extraction, op10_quality_rules)
+    own = (op2_url_filters, op3_minhash_near_dedup, op4_token_counts, op5_benchmark_decontamination, op6_best_fit_packing, op7_warc, op8_html_extraction, op9_suffix_array_dedup, op10_quality_rules)
     return {f.__name__: f for f in own}
 
 

@@ -39,6 +39,8 @@ class Scratch:
         return f"{self.base}/{tag}"
 
     def keep(self, df: DataFrame, tag: str) -> DataFrame:
+        # shuffle files of a table that is written can go at once (a setting of the running session)
+        self.spark.conf.set("spark.sql.classic.shuffleDependency.fileCleanup.enabled", "true")
         df.write.mode("overwrite").parquet(self.path(tag))
         return self.spark.read.schema(df.schema).parquet(self.path(tag))
 
