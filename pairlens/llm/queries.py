@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairlens.llm import decontaminate, html_extract, minhash_dedup, packing, quality_rules, suffix_dedup, token_counts, url_filter, warc
+from pairlens.llm import decontaminate, html_extract, minhash_dedup, packing, quality_rules, substring_dedup, suffix_dedup, token_counts, url_filter, warc
 from pairlens.llm.shared import Scratch, ship, table
 
 #: Folder of the tokenizers' files, unless a caller gives another path.
@@ -23,6 +23,11 @@ def tokenizer(name: str) -> str:
     return str(public_tokenizers.path(name))
 
 
+def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship(spark)
+    return substring_dedup.repeated_passages(table(spark, sf_dir, "documents"))
+
+
 def op2_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(table(spark, sf_dir, "pages"), RULES)
 
@@ -88,7 +93,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op2_url_filters, op3_minhash_near_dedup, op4_token_counts, op5_benchmark_decontamination, op6_best_fit_packing, op7_warc, op8_html_extraction, op9_suffix_array_dedup, op10_quality_rules)
+    own = (op1_substring_dedup, op2_url_filters, op3_minhash_near_dedup, op4_token_counts, op5_benchmark_decontamination, op6_best_fit_packing, op7_warc, op8_html_extraction, op9_suffix_array_dedup, op10_quality_rules)
     return {f.__name__: f for f in own}
 
 

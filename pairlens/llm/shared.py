@@ -49,9 +49,15 @@ class Scratch:
         path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+#: Rows and bytes of the batches that Python workers get: long texts must not add up in a worker's memory.
+BATCH_ROWS, BATCH_BYTES = 2_000, 8 << 20
+
+
 def ship(spark: SparkSession) -> None:
-    """Gives executors this package, unless their PYTHONPATH has it already."""
+    """Gives executors this package, unless their PYTHONPATH has it already, and keeps Arrow batches small (running settings)."""
     sc = spark.sparkContext
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)
     if str(ROOT) in os.environ.get("PYTHONPATH", "").split(":") or getattr(sc, "_pairlens_shipped", False):
         return
     out = Path(tempfile.mkdtemp(prefix="pairlens-zip-")) / "pairlens.zip"
