@@ -21,38 +21,38 @@ CUTS = 24
 
 
 def text_stats(docs: DataFrame, text: str = "text") -> DataFrame:
-    """docs with n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words (long) and what further features need, in
-    a struct named stats. A null text counts as empty. Everything is worked out inside the row: nothing is shuffled.
+    """docs with columns q_n_words, q_word_chars, q_n_symbols, q_n_dup_lines, q_n_repeat_words (long) and what further
+    features need; docs itself must have no column that starts with q_. A null text counts as empty. Everything is
+    worked out inside the row: nothing is shuffled.
 
     Words that stand in a repeated 5-word window are found by 64-bit hashes of the windows: only a text whose hashes
-    are not all distinct sorts them, with their places, and looks at neighbours.
+    are not all distinct sorts them, with their places, and looks at neighbours. Arrays stay columns of their own that
+    the next step uses several times, so that the optimizer doesn't move their making into a lambda.
     """
+    held, q = docs.columns, F.col
     t = F.coalesce(F.col(text), F.lit(""))
-    one = docs.withColumn("stats", F.struct(t.alias("t"), F.filter(F.split(t, BLANKS), lambda w: w != "").alias("words"), F.filter(F.split(t, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("lines")))
-    s = lambda c: F.col(f"stats.{c}")
-    two = one.withColumn(
-        "stats",
-        F.struct(
-            F.size(s("words")).cast("bigint").alias("n_words"), F.length(F.array_join(s("words"), "")).cast("bigint").alias("word_chars"),
-            F.length(F.regexp_replace(s("t"), r"[^#*$%&|<>]+", "")).cast("bigint").alias("n_symbols"), F.size(s("lines")).cast("bigint").alias("n_lines"),
-            (F.size(s("lines")) - F.size(F.array_distinct(s("lines")))).cast("bigint").alias("n_dup_lines"),
-            F.length(F.regexp_replace(s("t"), r"[^A-Z]+", "")).cast("bigint").alias("n_upper"), F.length(F.regexp_replace(s("t"), r"[^!?]+", "")).cast("bigint").alias("n_marks"),
-            F.transform(s("words"), lambda w: F.xxhash64(w)).alias("h"),
-        ),
+    one = docs.select(*held, t.alias("q_t"), F.filter(F.split(t, BLANKS), lambda w: w != "").alias("q_words"), F.filter(F.split(t, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("q_lines"))
+    two = one.select(
+        *held, F.size("q_words").cast("bigint").alias("q_n_words"), F.length(F.array_join("q_words", "")).cast("bigint").alias("q_word_chars"),
+        F.length(F.regexp_replace("q_t", r"[^#*$%&|<>]+", "")).cast("bigint").alias("q_n_symbols"), F.size("q_lines").cast("bigint").alias("q_n_lines"),
+        (F.size("q_lines") - F.size(F.array_distinct("q_lines"))).cast("bigint").alias("q_n_dup_lines"),
+        F.length(F.regexp_replace("q_t", r"[^A-Z]+", "")).cast("bigint").alias("q_n_upper"), F.length(F.regexp_replace("q_t", r"[^!?]+", "")).cast("bigint").alias("q_n_marks"),
+        F.transform("q_words", lambda w: F.xxhash64(w)).alias("q_h"),
     )
-    windows = F.transform(F.sequence(F.lit(0), F.size(s("h")) - 5), lambda i: F.xxhash64(*(F.get(s("h"), i + j) for j in range(5))))
-    three = two.withColumn("stats", F.struct("stats.*", F.size(F.array_distinct(s("h"))).cast("bigint").alias("n_distinct"), F.when(F.size(s("h")) >= 5, windows).otherwise(F.array().cast("array<bigint>")).alias("w")))
-    torn = F.size(F.array_distinct(s("w"))) < F.size(s("w"))
-    four = three.withColumn("stats", F.struct("stats.*", F.when(torn, F.array_sort(F.transform(s("w"), lambda h, i: F.struct(h.alias("h"), i.alias("i"))))).alias("z")))
-    twin = lambda x, i: F.coalesce(F.get(s("z.h"), i - 1) == x["h"], F.lit(False)) & (i > 0) | F.coalesce(F.get(s("z.h"), i + 1) == x["h"], F.lit(False))
-    five = four.withColumn("stats", F.struct("stats.*", F.array_sort(F.transform(F.filter(s("z"), twin), lambda x: x["i"])).alias("p")))
-    covered = F.aggregate(s("p"), F.struct(F.lit(0).cast("bigint").alias("n"), F.lit(-5).alias("last")), lambda a, p: F.struct((a["n"] + F.least(F.lit(5), p - a["last"])).alias("n"), p.alias("last")), lambda a: a["n"])
-    names = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_upper", "n_marks", "n_distinct")
-    return five.withColumn("stats", F.struct(*(s(n).alias(n) for n in names), F.coalesce(covered, F.lit(0).cast("bigint")).alias("n_repeat_words")))
+    names = ["q_n_words", "q_word_chars", "q_n_symbols", "q_n_lines", "q_n_dup_lines", "q_n_upper", "q_n_marks"]
+    windows = F.transform(F.sequence(F.lit(0), F.size("q_h") - 5), lambda i: F.xxhash64(*(F.get("q_h", i + j) for j in range(5))))
+    three = two.select(*held, *names, F.size(F.array_distinct("q_h")).cast("bigint").alias("q_n_distinct"), F.when(F.size("q_h") >= 5, windows).otherwise(F.array().cast("array<bigint>")).alias("q_w"))
+    names.append("q_n_distinct")
+    torn = F.size(F.array_distinct("q_w")) < F.size("q_w")
+    four = three.select(*held, *names, F.when(torn, F.sort_array(F.transform("q_w", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))).alias("q_z"))
+    twin = lambda x, i: ((i > 0) & (F.get("q_z", i - 1)["h"] == x["h"])) | F.coalesce(F.get("q_z", i + 1)["h"] == x["h"], F.lit(False))
+    places = F.sort_array(F.transform(F.filter("q_z", twin), lambda x: x["i"]))
+    covered = F.aggregate(places, F.struct(F.lit(0).cast("bigint").alias("n"), F.lit(-5).alias("last")), lambda a, p: F.struct((a["n"] + F.least(F.lit(5), p - a["last"])).alias("n"), p.alias("last")), lambda a: a["n"])
+    return four.select(*held, *map(q, names), F.coalesce(covered, F.lit(0).cast("bigint")).alias("q_n_repeat_words"))
 
 
 def features() -> dict[str, Column]:
-    s = lambda c: F.col(f"stats.{c}").cast("double")
+    s = lambda c: F.col(f"q_{c}").cast("double")
     share = lambda a, b: F.coalesce(F.try_divide(s(a), s(b)), F.lit(0.0))
     return {
         "n_words": s("n_words"), "mean_word": share("word_chars", "n_words"), "symbol_share": share("n_symbols", "word_chars"), "dup_line_share": share("n_dup_lines", "n_lines"),
@@ -62,7 +62,7 @@ def features() -> dict[str, Column]:
 
 def base_failed() -> Column:
     """Fixed limits that hold besides the learned list: under 10 words, or over a fifth of them in repeated windows."""
-    return (F.col("stats.n_words") < 10) | (100 * F.col("stats.n_repeat_words") > 20 * F.col("stats.n_words"))
+    return (F.col("q_n_words") < 10) | (100 * F.col("q_n_repeat_words") > 20 * F.col("q_n_words"))
 
 
 @dataclass(frozen=True)
@@ -186,6 +186,12 @@ def judge(docs: DataFrame, rules: DecisionList, text: str = "text", key: str = "
     """docs' key, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, rule (number of the learned
     rule that rejects, else null), kept. Row by row; repeated rows and null keys are judged like others."""
     stats = text_stats(docs.select(F.col(key).alias("key"), F.col(text).alias("text")))
-    # references in two places keep the optimizer from working the statistics out once per use
-    out = stats.select("key", *(f"stats.{n}" for n in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")), base_failed().alias("base_failed"), rules.column().alias("rule"))
+    out = stats.select("key", *(F.col(f"q_{n}").alias(n) for n in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")), base_failed().alias("base_failed"), rules.column().alias("rule"))
     return out.withColumn("kept", ~F.col("base_failed") & F.col("rule").isNull()).withColumnRenamed("key", key)
+
+
+def keep_good(docs: DataFrame, rules: DecisionList, text: str = "text") -> DataFrame:
+    """The rows of docs, with all their columns, that neither the fixed limits nor a learned rule reject."""
+    packed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col(text).alias("text"))
+    out = text_stats(packed).select("row", base_failed().alias("failed"), rules.column().alias("rule")).where(~F.col("failed") & F.col("rule").isNull())
+    return out.select("row.*")
