@@ -7,8 +7,9 @@ Steps, each on columns as narrow as they can be:
 3. In each bucket of a band every document is paired with the bucket's least one: as many pairs as members, not their
    square. Sizes, then signatures rule out most false pairs; the rest are confirmed on full sets.
 4. A star can miss a link between two members that both differ from the least one. So after the components are known,
-   in buckets that still hold several components each member outside the largest of them is compared with all members
-   of other components. Then every pair that shares a bucket is either in one component or compared.
+   in buckets that still hold several, members outside the largest meet a few of its members; and what is apart even
+   then is compared with all members of other components. Then every pair that shares a bucket is either in one
+   component or compared.
 5. Confirmed links become components.
 """
 
@@ -29,6 +30,8 @@ from pairlens.llm.textkernel import Words, chunks_of_bytes, mix
 BANDS, ROWS = 32, 4
 #: Signatures may fall short of the threshold by so many standard deviations before a pair is ruled out unseen.
 SLACK = 6.0
+#: Members of a bucket's main component that those outside it meet before they are compared with all.
+LEADERS = 4
 _rng = np.random.Generator(np.random.PCG64(97))
 MULTIPLY = _rng.integers(1, 2**63, BANDS * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 ADD = _rng.integers(0, 2**63, BANDS * ROWS, dtype=np.uint64)
@@ -152,36 +155,78 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, text:
     reps = s.keep(sk.join(classes.select(F.col("rep").alias("id")).distinct(), "id", "left_semi").where("n > 0").dropDuplicates(["id"]).select("id", "n", "bands", "sig"), "reps")
     members = reps.select("id", F.explode("bands").alias("bucket"))
     least = members.groupBy("bucket").agg(F.min("id").alias("a"), F.count(F.lit(1)).alias("m")).where("m > 1").select("bucket", "a")
-    star = members.join(least, "bucket").where("a < id").select("a", F.col("id").alias("b")).distinct()
+    shared = s.keep(members.join(least, "bucket").select("bucket", "a", "id"), "shared")  # the buckets with several members
+    asked = shared.select("id").distinct()
+    own = docs.select(key, text).join(asked.withColumnRenamed("id", key), key, "left_semi").dropDuplicates([key])
+    sets = s.keep(full_sets(own, shingle, text, key), "sets")
+    small = reps.select("id", "n", "sig")
 
     def screen(pairs: DataFrame) -> DataFrame:
         """By size, then by signature."""
-        one = pairs.join(reps.select(F.col("id").alias("b"), F.col("n").alias("n_b"), F.col("sig").alias("sig_b")), "b")
-        two = one.join(reps.select(F.col("id").alias("a"), F.col("n").alias("n_a"), F.col("sig").alias("sig_a")), "a")
+        one = pairs.join(small.select(F.col("id").alias("b"), F.col("n").alias("n_b"), F.col("sig").alias("sig_b")), "b")
+        two = one.join(small.select(F.col("id").alias("a"), F.col("n").alias("n_a"), F.col("sig").alias("sig_a")), "a")
         return alike(two.where(100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b")), percent)
 
     def confirm(pairs: DataFrame, tag: str) -> DataFrame:
-        pairs = s.keep(screen(pairs), f"{tag}-pairs")
-        asked = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-        own = docs.select(key, text).join(asked.withColumnRenamed("id", key), key, "left_semi").dropDuplicates([key])
-        sets = s.keep(full_sets(own, shingle, text, key), f"{tag}-sets")
-        links = s.keep(confirmed(pairs, sets, percent), f"{tag}-links")
-        s.drop(f"{tag}-sets")
-        return links
-
-    links = confirm(star, "star")
-    parts = s.keep(components(links, s, "first"), "first")
-    # buckets that still hold several components
-    held = members.join(least, "bucket").join(parts.withColumnRenamed("node", "id"), "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
-    counts = held.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("m"))
-    torn = counts.groupBy("bucket").agg(F.max(F.struct("m", "component")).alias("top"), F.count(F.lit(1)).alias("k")).where("k > 1").select("bucket", F.col("top.component").alias("main"))
-    open_ = s.keep(held.join(torn, "bucket"), "open")
-    few = open_.where("component <> main").select("bucket", F.col("id").alias("x"), F.col("component").alias("cx"))
-    rest = few.join(open_.select("bucket", "id", "component"), "bucket").where("cx <> component")
-    rest = rest.select(F.least("x", "id").alias("a"), F.greatest("x", "id").alias("b")).distinct()
-    more = confirm(rest.join(s.keep(star, "star"), ["a", "b"], "left_anti"), "rest")
-    final = components(links.unionByName(more), s, "all")
+        return s.keep(confirmed(s.keep(pairs, f"{tag}-pairs"), sets, percent), f"{tag}-links")
+
+    def torn(links: DataFrame, tag: str) -> DataFrame:
+        """bucket, id, component, main of the buckets that still hold several components; main is the largest's."""
+        parts = s.keep(components(links, s, f"{tag}-cc"), f"{tag}-parts")
+        held = shared.select("bucket", "id").join(parts.withColumnRenamed("node", "id"), "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
+        counts = held.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("m"))
+        main = counts.groupBy("bucket").agg(F.max(F.struct("m", "component")).alias("top"), F.count(F.lit(1)).alias("k")).where("k > 1").select("bucket", F.col("top.component").alias("main"))
+        return s.keep(held.join(main, "bucket"), f"{tag}-torn")
+
+    links = confirm(screen(shared.where("a < id").select("a", F.col("id").alias("b")).distinct()), "star")
+    # members that the least one doesn't reach meet some others of the main component, as many for each
+    open_ = torn(links, "first")
+    others = open_.where("component = main").groupBy("bucket").agg(*(F.min_by("id", F.xxhash64("id", F.lit(i))).alias(f"o{i}") for i in range(LEADERS)))
+    more = open_.where("component <> main").join(others, "bucket").select("id", F.explode(F.array(*(f"o{i}" for i in range(LEADERS)))).alias("o"))
+    links = s.keep(links.unionByName(confirm(screen(more.select(F.least("id", "o").alias("a"), F.greatest("id", "o").alias("b")).distinct()), "more")), "links")
+    # what is still apart is compared with all members of other components, in blocks
+    open_ = torn(links, "second").select("bucket", "id", "component", (F.col("component") == F.col("main")).alias("main")).join(small, "id")
+    links = links.unionByName(confirm(_apart(open_, percent).distinct(), "rest"))
+    final = components(links, s, "all")
     out = sk.join(classes, ["f1", "f2", "n"], "left").select("id", "n", "rep")
     out = out.join(final.select(F.col("node").alias("rep"), "component"), "rep", "left")
     group = F.coalesce("component", "rep", "id")
     return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), group.alias("component_id"), group.eqNullSafe(F.col("id")).alias("kept"))
+
+
+def _apart(open_: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of a bucket's members outside its main component with all members of other components, screened by
+    size and signature. Rows come sorted with those outside first; these are the query set of the bucket, against which
+    its rows pass in batches, so no pair is made that the screen rules out."""
+    size, t = BANDS * ROWS, percent / 100
+    least = size * t - SLACK * (size * t * (1 - t)) ** 0.5
+    kind = open_.schema["id"].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bucket, asked = None, []
+        for batch in batches:
+            buckets, main = batch.column(0).to_numpy(), batch.column(3).to_numpy(zero_copy_only=False)
+            ids, comp, n = (batch.column(i).to_numpy() for i in (1, 2, 4))
+            sig = np.frombuffer(b"".join(batch.column(5).to_pylist()), np.uint8).reshape(-1, size)
+            edges = [0, *(np.flatnonzero(buckets[1:] != buckets[:-1]) + 1).tolist(), len(buckets)]
+            found: list[np.ndarray] = []
+            for lo, hi in zip(edges[:-1], edges[1:], strict=True):
+                if lo == hi:
+                    continue
+                if buckets[lo] != bucket:
+                    bucket, asked = buckets[lo], []
+                for i in range(lo, hi):
+                    if not main[i]:
+                        asked.append((ids[i], comp[i], n[i], sig[i].copy()))
+                for x, c, m, g in asked:
+                    ok = (comp[lo:hi] != c) & (100 * np.minimum(n[lo:hi], m) >= percent * np.maximum(n[lo:hi], m))
+                    at = np.flatnonzero(ok)
+                    at = at[(sig[lo:hi][at] == g).sum(1) >= least]
+                    if len(at):
+                        y = ids[lo:hi][at]
+                        found.append(np.stack([np.minimum(x, y), np.maximum(x, y)]))
+            both = np.unique(np.concatenate(found, 1), axis=1) if found else np.zeros((2, 0), ids.dtype)
+            yield pa.RecordBatch.from_arrays([pa.array(both[0], batch.column(1).type), pa.array(both[1], batch.column(1).type)], names=["a", "b"])
+
+    rows = open_.repartition("bucket").sortWithinPartitions("bucket", "main")
+    return rows.select("bucket", "id", "component", "main", "n", "sig").mapInArrow(run, f"a {kind}, b {kind}")
