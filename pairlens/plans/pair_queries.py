@@ -246,7 +246,7 @@ add("funnels_all", W.funnels)
 add("funnels_german", lambda s, d: W.funnels(s, d, "de", ("headline_body", "lead_inclusive", "mixed_news")))
 add("label_agreement", W.label_agreement, LABEL1 + " SELECT verdict, count(*) FILTER (WHERE quality = 0) AS bad, count(*) FILTER (WHERE quality = 1) AS good FROM labelled JOIN labels ON doc_id = pair_id GROUP BY verdict")
 _nov = lambda n: f"CASE WHEN len(t) >= {n} THEN list_transform(range(1, len(t) - {n - 2}), lambda i: array_to_string(t[i:i + {n - 1}], ' ')) ELSE []::VARCHAR[] END"
-add("novel_ngrams", m1(lambda p: p.select("pair_id", *(c.alias(n) for n, c in R.novelty(ref(), summ(), 2).items()))), f"WITH {M1}, z AS (SELECT pair_id, list_distinct((SELECT {_nov(2)} FROM (SELECT {toks('summary')} AS t))) AS a, (SELECT {_nov(2)} FROM (SELECT {toks('reference')} AS t)) AS b FROM m1), y AS (SELECT pair_id, len(a) AS n_grams, len(list_filter(a, lambda x: NOT list_contains(b, x))) AS n_novel FROM z) SELECT *, round(n_novel / nullif(n_grams, 0)::DOUBLE, 6) AS novel_share FROM y")
+add("novel_ngrams", m1(lambda p: p.select("pair_id", *(c.alias(n) for n, c in R.novelty(ref(), summ(), 2).items()))), f"WITH {M1}, z AS (SELECT pair_id, list_distinct((SELECT {_nov(2)} FROM (SELECT {toks('summary')} AS t))) AS a, (SELECT {_nov(2)} FROM (SELECT {toks('reference')} AS t)) AS b FROM m1), y AS (SELECT pair_id, len(a) AS n_grams, len(a) - len(list_intersect(a, b)) AS n_novel FROM z) SELECT *, round(n_novel / nullif(n_grams, 0)::DOUBLE, 6) AS novel_share FROM y")
 add("prefix_copy", m1(lambda p: Y.prefix_copier(p).select("pair_id", R.prefix_copy(ref(), F.col("output")).alias("share"))))
 add("copied_output", m1(lambda p: Y.prefix_copier(p).select("pair_id", C.fully_extractive(ref(), F.col("output"), "token_run").alias("copied"))))
 add("repetition", m1(lambda p: Y.looper(p).select("pair_id", R.repetition(F.col("output")).alias("share"))), f"WITH {M1}, z AS (SELECT pair_id, (SELECT {_nov(3)} FROM (SELECT {toks('o')} AS t FROM (SELECT array_to_string(flatten([({WORDS.format(c='reference')})[1:3] for i in range(16)]), ' ') AS o))) AS g FROM m1) SELECT pair_id, round(coalesce(1 - len(list_distinct(g)) / nullif(len(g), 0)::DOUBLE, 0), 6) AS share FROM z")
