@@ -252,17 +252,27 @@ def _gram_lists(texts: DataFrame, n: int, k: int, ranges: int) -> DataFrame:
                     rows.append((j, h[a:b].tobytes(), who.astype("<u2" if len(used) < 65536 else "<u4").tobytes(), own[used].tobytes()))
             yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in rows], pa.int32()), *(pa.array([x[i] for x in rows], pa.binary()) for i in (1, 2, 3))], names=["r", "h", "who", "fps"])
 
-    def back(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hs, cs, prints, at = [], [], [], 0
+    def by_range(batches: Iterator[pa.RecordBatch], solve) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by range: one range is held at a time."""
+        r, held = None, []
         for batch in batches:
-            for h, who, fps in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
-                h = np.frombuffer(h, np.uint64)
-                hs.append(h)
-                cs.append(np.frombuffer(who, "<u2" if len(who) == 2 * len(h) else "<u4").astype(np.int64) + at)
-                prints.append(np.frombuffer(fps, np.uint64).reshape(-1, 2))
-                at += len(prints[-1])
-        if not hs:
-            return
+            for row in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+                if row[0] != r and held:
+                    yield from solve(held)
+                    held = []
+                r = row[0]
+                held.append(row[1:])
+        if held:
+            yield from solve(held)
+
+    def back(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+        hs, cs, prints, at = [], [], [], 0
+        for h, who, fps in rows:
+            h = np.frombuffer(h, np.uint64)
+            hs.append(h)
+            cs.append(np.frombuffer(who, "<u2" if len(who) == 2 * len(h) else "<u4").astype(np.int64) + at)
+            prints.append(np.frombuffer(fps, np.uint64).reshape(-1, 2))
+            at += len(prints[-1])
         h, c, fp = np.concatenate(hs), np.concatenate(cs), np.concatenate(prints)
         del hs, cs, prints
         _, back_to, c64 = np.unique(fp[:, 0], return_index=True, return_inverse=True)
@@ -273,16 +283,35 @@ def _gram_lists(texts: DataFrame, n: int, k: int, ranges: int) -> DataFrame:
         many = np.minimum.reduceat(c, head) != np.maximum.reduceat(c, head)
         want = np.repeat(many, np.diff(np.concatenate([head, [len(h)]])))
         h, c = h[want], c[want]
+        # one row for each range of fingerprints: the texts' answers travel packed
         order = np.argsort(c, kind="stable")
         h, c = h[order], c[order]
         head = np.flatnonzero(np.concatenate([[True], c[1:] != c[:-1]])) if len(c) else np.zeros(0, np.int64)
-        ends = [*head[1:].tolist(), len(c)]
-        for lo in range(0, len(head), 20_000):
-            part = list(zip(head[lo : lo + 20_000].tolist(), ends[lo : lo + 20_000], strict=True))
-            yield pa.RecordBatch.from_arrays([pa.array([fp[back_to[c[a]]].tobytes() for a, _ in part], pa.binary()), pa.array([h[a:b].tobytes() for a, b in part], pa.binary())], names=["fp", "hashes"])
+        count, own = np.diff(np.concatenate([head, [len(c)]])), fp[back_to[c[head]]]
+        to = (own[:, 0] >> np.uint64(32)) * np.uint64(ranges) >> np.uint64(32)
+        cut, place = np.searchsorted(to, np.arange(ranges + 1).astype(np.uint64)), np.concatenate([head, [len(c)]])
+        rows = [(j, own[p:q].tobytes(), count[p:q].astype("<u4").tobytes(), h[place[p] : place[q]].tobytes()) for j, (p, q) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True)) if q > p]
+        yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in rows], pa.int32()), *(pa.array([x[i] for x in rows], pa.binary()) for i in (1, 2, 3))], names=["r", "fps", "counts", "h"])
+
+    def unpack(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+        """All answers of a text in one row."""
+        fps = [np.frombuffer(f, np.uint64).reshape(-1, 2) for f, _, _ in rows]
+        counts, hs = [np.frombuffer(n, "<u4").astype(np.int64) for _, n, _ in rows], [np.frombuffer(h, np.uint64) for _, _, h in rows]
+        fp, count, h = np.concatenate(fps), np.concatenate(counts), np.concatenate(hs)
+        order = np.lexsort((fp[:, 1], fp[:, 0]))
+        start = (np.cumsum(count) - count)[order]
+        fp, count = fp[order], count[order]
+        at = np.concatenate([[0], np.cumsum(count)])
+        h = h[np.arange(at[-1]) + np.repeat(start - at[:-1], count)]
+        head = np.flatnonzero(np.concatenate([[True], (fp[1:] != fp[:-1]).any(1)]))
+        ends = [*at[head[1:]].tolist(), len(h)]
+        for lo in range(0, len(head), 5_000):
+            part = list(zip(head[lo : lo + 5_000].tolist(), ends[lo : lo + 5_000], strict=True))
+            yield pa.RecordBatch.from_arrays([pa.array([fp[i].tobytes() for i, _ in part], pa.binary()), pa.array([h[at[i] : j].tobytes() for i, j in part], pa.binary())], names=["fp", "hashes"])
 
     packed = texts.select("fp", "body").mapInArrow(out_, "r int, h binary, who binary, fps binary")
-    return packed.repartition(ranges, "r").mapInArrow(back, "fp binary, hashes binary")
+    answers = packed.repartition(ranges, "r").sortWithinPartitions("r").mapInArrow(lambda b: by_range(b, back), "r int, fps binary, counts binary, h binary")
+    return answers.repartition(ranges, "r").sortWithinPartitions("r").mapInArrow(lambda b: by_range(b, unpack), "fp binary, hashes binary")
 
 
 def repeated_spans(docs: DataFrame, n: int = 50, gram: int = 24, text: str = "text", key: str = "doc_id", scratch: Scratch | None = None) -> DataFrame:
@@ -293,7 +322,6 @@ def repeated_spans(docs: DataFrame, n: int = 50, gram: int = 24, text: str = "te
     texts = _texts(docs, text, key).where(F.col("key").isNotNull() & (F.octet_length("body") >= n))
     lists = s.keep(_gram_lists(texts, n, gram, ranges), "grams")
     classes = texts.groupBy("fp").agg(F.min("key").alias("first"))
-    lists = lists.groupBy("fp").agg(F.collect_list("hashes").alias("hashes"))
     kind = docs.schema[key].dataType.simpleString()
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -313,7 +341,7 @@ def repeated_spans(docs: DataFrame, n: int = 50, gram: int = 24, text: str = "te
             for part in chunks_of_bytes([bodies[int(i)] for i in rows], 2 << 20):
                 here = rows[done : done + len(part)]
                 done += len(part)
-                asked = np.unique(np.frombuffer(b"".join(x for i in here.tolist() for x in lists_[i].as_py()), np.uint64))
+                asked = np.unique(np.frombuffer(b"".join(lists_[i].as_py() for i in here.tolist()), np.uint64))
                 sums, at, t, place, count, least = runs(part, n, gram)
                 want = np.isin(least, asked)
                 t, place, count, least = t[want], place[want], count[want], least[want]
