@@ -66,7 +66,8 @@ def _sliding(v: np.ndarray, width: int, best=np.minimum) -> np.ndarray:
 
 
 def nodes(values: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(l, c, r), both ends included, of the nodes of the Cartesian tree that are width wide or more. Zeros part texts."""
+    """(l, c, r), both ends included, of the nodes of the Cartesian tree that are width wide or more; of equal
+    least values the first is the node. Zeros part texts."""
     none = np.zeros(0, np.int64)
     if len(values) < width:
         return none, none, none
@@ -90,7 +91,9 @@ def nodes(values: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.nd
             go = (r < len(m)) & (m[np.minimum(r, len(m) - 1)] >= own)
             r[go] += k
             again = j == len(levels) - 1 and bool(ok.any() or go.any())
-    return l, c, r - 1
+    # equal hashes that are least in the same stretch count once, by the first: texts that repeat a phrase have many
+    one = np.sort(np.unique(l << 32 | r, return_index=True)[1])
+    return l[one], c[one], r[one] - 1
 
 
 def _shingled(part: list[bytes], s: Settings) -> tuple[np.ndarray, np.ndarray]:
@@ -136,6 +139,32 @@ def compact_windows(docs: DataFrame, s: Settings, text: str, key: str) -> DataFr
     return plain.mapInArrow(run, f"sig bigint, key {kind}, c int, l int, r int")
 
 
+def _met(windows: DataFrame, s: Settings, kind: str) -> DataFrame:
+    """a, key, diag, c, lo, hi: windows (key) joined with that of the least document (a) of their signature where the
+    two have a passage's width in common. The windows are shuffled once and come sorted, so a signature of any number
+    of documents passes by its first one without being held."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last: tuple | None = None
+        for b in batches:
+            sig, key, c, l, r = (b.column(i).to_numpy() for i in range(5))  # noqa: E741
+            if not len(sig):
+                continue
+            new = np.ones(len(sig), bool)
+            new[1:] = sig[1:] != sig[:-1]
+            new[0] = last is None or sig[0] != last[0]
+            head = np.maximum.accumulate(np.where(new, np.arange(len(sig)), -1))
+            a, ca, la, ra = (np.where(head >= 0, x[np.maximum(head, 0)], last[i + 1] if last else 0) for i, x in enumerate((key, c, l, r)))
+            diag = c - ca
+            lo, hi = np.maximum(l, la + diag), np.minimum(r, ra + diag)
+            ok = (key > a) & (hi - lo + 1 >= s.width)
+            yield pa.RecordBatch.from_arrays([pa.array(a[ok].astype(key.dtype), b.column(1).type), pa.array(key[ok], b.column(1).type), *(pa.array(x[ok].astype(np.int32)) for x in (diag, c, lo, hi))], names=["a", "key", "diag", "c", "lo", "hi"])
+            last = (sig[-1], a[-1], ca[-1], la[-1], ra[-1])
+
+    rows = windows.repartition("sig").sortWithinPartitions("sig", "key", "c")
+    return rows.mapInArrow(run, f"a {kind}, key {kind}, diag int, c int, lo int, hi int")
+
+
 def _sequences(docs: DataFrame, s: Settings, text: str, key: str) -> DataFrame:
     """key and 4 bytes of each shingle's hash, in order."""
 
@@ -152,9 +181,8 @@ def _sequences(docs: DataFrame, s: Settings, text: str, key: str) -> DataFrame:
     return docs.select(F.col(key).alias("key"), F.col(text).cast("binary").alias("text")).mapInArrow(run, f"key {kind}, seq binary")
 
 
-def verify(x: np.ndarray, y: np.ndarray, diag: int, lo: int, hi: int, s: Settings) -> list[tuple[int, int, float]]:
-    """(first, last shingle of x, similarity) of the passages in x[lo:hi + 1] that y has, near the diagonal."""
-    part = x[lo : hi + 1]
+def verify(part: np.ndarray, lo: int, y: np.ndarray, diag: int, s: Settings) -> list[tuple[int, int, float]]:
+    """(first, last shingle, similarity) of the passages in a part of a text, from place lo on, that y has near the diagonal."""
     if len(part) < s.width:
         return []
     found = np.zeros(len(part), bool)
@@ -191,48 +219,59 @@ def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: s
     sc = scratch or Scratch(spark, "passages")
     kind = docs.schema[key].dataType.simpleString()
     windows = compact_windows(docs, s, text, key)
-    least = windows.groupBy("sig").agg(F.min(F.struct("key", "c", "l", "r")).alias("f"), F.max("key").alias("most")).where("f.key < most").select("sig", F.col("f.key").alias("a"), F.col("f.c").alias("ca"), F.col("f.l").alias("la"), F.col("f.r").alias("ra"))
-    met = windows.join(least, "sig").where("key > a").withColumn("diag", F.col("c") - F.col("ca"))
-    met = met.select("a", "key", "diag", "c", F.greatest(F.col("l"), F.col("la") + F.col("diag")).alias("lo"), F.least(F.col("r"), F.col("ra") + F.col("diag")).alias("hi")).where(F.col("hi") - F.col("lo") + 1 >= s.width)
+    met = _met(windows, s, kind)
     one = met.groupBy("a", "key", "diag").agg(F.collect_list(F.struct("lo", "hi", "c")).alias("w"))
     pairs = sc.keep(one.groupBy("a", "key").agg(F.collect_list(F.struct("diag", "w")).alias("regions")), "pairs")
     asked = pairs.select(F.explode(F.array("a", "key")).alias("key")).distinct()
     own = docs.select(F.col(key).alias("key"), F.col(text).alias("text")).where(F.col("text").isNotNull()).join(asked, "key", "left_semi").dropDuplicates(["key"])
     seqs = sc.keep(_sequences(own, s, "text", "key"), "sequences")
 
+    parts = "array<struct<diag:int,lo:int,cs:array<int>,x:binary>>"
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Of each text only what lies within a passage's width of a joined node: longer passages have more nodes."""
+        kind_ = pa.list_(pa.struct([("diag", pa.int32()), ("lo", pa.int32()), ("cs", pa.list_(pa.int32())), ("x", pa.binary())]))
+        for batch in batches:
+            out = []
+            for found, x in zip(batch.column(2).to_pylist(), batch.column(3), strict=True):
+                raw, own = x.as_py(), []
+                for region in found:
+                    ws = sorted((max(w["lo"], w["c"] - s.width + 1), min(w["hi"], w["c"] + s.width - 1), w["c"]) for w in region["w"])
+                    for lo, hi in _union([(p, q) for p, q, _ in ws], s.width):
+                        own.append({"diag": region["diag"], "lo": lo, "cs": sorted({c for p, _, c in ws if lo <= p <= hi}), "x": raw[4 * lo : 4 * (hi + 1)]})
+                out.append(own)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, kind_)], names=["a", "key", "parts"])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["a", "key", "start", "stop", "shift", "similarity", "whole"]
         for batch in batches:
             out: list[tuple] = []
-            a_keys, keys, regions = (batch.column(i).to_pylist() for i in range(3))
-            for a, k, found, x, y in zip(a_keys, keys, regions, batch.column(3), batch.column(4), strict=True):
-                x, y = (np.frombuffer(z.as_buffer(), "<u4") for z in (x, y))
+            a_keys, keys, found = (batch.column(i).to_pylist() for i in range(3))
+            for a, k, own, y in zip(a_keys, keys, found, batch.column(3), strict=True):
+                y = np.frombuffer(y.as_buffer(), "<u4")
                 spans: list[tuple[int, int]] = []
-                for region in found:
-                    ws = sorted((w["lo"], w["hi"], w["c"]) for w in region["w"])
-                    for lo, hi in _union([(p, q) for p, q, _ in ws], s.width):
-                        for p, q, sim in verify(x, y, region["diag"], lo, min(hi, len(x) - 1), s):
-                            out.append((a, k, p, q, region["diag"], sim, None))
-                            spans.append((p, q))
-                loose: set[int] = set()
-                for region in found:
-                    for w in region["w"]:
-                        c = w["c"]
-                        if not any(p <= c <= q for p, q in spans):
-                            loose.update(range(max(w["lo"], c - s.width + 1), min(c, w["hi"] - s.width + 1, len(x) - s.width) + 1))
-                if loose:
-                    at = np.array(sorted(loose))
-                    h = np.zeros(len(at), np.uint64)
-                    for j in range(s.width):
-                        h = mix(h * np.uint64(0x9E3779B97F4A7C15) + x[at + j])
-                    out += [(a, k, p, p + s.width - 1, 0, 1.0, v) for p, v in zip(at.tolist(), h.view(np.int64).tolist(), strict=True)]
+                texts = [np.frombuffer(z["x"], "<u4") for z in own]
+                for z, x in zip(own, texts, strict=True):
+                    for p, q, sim in verify(x, z["lo"], y, z["diag"], s):
+                        out.append((a, k, p, q, z["diag"], sim, None))
+                        spans.append((p, q))
+                loose: dict[int, int] = {}
+                for z, x in zip(own, texts, strict=True):
+                    at = sorted({i for c in z["cs"] if not any(p <= c <= q for p, q in spans) for i in range(max(0, c - z["lo"] - s.width + 1), min(c - z["lo"], len(x) - s.width) + 1)})
+                    if at:
+                        h, at_ = np.zeros(len(at), np.uint64), np.array(at)
+                        for j in range(s.width):
+                            h = mix(h * np.uint64(0x9E3779B97F4A7C15) + x[at_ + j])
+                        loose.update(zip((at_ + z["lo"]).tolist(), h.view(np.int64).tolist(), strict=True))
+                out += [(a, k, p, p + s.width - 1, 0, 1.0, v) for p, v in loose.items()]
             cols = list(zip(*out, strict=True)) if out else [[]] * 7
             types = [batch.column(0).type, batch.column(1).type, pa.int32(), pa.int32(), pa.int32(), pa.float64(), pa.int64()]
             for lo in range(0, max(len(out), 1), 100_000):
                 yield pa.RecordBatch.from_arrays([pa.array(c[lo : lo + 100_000], t) for c, t in zip(cols, types, strict=True)], names=names)
 
-    both = pairs.join(seqs.withColumnRenamed("seq", "x"), "key").join(seqs.select(F.col("key").alias("a"), F.col("seq").alias("y")), "a")
-    checked = sc.keep(both.select("a", "key", "regions", "x", "y").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double, whole bigint"), "checked")
+    cuts = pairs.join(seqs.withColumnRenamed("seq", "x"), "key").select("a", "key", "regions", "x").mapInArrow(cut, f"a {kind}, key {kind}, parts {parts}")
+    both = cuts.join(seqs.select(F.col("key").alias("a"), F.col("seq").alias("y")), "a")
+    checked = sc.keep(both.select("a", "key", "parts", "y").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double, whole bigint"), "checked")
     sc.drop("sequences")
     near = checked.where("whole is null").select("key", "start", "stop", "a", "shift", "similarity")
     loose = checked.where("whole is not null").select("key", "start", "whole").distinct()
