@@ -11,7 +11,9 @@ from pairlens.operators.sieve import Sieve
 
 
 def stream_table(spark: SparkSession, path: str, like: DataFrame, files_per_batch: int = 1) -> DataFrame:
-    return spark.readStream.schema(like.schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
+    """Files of a folder as a stream; times without a zone become instants, as watermarks ask for."""
+    out = spark.readStream.schema(like.schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
+    return out.withColumns({f.name: F.col(f.name).cast("timestamp") for f in like.schema.fields if f.dataType.simpleString() == "timestamp_ntz"})
 
 
 def label_stream(pairs: DataFrame, sieve: Sieve | None = None) -> DataFrame:
