@@ -193,5 +193,7 @@ def judge(docs: DataFrame, rules: DecisionList, text: str = "text", key: str = "
 def keep_good(docs: DataFrame, rules: DecisionList, text: str = "text") -> DataFrame:
     """The rows of docs, with all their columns, that neither the fixed limits nor a learned rule reject."""
     packed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col(text).alias("text"))
-    out = text_stats(packed).select("row", base_failed().alias("failed"), rules.column().alias("rule")).where(~F.col("failed") & F.col("rule").isNull())
-    return out.select("row.*")
+    # a condition is moved below what it is made of, which would work all statistics out once per use; a column that
+    # isn't deterministic holds it in place
+    out = text_stats(packed).select("row", base_failed().alias("failed"), rules.column().alias("rule"), F.monotonically_increasing_id().alias("place"))
+    return out.where(~F.col("failed") & F.col("rule").isNull() & (F.col("place") >= 0)).select("row.*")
