@@ -9,8 +9,9 @@ least a passage's width are few, about 2 n / width, and stand for all passages o
    joined with it, if the two windows, laid over each other at c, have a passage's width in common.
 3. Joined windows on one diagonal of a pair of documents become one region, which is verified on the shingles: passages
    stand where a window of the set width shares enough of them, up to a few places off the diagonal.
-4. Windows that aren't near the least document's may be near another's: their passages' whole hashes are grouped, so
-   that no passage is lost that is equal in two documents.
+4. Windows that aren't near the least document's may be near another's: what no verified span covers is compared with
+   the other windows of its signature, from the least document on, until it is covered or has met all of them. Windows
+   whose shingles the rest of the signature doesn't have are set aside first.
 """
 
 from __future__ import annotations
@@ -140,9 +141,10 @@ def compact_windows(docs: DataFrame, s: Settings, text: str, key: str) -> DataFr
 
 
 def _met(windows: DataFrame, s: Settings, kind: str) -> DataFrame:
-    """a, key, diag, c, lo, hi: windows (key) joined with that of the least document (a) of their signature where the
-    two have a passage's width in common. The windows are shuffled once and come sorted, so a signature of any number
-    of documents passes by its first one without being held."""
+    """a, key, diag, c, lo, hi, sig, l, r: windows (key) joined with that of the least document (a) of their signature
+    where the two have a passage's width in common. A window that is alone with the least one has no sig. The windows
+    are shuffled once and come sorted, so a signature of any number of documents passes by its first one without being
+    held."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last: tuple | None = None
@@ -158,11 +160,14 @@ def _met(windows: DataFrame, s: Settings, kind: str) -> DataFrame:
             diag = c - ca
             lo, hi = np.maximum(l, la + diag), np.minimum(r, ra + diag)
             ok = (key > a) & (hi - lo + 1 >= s.width)
-            yield pa.RecordBatch.from_arrays([pa.array(a[ok].astype(key.dtype), b.column(1).type), pa.array(key[ok], b.column(1).type), *(pa.array(x[ok].astype(np.int32)) for x in (diag, c, lo, hi))], names=["a", "key", "diag", "c", "lo", "hi"])
+            lone = np.zeros(len(sig), bool)
+            lone[1:-1] = new[:-2] & ~new[1:-1] & new[2:]
+            own = [pa.array(a[ok].astype(key.dtype), b.column(1).type), pa.array(key[ok], b.column(1).type), *(pa.array(x[ok].astype(np.int32)) for x in (diag, c, lo, hi))]
+            yield pa.RecordBatch.from_arrays([*own, pa.array(sig[ok], mask=lone[ok]), *(pa.array(x[ok].astype(np.int32)) for x in (l, r))], names=["a", "key", "diag", "c", "lo", "hi", "sig", "l", "r"])
             last = (sig[-1], a[-1], ca[-1], la[-1], ra[-1])
 
     rows = windows.repartition("sig").sortWithinPartitions("sig", "key", "c")
-    return rows.mapInArrow(run, f"a {kind}, key {kind}, diag int, c int, lo int, hi int")
+    return rows.mapInArrow(run, f"a {kind}, key {kind}, diag int, c int, lo int, hi int, sig bigint, l int, r int")
 
 
 def _sequences(docs: DataFrame, s: Settings, text: str, key: str) -> DataFrame:
@@ -205,13 +210,115 @@ def verify(part: np.ndarray, lo: int, y: np.ndarray, diag: int, s: Settings) ->
     return out
 
 
+def _solve(sig: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: np.ndarray, xs: list[np.ndarray], s: Settings) -> list[tuple]:
+    """(a, key, start, stop, shift, similarity) among the windows of whole signatures, sorted by signature and key."""
+    c, at, lo, hi = ints
+    size = np.array([len(x) for x in xs])
+    rows = np.flatnonzero(size >= s.width)
+    while len(rows):
+        # shingles that another window of the signature has; a passage needs so many of them
+        row = np.repeat(rows, size[rows])
+        group = np.cumsum(np.concatenate([[0], np.diff(sig[rows]) != 0]))
+        v = np.repeat(group.astype(np.uint64), size[rows]) << np.uint64(32) | np.concatenate([xs[i] for i in rows.tolist()])
+        by = np.argsort(v, kind="stable")
+        v, row = v[by], row[by]
+        cut = np.flatnonzero(np.concatenate([[True], v[1:] != v[:-1]]))
+        last = np.concatenate([cut[1:], [len(v)]]) - 1
+        shared = np.repeat(row[cut] != row[last], last - cut + 1)
+        left = rows[np.bincount(row[shared], minlength=len(xs))[rows] >= s.shared]
+        if len(left) == len(rows):
+            break
+        rows = left
+    out: list[tuple] = []
+    if not len(rows):
+        return out
+    bounds = np.flatnonzero(np.concatenate([[True], np.diff(sig[rows]) != 0, [True]]))
+    for p, q in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+        mine = rows[p:q]
+        open_ = mine[loose[mine]]
+        for i in mine.tolist():
+            met = open_[key[open_] > key[i]]
+            if not len(met):
+                if not len(open_) or key[i] >= key[open_[-1]]:
+                    break
+                continue
+            near = np.isin(np.concatenate([xs[j] for j in met.tolist()]), xs[i])
+            met = met[np.add.reduceat(near.astype(np.int64), np.concatenate([[0], np.cumsum(size[met])[:-1]])) >= s.shared]
+            done = []
+            for j in met.tolist():
+                diag = int(c[j] - c[i])
+                part = xs[j][lo[j] - at[j] : hi[j] - at[j] + 1]
+                for x, y, sim in verify(part, int(lo[j]), xs[i], diag + int(at[i]), s):
+                    out.append((key[i].item(), key[j].item(), x, y, diag, sim))
+                    if x <= c[j] <= y:
+                        done.append(j)
+            open_ = open_[~np.isin(open_, done)]
+    return out
+
+
+def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataFrame:
+    """a, key, start, stop, shift, similarity: windows that no span covers (loose), compared with the others of their
+    signature. Only signatures where a loose window isn't the least one's are looked at."""
+    far = s.width + s.shift - 1
+    asked = nodes_.groupBy("sig").agg(F.min("key").alias("least"), F.max(F.when(F.col("loose"), F.col("key"))).alias("most")).where("least < most").select("sig")
+    mine = nodes_.join(asked, "sig", "left_semi").groupBy("key").agg(F.collect_list(F.struct("sig", "c", "l", "r", "loose")).alias("w"))
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        types = [pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.bool_(), pa.binary()]
+        for batch in batches:
+            kept: list[tuple] = []
+            keys: list[int] = []
+            for i, (found, x) in enumerate(zip(batch.column(1).to_pylist(), batch.column(2), strict=True)):
+                raw = x.as_py()
+                for w in found:
+                    p, q = max(0, w["c"] - far), w["c"] + far
+                    kept.append((w["sig"], w["c"], p, max(w["l"], w["c"] - s.width + 1), min(w["r"], w["c"] + s.width - 1), w["loose"], raw[4 * p : 4 * (q + 1)]))
+                    keys.append(i)
+                if len(kept) >= 20_000 or i == batch.num_rows - 1:
+                    cols = list(zip(*kept, strict=True)) if kept else [[]] * 7
+                    own = [pa.array(z, y) for z, y in zip(cols, types, strict=True)]
+                    yield pa.RecordBatch.from_arrays([own[0], batch.column(0).take(pa.array(keys, pa.int64())), *own[1:]], names=["sig", "key", "c", "at", "lo", "hi", "loose", "x"])
+                    kept, keys = [], []
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+
+        def solved(rows: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            whole = pa.Table.from_batches(rows).combine_chunks()
+            cols = [whole.column(i).to_numpy() for i in range(7)]
+            xs = [np.frombuffer(x.as_buffer(), "<u4") for x in whole.column(7)]
+            out = _solve(cols[0], cols[1], cols[2:6], cols[6].astype(bool), xs, s)
+            k = rows[0].column(1).type
+            for i in range(0, len(out), 100_000):
+                z = list(zip(*out[i : i + 100_000], strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(z[0], k), pa.array(z[1], k), *(pa.array(z[j], pa.int32()) for j in (2, 3, 4)), pa.array(z[5], pa.float64())], names=["a", "key", "start", "stop", "shift", "similarity"])
+
+        for b in batches:
+            if not b.num_rows:
+                continue
+            sig = b.column(0).to_numpy()
+            if held and sig[-1] == held[-1].column(0)[-1].as_py() and sig[0] == sig[-1]:
+                held.append(b)
+                continue
+            first = int(np.searchsorted(sig, sig[-1]))
+            if held or first:
+                yield from solved([*held, b.slice(0, first)])
+            held = [b.slice(first)]
+        if held:
+            yield from solved(held)
+
+    cuts = mine.join(seqs, "key").select("key", "w", "seq").mapInArrow(cut, f"sig bigint, key {kind}, c int, at int, lo int, hi int, loose boolean, x binary")
+    rows = cuts.repartition("sig").sortWithinPartitions("sig", "key", "c")
+    return rows.mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double")
+
+
 def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: str = "text", key: str = "doc_id", scratch: Scratch | None = None) -> DataFrame:
     """key, start, end, first_key, first_start, first_end, similarity: a passage (places of words, the end not included)
     that is a near duplicate of one in a document with a smaller key.
 
     Words are runs without ASCII white space, A-Z lower-cased. Each passage is linked to the least document of a
-    signature that both share; of a class of equal passages each but the first is so linked, pairs among the rest are
-    not spelled out. Texts under the least number of words, null texts and null keys give nothing; rows with equal keys
+    signature that both share or, if it isn't near that one, to others of the signature; of a class of equal passages
+    each but the first is so linked, pairs among the rest are not spelled out. Texts under the least number of words, null texts and null keys give nothing; rows with equal keys
     count as one document, of which one text is taken.
     """
     s = settings or Settings()
@@ -220,74 +327,74 @@ def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: s
     kind = docs.schema[key].dataType.simpleString()
     windows = compact_windows(docs, s, text, key)
     met = _met(windows, s, kind)
-    one = met.groupBy("a", "key", "diag").agg(F.collect_list(F.struct("lo", "hi", "c")).alias("w"))
+    one = met.groupBy("a", "key", "diag").agg(F.collect_list(F.struct("lo", "hi", "c", "sig", "l", "r")).alias("w"))
     pairs = sc.keep(one.groupBy("a", "key").agg(F.collect_list(F.struct("diag", "w")).alias("regions")), "pairs")
     asked = pairs.select(F.explode(F.array("a", "key")).alias("key")).distinct()
     own = docs.select(F.col(key).alias("key"), F.col(text).alias("text")).where(F.col("text").isNotNull()).join(asked, "key", "left_semi").dropDuplicates(["key"])
     seqs = sc.keep(_sequences(own, s, "text", "key"), "sequences")
 
-    parts = "array<struct<diag:int,lo:int,cs:array<int>,x:binary>>"
+    parts = "array<struct<diag:int,lo:int,x:binary>>"
+    nodes_ = "array<struct<sig:bigint,c:int,l:int,r:int>>"
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Of each text only what lies within a passage's width of a joined node: longer passages have more nodes."""
-        kind_ = pa.list_(pa.struct([("diag", pa.int32()), ("lo", pa.int32()), ("cs", pa.list_(pa.int32())), ("x", pa.binary())]))
+        kind_ = pa.list_(pa.struct([("diag", pa.int32()), ("lo", pa.int32()), ("x", pa.binary())]))
+        kind2 = pa.list_(pa.struct([("sig", pa.int64()), ("c", pa.int32()), ("l", pa.int32()), ("r", pa.int32())]))
         for batch in batches:
-            out = []
+            out, more = [], []
             for found, x in zip(batch.column(2).to_pylist(), batch.column(3), strict=True):
                 raw, own = x.as_py(), []
                 for region in found:
-                    ws = sorted((max(w["lo"], w["c"] - s.width + 1), min(w["hi"], w["c"] + s.width - 1), w["c"]) for w in region["w"])
-                    for lo, hi in _union([(p, q) for p, q, _ in ws], s.width):
-                        own.append({"diag": region["diag"], "lo": lo, "cs": sorted({c for p, _, c in ws if lo <= p <= hi}), "x": raw[4 * lo : 4 * (hi + 1)]})
+                    ws = sorted((max(w["lo"], w["c"] - s.width + 1), min(w["hi"], w["c"] + s.width - 1)) for w in region["w"])
+                    for lo, hi in _union(ws, s.width):
+                        own.append({"diag": region["diag"], "lo": lo, "x": raw[4 * lo : 4 * (hi + 1)]})
                 out.append(own)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, kind_)], names=["a", "key", "parts"])
+                more.append([{f: w[f] for f in ("sig", "c", "l", "r")} for region in found for w in region["w"] if w["sig"] is not None])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, kind_), pa.array(more, kind2)], names=["a", "key", "parts", "nodes"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["a", "key", "start", "stop", "shift", "similarity", "whole"]
+        names = ["a", "key", "start", "stop", "shift", "similarity", "sig", "loose"]
         for batch in batches:
             out: list[tuple] = []
-            a_keys, keys, found = (batch.column(i).to_pylist() for i in range(3))
-            for a, k, own, y in zip(a_keys, keys, found, batch.column(3), strict=True):
+            a_keys, keys, found, more = (batch.column(i).to_pylist() for i in range(4))
+            for a, k, own, ws, y in zip(a_keys, keys, found, more, batch.column(4), strict=True):
                 y = np.frombuffer(y.as_buffer(), "<u4")
                 spans: list[tuple[int, int]] = []
-                texts = [np.frombuffer(z["x"], "<u4") for z in own]
-                for z, x in zip(own, texts, strict=True):
-                    for p, q, sim in verify(x, z["lo"], y, z["diag"], s):
-                        out.append((a, k, p, q, z["diag"], sim, None))
+                for z in own:
+                    for p, q, sim in verify(np.frombuffer(z["x"], "<u4"), z["lo"], y, z["diag"], s):
+                        out.append((a, k, p, q, z["diag"], sim, None, None))
                         spans.append((p, q))
-                loose: dict[int, int] = {}
-                for z, x in zip(own, texts, strict=True):
-                    at = sorted({i for c in z["cs"] if not any(p <= c <= q for p, q in spans) for i in range(max(0, c - z["lo"] - s.width + 1), min(c - z["lo"], len(x) - s.width) + 1)})
-                    if at:
-                        h, at_ = np.zeros(len(at), np.uint64), np.array(at)
-                        for j in range(s.width):
-                            h = mix(h * np.uint64(0x9E3779B97F4A7C15) + x[at_ + j])
-                        loose.update(zip((at_ + z["lo"]).tolist(), h.view(np.int64).tolist(), strict=True))
-                out += [(a, k, p, p + s.width - 1, 0, 1.0, v) for p, v in loose.items()]
-            cols = list(zip(*out, strict=True)) if out else [[]] * 7
-            types = [batch.column(0).type, batch.column(1).type, pa.int32(), pa.int32(), pa.int32(), pa.float64(), pa.int64()]
+                out += [(a, k, w["l"], w["r"], w["c"], None, w["sig"], not any(p <= w["c"] <= q for p, q in spans)) for w in ws]
+            cols = list(zip(*out, strict=True)) if out else [[]] * 8
+            types = [batch.column(0).type, batch.column(1).type, pa.int32(), pa.int32(), pa.int32(), pa.float64(), pa.int64(), pa.bool_()]
             for lo in range(0, max(len(out), 1), 100_000):
                 yield pa.RecordBatch.from_arrays([pa.array(c[lo : lo + 100_000], t) for c, t in zip(cols, types, strict=True)], names=names)
 
-    cuts = pairs.join(seqs.withColumnRenamed("seq", "x"), "key").select("a", "key", "regions", "x").mapInArrow(cut, f"a {kind}, key {kind}, parts {parts}")
+    cuts = pairs.join(seqs.withColumnRenamed("seq", "x"), "key").select("a", "key", "regions", "x").mapInArrow(cut, f"a {kind}, key {kind}, parts {parts}, nodes {nodes_}")
     both = cuts.join(seqs.select(F.col("key").alias("a"), F.col("seq").alias("y")), "a")
-    checked = sc.keep(both.select("a", "key", "parts", "y").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double, whole bigint"), "checked")
+    checked = sc.keep(both.select("a", "key", "parts", "nodes", "y").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double, sig bigint, loose boolean"), "checked")
+    sc.drop("pairs")
+    near = checked.where("sig is null").select("key", "start", "stop", "a", "shift", "similarity")
+    left = checked.where("sig is not null").select("sig", "key", F.col("shift").alias("c"), F.col("start").alias("l"), F.col("stop").alias("r"), "loose")
+    later = sc.keep(_rounds(left, seqs, s, kind), "later")
     sc.drop("sequences")
-    near = checked.where("whole is null").select("key", "start", "stop", "a", "shift", "similarity")
-    loose = checked.where("whole is not null").select("key", "start", "whole").distinct()
-    heads = loose.groupBy("whole").agg(F.min(F.struct("key", "start")).alias("f"), F.max("key").alias("most")).where("f.key < most").select("whole", "f")
-    equal = loose.join(heads, "whole").where("key > f.key").select("key", "start", F.col("f.key").alias("a"), (F.col("start") - F.col("f.start")).alias("shift"))
-    w = F.array_sort(F.collect_set("start"))
-    equal = equal.groupBy("key", "a", "shift").agg(w.alias("at"))
-    # starts with no gap over a passage's width make one span
-    first = F.filter("at", lambda x, i: (i == 0) | (x - F.get("at", i - 1) > s.width))
-    last = F.filter("at", lambda x, i: F.get("at", i + 1).isNull() | (F.get("at", i + 1) - x > s.width))
-    equal = equal.select("key", "a", "shift", F.explode(F.arrays_zip(first.alias("start"), last.alias("last"))).alias("z")).select("key", F.col("z.start").alias("start"), (F.col("z.last") + s.width - 1).alias("stop"), "a", "shift", F.lit(1.0).alias("similarity"))
+    w = F.array_sort(F.collect_set(F.struct("start", "stop", "similarity")))
+    # spans of one diagonal that neighbouring windows gave, as one
+    grown = later.groupBy("key", "a", "shift").agg(w.alias("w")).select("key", "a", "shift", F.explode(F.aggregate("w", F.array().cast("array<struct<start:int,stop:int,similarity:double>>"), _joined)).alias("z"))
+    equal = grown.select("key", F.col("z.start").alias("start"), F.col("z.stop").alias("stop"), "a", "shift", F.col("z.similarity").alias("similarity"))
     out = near.unionByName(equal)
     end = F.col("stop") + s.shingle
     return out.select(F.col("key").alias(key), "start", end.alias("end"), F.col("a").alias(f"first_{key}"), (F.col("start") - F.col("shift")).alias("first_start"), (end - F.col("shift")).alias("first_end"), F.round("similarity", 6).alias("similarity"))
 
 
+def _joined(done, x):
+    """Sorted spans with one more: it grows the last if the two touch."""
+    last = F.try_element_at(done, F.lit(-1))
+    grown = F.struct(last["start"].alias("start"), F.greatest(last["stop"], x["stop"]).alias("stop"), F.greatest(last["similarity"], x["similarity"]).alias("similarity"))
+    rest = F.slice(done, 1, F.greatest(F.size(done) - 1, F.lit(0)))
+    return F.when(F.size(done) == 0, F.array(x)).when(x["start"] <= F.try_element_at(done, F.lit(-1))["stop"] + 1, F.concat(rest, F.array(grown))).otherwise(F.concat(done, F.array(x)))
+
+
 def _union(spans: list[tuple[int, int]], gap: int) -> list[tuple[int, int]]:
     out: list[list[int]] = []
     for lo, hi in spans:
