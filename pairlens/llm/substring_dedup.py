@@ -9,8 +9,9 @@ least a passage's width are few, about 2 n / width, and stand for all passages o
    joined with it, if the two windows, laid over each other at c, have a passage's width in common.
 3. Joined windows on one diagonal of a pair of documents become one region, which is verified on the shingles: passages
    stand where a window of the set width shares enough of them, up to a few places off the diagonal.
-4. Windows that aren't near the least document's may be near another's: what no verified span covers is compared with
-   the other windows of its signature, from the least document on, until it is covered or has met all of them. Windows
+4. Windows that aren't near the least document's, or reach past what is, may be near another's: passages that no
+   verified span has are compared with the other windows of the signature, from the least document on, until they are
+   covered or have met all of them. Windows
    whose shingles the rest of the signature doesn't have are set aside first.
 """
 
@@ -142,8 +143,8 @@ def compact_windows(docs: DataFrame, s: Settings, text: str, key: str) -> DataFr
 
 def _met(windows: DataFrame, s: Settings, kind: str) -> DataFrame:
     """a, key, diag, c, lo, hi, sig, l, r: windows (key) joined with that of the least document (a) of their signature
-    where the two have a passage's width in common. A window that is alone with the least one has no sig. The windows
-    are shuffled once and come sorted, so a signature of any number of documents passes by its first one without being
+    where the two have a passage's width in common. A window that is alone with the least one has no sig; one that isn't
+    and has less in common with it comes with lo past hi, for the others of its signature. The windows are shuffled once and come sorted, so a signature of any number of documents passes by its first one without being
     held."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -159,9 +160,11 @@ def _met(windows: DataFrame, s: Settings, kind: str) -> DataFrame:
             a, ca, la, ra = (np.where(head >= 0, x[np.maximum(head, 0)], last[i + 1] if last else 0) for i, x in enumerate((key, c, l, r)))
             diag = c - ca
             lo, hi = np.maximum(l, la + diag), np.minimum(r, ra + diag)
-            ok = (key > a) & (hi - lo + 1 >= s.width)
+            wide = hi - lo + 1 >= s.width
             lone = np.zeros(len(sig), bool)
             lone[1:-1] = new[:-2] & ~new[1:-1] & new[2:]
+            ok = (key > a) & (wide | ~lone)
+            hi = np.where(wide, hi, lo - 1)
             own = [pa.array(a[ok].astype(key.dtype), b.column(1).type), pa.array(key[ok], b.column(1).type), *(pa.array(x[ok].astype(np.int32)) for x in (diag, c, lo, hi))]
             yield pa.RecordBatch.from_arrays([*own, pa.array(sig[ok], mask=lone[ok]), *(pa.array(x[ok].astype(np.int32)) for x in (l, r))], names=["a", "key", "diag", "c", "lo", "hi", "sig", "l", "r"])
             last = (sig[-1], a[-1], ca[-1], la[-1], ra[-1])
@@ -210,7 +213,21 @@ def verify(part: np.ndarray, lo: int, y: np.ndarray, diag: int, s: Settings) ->
     return out
 
 
-def _solve(sig: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: np.ndarray, xs: list[np.ndarray], s: Settings) -> list[tuple]:
+def _starts(lo: int, hi: int, spans: list[tuple[int, int]], s: Settings) -> list[int]:
+    """Starts of passages within lo to hi that no span has, up to the places that may differ: first, last, first, last and so on."""
+    at, end, out = lo, hi - s.width + 1, []
+    for p, q in sorted((p - s.width + s.shared, q - s.shared + 1) for p, q in spans):
+        if p > q or q < at:
+            continue
+        if p > end:
+            break
+        if p > at:
+            out += [at, p - 1]
+        at = q + 1
+    return out + [at, end] if at <= end else out
+
+
+def _solve(sig: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: list[list[int]], xs: list[np.ndarray], s: Settings) -> list[tuple]:
     """(a, key, start, stop, shift, similarity) among the windows of whole signatures, sorted by signature and key."""
     c, at, lo, hi = ints
     size = np.array([len(x) for x in xs])
@@ -224,18 +241,30 @@ def _solve(sig: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: np.n
         v, row = v[by], row[by]
         cut = np.flatnonzero(np.concatenate([[True], v[1:] != v[:-1]]))
         last = np.concatenate([cut[1:], [len(v)]]) - 1
-        shared = np.repeat(row[cut] != row[last], last - cut + 1)
-        left = rows[np.bincount(row[shared], minlength=len(xs))[rows] >= s.shared]
+        common = np.repeat(row[cut] != row[last], last - cut + 1)
+        left = rows[np.bincount(row[common], minlength=len(xs))[rows] >= s.shared]
         if len(left) == len(rows):
             break
         rows = left
     out: list[tuple] = []
     if not len(rows):
         return out
+    found = np.zeros(len(v), bool)
+    found[by] = common
+    todo: dict[int, np.ndarray] = {}
+    for i, end in zip(rows.tolist(), np.cumsum(size[rows]).tolist(), strict=True):
+        if loose[i]:
+            sums = np.concatenate([[0], np.cumsum(found[end - size[i] : end][lo[i] - at[i] : hi[i] - at[i] + 1])])
+            ask = np.zeros(len(sums) - s.width, bool)
+            for p, q in zip(loose[i][::2], loose[i][1::2], strict=True):
+                ask[p - lo[i] : q - lo[i] + 1] = True
+            ask &= sums[s.width :] - sums[: -s.width] >= s.shared
+            if ask.any():
+                todo[i] = ask
     bounds = np.flatnonzero(np.concatenate([[True], np.diff(sig[rows]) != 0, [True]]))
     for p, q in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
         mine = rows[p:q]
-        open_ = mine[loose[mine]]
+        open_ = np.array([i for i in mine.tolist() if i in todo], np.int64)
         for i in mine.tolist():
             met = open_[key[open_] > key[i]]
             if not len(met):
@@ -249,22 +278,26 @@ def _solve(sig: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: np.n
                 diag = int(c[j] - c[i])
                 part = xs[j][lo[j] - at[j] : hi[j] - at[j] + 1]
                 for x, y, sim in verify(part, int(lo[j]), xs[i], diag + int(at[i]), s):
-                    out.append((key[i].item(), key[j].item(), x, y, diag, sim))
-                    if x <= c[j] <= y:
-                        done.append(j)
+                    first = max(0, x - s.width + s.shared - int(lo[j]))
+                    has = todo[j][first : max(first, y - s.shared + 2 - int(lo[j]))]
+                    if has.any():
+                        out.append((key[i].item(), key[j].item(), x, y, diag, sim))
+                        has[:] = False
+                if not todo[j].any():
+                    done.append(j)
             open_ = open_[~np.isin(open_, done)]
     return out
 
 
 def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataFrame:
-    """a, key, start, stop, shift, similarity: windows that no span covers (loose), compared with the others of their
+    """a, key, start, stop, shift, similarity: windows with passages that no span has (they start in loose), compared with the others of their
     signature. Only signatures where a loose window isn't the least one's are looked at."""
     far = s.width + s.shift - 1
-    asked = nodes_.groupBy("sig").agg(F.min("key").alias("least"), F.max(F.when(F.col("loose"), F.col("key"))).alias("most")).where("least < most").select("sig")
+    asked = nodes_.groupBy("sig").agg(F.min("key").alias("least"), F.max(F.when(F.size("loose") > 0, F.col("key"))).alias("most")).where("least < most").select("sig")
     mine = nodes_.join(asked, "sig", "left_semi").groupBy("key").agg(F.collect_list(F.struct("sig", "c", "l", "r", "loose")).alias("w"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        types = [pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.bool_(), pa.binary()]
+        types = [pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int32()), pa.binary()]
         for batch in batches:
             kept: list[tuple] = []
             keys: list[int] = []
@@ -285,9 +318,9 @@ def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataF
 
         def solved(rows: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             whole = pa.Table.from_batches(rows).combine_chunks()
-            cols = [whole.column(i).to_numpy() for i in range(7)]
+            cols = [whole.column(i).to_numpy() for i in range(6)]
             xs = [np.frombuffer(x.as_buffer(), "<u4") for x in whole.column(7)]
-            out = _solve(cols[0], cols[1], cols[2:6], cols[6].astype(bool), xs, s)
+            out = _solve(cols[0], cols[1], cols[2:6], whole.column(6).to_pylist(), xs, s)
             k = rows[0].column(1).type
             for i in range(0, len(out), 100_000):
                 z = list(zip(*out[i : i + 100_000], strict=True))
@@ -307,7 +340,7 @@ def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataF
         if held:
             yield from solved(held)
 
-    cuts = mine.join(seqs, "key").select("key", "w", "seq").mapInArrow(cut, f"sig bigint, key {kind}, c int, at int, lo int, hi int, loose boolean, x binary")
+    cuts = mine.join(seqs, "key").select("key", "w", "seq").mapInArrow(cut, f"sig bigint, key {kind}, c int, at int, lo int, hi int, loose array<int>, x binary")
     rows = cuts.repartition("sig").sortWithinPartitions("sig", "key", "c")
     return rows.mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double")
 
@@ -345,7 +378,7 @@ def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: s
             for found, x in zip(batch.column(2).to_pylist(), batch.column(3), strict=True):
                 raw, own = x.as_py(), []
                 for region in found:
-                    ws = sorted((max(w["lo"], w["c"] - s.width + 1), min(w["hi"], w["c"] + s.width - 1)) for w in region["w"])
+                    ws = sorted((max(w["lo"], w["c"] - s.width + 1), min(w["hi"], w["c"] + s.width - 1)) for w in region["w"] if w["lo"] <= w["hi"])
                     for lo, hi in _union(ws, s.width):
                         own.append({"diag": region["diag"], "lo": lo, "x": raw[4 * lo : 4 * (hi + 1)]})
                 out.append(own)
@@ -364,15 +397,15 @@ def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: s
                     for p, q, sim in verify(np.frombuffer(z["x"], "<u4"), z["lo"], y, z["diag"], s):
                         out.append((a, k, p, q, z["diag"], sim, None, None))
                         spans.append((p, q))
-                out += [(a, k, w["l"], w["r"], w["c"], None, w["sig"], not any(p <= w["c"] <= q for p, q in spans)) for w in ws]
+                out += [(a, k, w["l"], w["r"], w["c"], None, w["sig"], _starts(max(w["l"], w["c"] - s.width + 1), min(w["r"], w["c"] + s.width - 1), spans, s)) for w in ws]
             cols = list(zip(*out, strict=True)) if out else [[]] * 8
-            types = [batch.column(0).type, batch.column(1).type, pa.int32(), pa.int32(), pa.int32(), pa.float64(), pa.int64(), pa.bool_()]
+            types = [batch.column(0).type, batch.column(1).type, pa.int32(), pa.int32(), pa.int32(), pa.float64(), pa.int64(), pa.list_(pa.int32())]
             for lo in range(0, max(len(out), 1), 100_000):
                 yield pa.RecordBatch.from_arrays([pa.array(c[lo : lo + 100_000], t) for c, t in zip(cols, types, strict=True)], names=names)
 
     cuts = pairs.join(seqs.withColumnRenamed("seq", "x"), "key").select("a", "key", "regions", "x").mapInArrow(cut, f"a {kind}, key {kind}, parts {parts}, nodes {nodes_}")
     both = cuts.join(seqs.select(F.col("key").alias("a"), F.col("seq").alias("y")), "a")
-    checked = sc.keep(both.select("a", "key", "parts", "nodes", "y").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double, sig bigint, loose boolean"), "checked")
+    checked = sc.keep(both.select("a", "key", "parts", "nodes", "y").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double, sig bigint, loose array<int>"), "checked")
     sc.drop("pairs")
     near = checked.where("sig is null").select("key", "start", "stop", "a", "shift", "similarity")
     left = checked.where("sig is not null").select("sig", "key", F.col("shift").alias("c"), F.col("start").alias("l"), F.col("stop").alias("r"), "loose")

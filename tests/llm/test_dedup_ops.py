@@ -152,3 +152,29 @@ def test_near_passages_that_the_least_document_lacks(spark):
     got = passages_of(spark, docs)
     missed = [i for i in range(60) if (3 * i + 2, 3 * i + 1) not in got]
     assert len(missed) <= 1 and not {b for _, b in got} & {3 * i for i in range(60)}
+
+
+def test_passages_that_the_least_document_cuts_off(spark):
+    """Document 1 of each trio ends with the first 44 words of a passage that 2 and 3 begin with."""
+    r = random.Random(22)
+    words = lambda n: [f"q{r.randint(0, 10**8)}" for _ in range(n)]
+    docs = []
+    for i in range(60):
+        p = words(50)
+        docs += [(3 * i, " ".join([*words(60), *p[:44]]), ""), (3 * i + 1, " ".join([*p, *words(60)]), ""), (3 * i + 2, " ".join([*p, *words(60)]), "")]
+    got = passages_of(spark, docs)
+    assert [i for i in range(60) if (3 * i + 2, 3 * i + 1) not in got] == []
+
+
+def test_passages_that_go_on_past_the_least_document(spark):
+    """Document 1 of each trio has the first 90 of the 100 words that 2 and 3 share: the last ten are found, too."""
+    r = random.Random(23)
+    words = lambda n: [f"q{r.randint(0, 10**8)}" for _ in range(n)]
+    docs = []
+    for i in range(40):
+        p = words(100)
+        docs += [(3 * i, " ".join([*words(60), *p[:90]]), ""), (3 * i + 1, " ".join([*p, *words(60)]), ""), (3 * i + 2, " ".join([*p, *words(60)]), "")]
+    ends: dict = {}
+    for x in substring_dedup.repeated_passages(spark.createDataFrame(docs, DOCS)).collect():
+        ends[x.doc_id] = max(x.end, ends.get(x.doc_id, 0))
+    assert [i for i in range(40) if ends.get(3 * i + 1) != 90 or ends.get(3 * i + 2) != 100] == []
