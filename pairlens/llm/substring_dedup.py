@@ -67,9 +67,9 @@ def _sliding(v: np.ndarray, width: int, best=np.minimum) -> np.ndarray:
     return m[: len(v) - width + 1]
 
 
-def nodes(values: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def nodes(values: np.ndarray, width: int, every: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(l, c, r), both ends included, of the nodes of the Cartesian tree that are width wide or more; of equal
-    least values the first is the node. Zeros part texts."""
+    least values the first is the node, or each of them (every). Zeros part texts."""
     none = np.zeros(0, np.int64)
     if len(values) < width:
         return none, none, none
@@ -93,7 +93,9 @@ def nodes(values: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.nd
             go = (r < len(m)) & (m[np.minimum(r, len(m) - 1)] >= own)
             r[go] += k
             again = j == len(levels) - 1 and bool(ok.any() or go.any())
-    # equal hashes that are least in the same stretch count once, by the first: texts that repeat a phrase have many
+    if every:
+        return l, c, r - 1
+    # equal hashes that are least in the same stretch count once, by the first
     one = np.sort(np.unique(l << 32 | r, return_index=True)[1])
     return l[one], c[one], r[one] - 1
 
@@ -127,7 +129,7 @@ def compact_windows(docs: DataFrame, s: Settings, text: str, key: str) -> DataFr
                 for f in range(s.functions):
                     v = np.zeros(len(hashes) + len(part) + 1, np.uint64)
                     v[place] = mix(hashes ^ SALTS[f]) | np.uint64(1)
-                    l, c, r = nodes(v, s.width)  # noqa: E741
+                    l, c, r = nodes(v, s.width, every=True)  # noqa: E741
                     at = np.searchsorted(bases, c, side="right") - 1
                     base = bases[at]
                     for x, y in zip(cols, (mix(v[c] ^ np.uint64(f)).view(np.int64), keys[done + at], c - base, l - base, r - base), strict=True):
@@ -144,7 +146,8 @@ def compact_windows(docs: DataFrame, s: Settings, text: str, key: str) -> DataFr
 def _met(windows: DataFrame, s: Settings, kind: str) -> DataFrame:
     """a, key, diag, c, lo, hi, sig, l, r: windows (key) joined with that of the least document (a) of their signature
     where the two have a passage's width in common. A window that is alone with the least one has no sig; one that isn't
-    and has less in common with it comes with lo past hi, for the others of its signature. The windows are shuffled once and come sorted, so a signature of any number of documents passes by its first one without being
+    and has less in common with it, or is a further one of the least document, comes with lo past hi, for the others of
+    its signature. The windows are shuffled once and come sorted, so a signature of any number of documents passes by its first one without being
     held."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -163,7 +166,8 @@ def _met(windows: DataFrame, s: Settings, kind: str) -> DataFrame:
             wide = hi - lo + 1 >= s.width
             lone = np.zeros(len(sig), bool)
             lone[1:-1] = new[:-2] & ~new[1:-1] & new[2:]
-            ok = (key > a) & (wide | ~lone)
+            wide &= key > a
+            ok = wide | ~lone & ~new
             hi = np.where(wide, hi, lo - 1)
             own = [pa.array(a[ok].astype(key.dtype), b.column(1).type), pa.array(key[ok], b.column(1).type), *(pa.array(x[ok].astype(np.int32)) for x in (diag, c, lo, hi))]
             yield pa.RecordBatch.from_arrays([*own, pa.array(sig[ok], mask=lone[ok]), *(pa.array(x[ok].astype(np.int32)) for x in (l, r))], names=["a", "key", "diag", "c", "lo", "hi", "sig", "l", "r"])

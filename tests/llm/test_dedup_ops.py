@@ -178,3 +178,16 @@ def test_passages_that_go_on_past_the_least_document(spark):
     for x in substring_dedup.repeated_passages(spark.createDataFrame(docs, DOCS)).collect():
         ends[x.doc_id] = max(x.end, ends.get(x.doc_id, 0))
     assert [i for i in range(40) if ends.get(3 * i + 1) != 90 or ends.get(3 * i + 2) != 100] == []
+
+
+def test_exact_copies_of_a_second_place(spark):
+    """Document 1 of each pair has an edited version of a passage, then the passage itself, which document 2 copies."""
+    r = random.Random(24)
+    words = lambda n: [f"q{r.randint(0, 10**8)}" for _ in range(n)]
+    docs = []
+    for i in range(60):
+        p = words(50)
+        edited = [*p[:8], "x", *p[9:40], "y", *p[41:]]
+        docs += [(2 * i, " ".join([*words(30), *edited, *words(2), *p, *words(30)]), ""), (2 * i + 1, " ".join([*words(60), *p, *words(60)]), "")]
+    got = passages_of(spark, docs)
+    assert [i for i in range(60) if (2 * i + 1, 2 * i) not in got] == []
