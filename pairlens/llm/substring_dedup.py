@@ -67,9 +67,9 @@ def _sliding(v: np.ndarray, width: int, best=np.minimum) -> np.ndarray:
     return m[: len(v) - width + 1]
 
 
-def nodes(values: np.ndarray, width: int, every: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def nodes(values: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(l, c, r), both ends included, of the nodes of the Cartesian tree that are width wide or more; of equal
-    least values the first is the node, or each of them (every). Zeros part texts."""
+    least values the first is the node. Zeros part texts."""
     none = np.zeros(0, np.int64)
     if len(values) < width:
         return none, none, none
@@ -93,9 +93,7 @@ def nodes(values: np.ndarray, width: int, every: bool = False) -> tuple[np.ndarr
             go = (r < len(m)) & (m[np.minimum(r, len(m) - 1)] >= own)
             r[go] += k
             again = j == len(levels) - 1 and bool(ok.any() or go.any())
-    if every:
-        return l, c, r - 1
-    # equal hashes that are least in the same stretch count once, by the first
+    # equal hashes that are least in the same stretch count once, by the first: texts that repeat a phrase have many
     one = np.sort(np.unique(l << 32 | r, return_index=True)[1])
     return l[one], c[one], r[one] - 1
 
@@ -129,7 +127,7 @@ def compact_windows(docs: DataFrame, s: Settings, text: str, key: str) -> DataFr
                 for f in range(s.functions):
                     v = np.zeros(len(hashes) + len(part) + 1, np.uint64)
                     v[place] = mix(hashes ^ SALTS[f]) | np.uint64(1)
-                    l, c, r = nodes(v, s.width, every=True)  # noqa: E741
+                    l, c, r = nodes(v, s.width)  # noqa: E741
                     at = np.searchsorted(bases, c, side="right") - 1
                     base = bases[at]
                     for x, y in zip(cols, (mix(v[c] ^ np.uint64(f)).view(np.int64), keys[done + at], c - base, l - base, r - base), strict=True):
@@ -398,6 +396,8 @@ def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: s
                 y = np.frombuffer(y.as_buffer(), "<u4")
                 spans: list[tuple[int, int]] = []
                 for z in own:
+                    if spans and not _starts(z["lo"], z["lo"] + len(z["x"]) // 4 - 1, spans, s):
+                        continue
                     for p, q, sim in verify(np.frombuffer(z["x"], "<u4"), z["lo"], y, z["diag"], s):
                         out.append((a, k, p, q, z["diag"], sim, None, None))
                         spans.append((p, q))
