@@ -115,7 +115,7 @@ add("chk_extractive_sents", m1(lambda p: p.select("pair_id", C.fully_extractive(
 _copy = "SELECT pair_id, CASE WHEN instr(reference, summary) > 0 THEN instr(reference, summary) - 1 END AS copy_offset, CASE WHEN instr(reference, summary) > 0 THEN round((instr(reference, summary) - 1) / length(reference), 6) END AS copy_share, instr(reference, summary) = 1 AS is_prefix FROM "
 add("copy_position", m1(lambda p: p.where(F.length("summary") > 0).select("pair_id", *(c.alias(n) for n, c in C.copy_position(ref(), summ()).items())), "lead_inclusive"), f"WITH {M2} {_copy} m2 WHERE length(summary) > 0")
 add("copy_similarity", m1(lambda p: p.select("pair_id", F.round(C.jaccard(ref(), summ()), 6).alias("jaccard"))), _p + f"round(len(list_intersect(list_distinct({toks('reference')}), list_distinct({toks('summary')}))) / nullif(len(list_distinct(list_concat({toks('reference')}, {toks('summary')}))), 0)::DOUBLE, 6) AS jaccard FROM m1")
-add("copy_edits", m1(lambda p: p.select("pair_id", F.levenshtein(F.substring("reference", 1, 40), F.substring("summary", 1, 40)).alias("edits"))))
+add("copy_edits", m1(lambda p: p.select("pair_id", F.levenshtein("reference", "summary").alias("edits"))))
 
 
 def near_copy(s: SparkSession, d: str) -> DataFrame:
@@ -193,12 +193,12 @@ add("k_hat", m1(lambda p: B.with_k(p, B.mean_ratio(p)).select("pair_id", "k")),
 add("lead_k", m1(lambda p: B.lead_k(p, B.mean_ratio(p)).select("pair_id", "output")), _ratio + f"SELECT pair_id, {_lead('k')} AS output FROM ks")
 add("random_k", m1(lambda p: B.random_k(p, B.mean_ratio(p)).select("pair_id", "output")))
 for _w in ("hashed", "tfidf", "overlap"):
-    add(f"central_{_w}", (lambda w: m1(lambda p: B.central(p.where("split = 'test'"), B.mean_ratio(p), w).select("pair_id", "output")))(_w))
-add("central_threshold", m1(lambda p: B.central(p.where("split = 'test'"), B.mean_ratio(p), graph="threshold").select("pair_id", "output")))
+    add(f"central_{_w}", (lambda w: m1(lambda p: B.central(p, B.mean_ratio(p), w).select("pair_id", "output")))(_w))
+add("central_threshold", m1(lambda p: B.central(p, B.mean_ratio(p), graph="threshold").select("pair_id", "output")))
 _deg = "SELECT e.vec_id, e.label, (SELECT count(*) FROM embeddings f WHERE f.label = e.label AND f.vec_id <> e.vec_id AND round(list_dot_product(e.embedding::DOUBLE[], f.embedding::DOUBLE[]), 6) >= {t}) AS degree FROM embeddings e"
 add("central_degree", lambda s, d: B.vector_degree(load(s, d, "embeddings")), _deg.format(t=0.1))
 add("central_vectors", lambda s, d: B.vector_degree(load(s, d, "embeddings"), threshold=0.3), _deg.format(t=0.3))
-add("oracle_extract", m1(lambda p: B.oracle_extract(p.where("split = 'test'")).select("pair_id", "output")))
+add("oracle_extract", m1(lambda p: B.oracle_extract(p).select("pair_id", "output")))
 
 # scores
 add("tokens", m1(lambda p: p.select("pair_id", F.array_join(T.tokens(summ()), " ").alias("tokens"))), _p + f"array_to_string({toks('summary')}, ' ') AS tokens FROM m1")

@@ -126,3 +126,25 @@ def test_every_oracle_belongs_to_a_query():
 def test_review_of_nothing(spark):
     none = pairs(spark, [])
     assert review.violin(sieve.Sieve().label(none)).count() == 0 and baselines.lead(none).count() == 0
+
+
+@pytest.mark.parametrize("name", ["central_hashed", "central_tfidf", "central_overlap", "central_threshold", "oracle_extract"])
+def test_baselines_cover_every_pair(spark, name):
+    got = [r.pair_id for r in pair_queries.Q[name](spark, SF).collect()]
+    assert sorted(got) == sorted(r.pair_id for r in mappings.headline_body(spark, SF).collect())
+
+
+def test_edits_of_whole_texts(spark):
+    def edits(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            last, row[0] = row[0], i
+            for j, y in enumerate(b, 1):
+                last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+        return row[-1]
+
+    p = {r.pair_id: r for r in mappings.headline_body(spark, SF).collect()}
+    got = {r.pair_id: r.edits for r in pair_queries.Q["copy_edits"](spark, SF).collect()}
+    assert set(got) == set(p)
+    for i in sorted(p, key=lambda k: len(p[k].reference) * len(p[k].summary))[:: max(1, len(p) // 12)][:12]:
+        assert got[i] == edits(p[i].reference, p[i].summary)
