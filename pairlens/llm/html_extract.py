@@ -35,24 +35,17 @@ class Node:
 
 
 def parse(page: str) -> Node:
-    """A tree of what may be text: unwanted elements are left out as they are read. Ends of elements that are missing are supplied."""
+    """A tree of what may be text: unwanted elements are read by the same rules and left out. Ends of elements that are missing are supplied."""
     root = node = Node("html", None)
-    skip, depth, pos = None, 0, 0
+    unwanted: list[Node] = []
+    pos = 0
     for m in _tokens(page):
         start, end, closing, tag, attrs = m
-        if skip is None and start > pos:
+        if start > pos:
             node.kids.append(page[pos:start])
         pos = end
         if tag is None:
             continue
-        if skip is not None:
-            if tag == skip and tag not in VOID:
-                depth += -1 if closing else 1
-                if depth <= 0:
-                    skip = None
-            elif closing and tag in ("body", "html"):
-                skip = None
-            continue
         if closing:
             if tag == "p" or tag not in VOID:
                 up = node
@@ -68,19 +61,15 @@ def parse(page: str) -> Node:
                 up = up.parent
             if up.tag in same and up is not root:
                 node = up.parent
-        bonus = 0.0
+        bonus, wanted = 0.0, tag not in DROPPED or tag == "header" and node.tag == "article"
         if attrs:
             own = {k.lower(): a or b or c for k, a, b, c in ATTRIBUTE.findall(attrs)}
             named = f"{own.get('class', '')} {own.get('id', '')} {own.get('role', '')}".lower()
             hidden = "hidden" in own or "display:none" in own.get("style", "").replace(" ", "").lower() or own.get("aria-hidden") == "true"
             if hidden or (named.strip() and UNLIKELY.search(named) and tag not in ("html", "body", "article", "main")):
-                if tag not in VOID:
-                    skip, depth = tag, 1
-                continue
+                wanted = False
             bonus = 25.0 if LIKELY.search(named) else 0.0
-        if tag in DROPPED and not (tag == "header" and node.tag == "article"):
-            if tag not in VOID:
-                skip, depth = tag, 1
+        if not wanted and tag in VOID:
             continue
         if tag in VOID:
             if tag in ("br", "hr", "wbr"):
@@ -89,9 +78,14 @@ def parse(page: str) -> Node:
         child = Node(tag, node, bonus + {"article": 50.0, "main": 25.0, "section": 5.0, "div": 5.0, "pre": 3.0, "td": 3.0, "blockquote": 3.0}.get(tag, 0.0))
         node.kids.append(child)
         node = child
-    if skip is None and pos < len(page):
+        if not wanted:
+            unwanted.append(child)
+    if pos < len(page):
         tail = page[pos:]
         node.kids.append(tail if not re.match(r"</?[a-zA-Z!]", tail) else "")
+    for n in unwanted:
+        n.kids.clear()
+        n.tag, n.bonus = "span", 0.0
     return root
 
 

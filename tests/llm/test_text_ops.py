@@ -154,3 +154,9 @@ def test_rules_are_learned_and_hold_out(spark):
     bad, good = [x for x in held if x.quality == 0], [x for x in held if x.quality == 1 and not x.base_failed]
     assert sum(not x.kept for x in bad) >= 0.9 * len(bad) and sum(x.kept for x in good) >= 0.98 * len(good)
     assert quality_rules.learn(docs, labels.where("doc_id < 0")).rules == []
+
+
+def test_dropped_elements_end_where_their_ends_are_implied():
+    assert html_extract.main_text('<body><article><p class="notice">Hint<p>Text one</p><p>Text two</p></article></body>') == "Text one\nText two"
+    assert html_extract.main_text('<body><ul><li class="share">Share<li>A point, made here</ul><p>After it, more text</p></body>') == "A point, made here\nAfter it, more text"
+    assert html_extract.main_text('<body><main><div class="share"><div>x</div>y</div><p>Kept text</p></main></body>') == "Kept text"
