@@ -116,10 +116,20 @@ def alignment_suspects(pairs: DataFrame) -> DataFrame:
 
 
 def runs_of_faults(labelled: DataFrame, min_run: int = 2, block: int = 1_000_000) -> DataFrame:
-    """Runs of neighbours in storage order that all fail; the order is cut in blocks of seq, so no task gets it all."""
+    """Runs of neighbours in storage order that all fail; the order is cut in blocks of seq, so no task gets it all, and
+    runs over an edge of blocks are put together again (at most two pieces a block)."""
     b = F.floor(F.col("seq") / block)
     w = W.partitionBy("block").orderBy("seq")
     marked = labelled.select("seq", "verdict", b.alias("block")).withColumn("bad", F.col("verdict") != "valid")
     v = W.partitionBy("block", "bad").orderBy("seq")
-    isles = marked.withColumn("isle", F.row_number().over(w) - F.row_number().over(v)).where("bad")
-    return isles.groupBy("block", "isle").agg(F.min("seq").alias("first_seq"), F.max("seq").alias("last_seq"), F.count(F.lit(1)).alias("n")).where(F.col("n") >= min_run).select("first_seq", "last_seq", "n")
+    ends = W.partitionBy("block")
+    isles = marked.withColumn("isle", F.row_number().over(w) - F.row_number().over(v)).withColumn("lo", F.min("seq").over(ends)).withColumn("hi", F.max("seq").over(ends))
+    # pieces that don't fail stay in until they have parted those that do
+    pieces = isles.groupBy("block", "bad", "isle").agg(F.min("seq").alias("first_seq"), F.max("seq").alias("last_seq"), F.count(F.lit(1)).alias("n"), F.first("lo").alias("lo"), F.first("hi").alias("hi"))
+    inner = F.col("bad") & (F.col("first_seq") > F.col("lo")) & (F.col("last_seq") < F.col("hi"))
+    edge = pieces.where((F.col("first_seq") == F.col("lo")) | (F.col("last_seq") == F.col("hi")))
+    order = W.orderBy("first_seq")
+    joined = (F.col("first_seq") == F.col("lo")) & F.lag("bad").over(order) & F.col("bad")
+    edge = edge.withColumn("run", F.sum(F.when(joined, 0).otherwise(1)).over(order)).where("bad")
+    whole = edge.groupBy("run").agg(F.min("first_seq").alias("first_seq"), F.max("last_seq").alias("last_seq"), F.sum("n").alias("n"))
+    return pieces.where(inner).select("first_seq", "last_seq", "n").unionByName(whole.select("first_seq", "last_seq", "n")).where(F.col("n") >= min_run)

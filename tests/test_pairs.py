@@ -148,3 +148,20 @@ def test_edits_of_whole_texts(spark):
     assert set(got) == set(p)
     for i in sorted(p, key=lambda k: len(p[k].reference) * len(p[k].summary))[:: max(1, len(p) // 12)][:12]:
         assert got[i] == edits(p[i].reference, p[i].summary)
+
+
+def test_fault_runs_over_block_edges(spark):
+    import random
+
+    r = random.Random(6)
+    rows = [(i, "valid" if r.random() < 0.4 else "low_cr") for i in range(0, 400) if i // 10 != 7 and r.random() < 0.8]
+    exp, held = [], []
+    for i, v in [*rows, (-1, "valid")]:
+        if v != "valid":
+            held.append(i)
+        else:
+            exp += [(held[0], held[-1], len(held))] if len(held) >= 2 else []
+            held = []
+    df = spark.createDataFrame(rows, "seq long, verdict string")
+    for block in (3, 10, 1000):
+        assert sorted(tuple(x) for x in dedup.runs_of_faults(df, block=block).collect()) == exp
