@@ -8,8 +8,8 @@ Steps, each on columns as narrow as they can be:
    square. Sizes, then signatures rule out most false pairs; the rest are confirmed on full sets.
 4. A star can miss a link between two members that both differ from the least one. So after the components are known,
    in buckets that still hold several, members outside the largest meet a few of its members; and what is apart even
-   then is compared with all members of other components. Then every pair that shares a bucket is either in one
-   component or compared.
+   then is compared with all members of other components, inside the bucket and on full sets, and only links that join
+   two components come out. Then every pair that shares a bucket is either in one component or compared.
 5. Confirmed links become components.
 """
 
@@ -19,7 +19,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pairlens.llm.components import components
@@ -32,6 +32,9 @@ BANDS, ROWS = 32, 4
 SLACK = 6.0
 #: Members of a bucket's main component that those outside it meet before they are compared with all.
 LEADERS = 4
+#: Rows of a block of queries and of members when signatures are compared, and shingles of either when full sets are.
+QUERY_ROWS, MEMBER_ROWS = 4_096, 65_536
+QUERY_SHINGLES, MEMBER_SHINGLES = 1 << 19, 1 << 23
 _rng = np.random.Generator(np.random.PCG64(97))
 MULTIPLY = _rng.integers(1, 2**63, BANDS * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 ADD = _rng.integers(0, 2**63, BANDS * ROWS, dtype=np.uint64)
@@ -175,8 +178,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, text:
         parts = s.keep(components(links, s, f"{tag}-cc"), f"{tag}-parts")
         held = shared.select("bucket", "id").join(parts.withColumnRenamed("node", "id"), "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("component"))
         counts = held.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("m"))
-        main = counts.groupBy("bucket").agg(F.max(F.struct("m", "component")).alias("top"), F.count(F.lit(1)).alias("k")).where("k > 1").select("bucket", F.col("top.component").alias("main"))
-        return s.keep(held.join(main, "bucket"), f"{tag}-torn")
+        main = counts.groupBy("bucket").agg(F.max(F.struct("m", "component")).alias("top"), F.sum("m").alias("total"), F.count(F.lit(1)).alias("k")).where("k > 1")
+        return s.keep(held.join(main.select("bucket", F.col("top.component").alias("main"), (F.col("total") - F.col("top.m")).alias("mine"), "total"), "bucket"), f"{tag}-torn")
 
     links = confirm(screen(shared.where("a < id").select("a", F.col("id").alias("b")).distinct()), "star")
     # members that the least one doesn't reach meet some others of the main component, as many for each
@@ -185,48 +188,213 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, text:
     more = open_.where("component <> main").join(others, "bucket").select("id", F.explode(F.array(*(f"o{i}" for i in range(LEADERS)))).alias("o"))
     links = s.keep(links.unionByName(confirm(screen(more.select(F.least("id", "o").alias("a"), F.greatest("id", "o").alias("b")).distinct()), "more")), "links")
     # what is still apart is compared with all members of other components, in blocks
-    open_ = torn(links, "second").select("bucket", "id", "component", (F.col("component") == F.col("main")).alias("main")).join(small, "id")
-    links = links.unionByName(confirm(_apart(open_, percent).distinct(), "rest"))
-    final = components(links, s, "all")
+    open_ = torn(links, "second").select("bucket", "id", "component", (F.col("component") == F.col("main")).alias("main"), "mine", "total").join(small, "id")
+    final = components(links.unionByName(_apart(open_, sets, percent, s)), s, "all")
+    for tag in ("reps", "shared", "sets", "links", "maybe", "rest-links", *(f"{x}-{y}" for x in ("star", "more") for y in ("pairs", "links")), *(f"{x}-{y}" for x in ("first", "second") for y in ("parts", "torn"))):
+        s.drop(tag)
     out = sk.join(classes, ["f1", "f2", "n"], "left").select("id", "n", "rep")
     out = out.join(final.select(F.col("node").alias("rep"), "component"), "rep", "left")
     group = F.coalesce("component", "rep", "id")
     return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), group.alias("component_id"), group.eqNullSafe(F.col("id")).alias("kept"))
 
 
-def _apart(open_: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) of a bucket's members outside its main component with all members of other components, screened by
-    size and signature. Rows come sorted with those outside first; these are the query set of the bucket, against which
-    its rows pass in batches, so no pair is made that the screen rules out."""
-    size, t = BANDS * ROWS, percent / 100
-    least = size * t - SLACK * (size * t * (1 - t)) ** 0.5
-    kind = open_.schema["id"].dataType.simpleString()
+def _cells(rows: DataFrame, mine: Column, all_: Column) -> DataFrame:
+    """rows (with bucket, id, main) once for each cell they are in, dealt by cell and sorted with the queries first.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bucket, asked = None, []
-        for batch in batches:
-            buckets, main = batch.column(0).to_numpy(), batch.column(3).to_numpy(zero_copy_only=False)
-            ids, comp, n = (batch.column(i).to_numpy() for i in (1, 2, 4))
-            sig = np.frombuffer(b"".join(batch.column(5).to_pylist()), np.uint8).reshape(-1, size)
-            edges = [0, *(np.flatnonzero(buckets[1:] != buckets[:-1]) + 1).tolist(), len(buckets)]
-            found: list[np.ndarray] = []
-            for lo, hi in zip(edges[:-1], edges[1:], strict=True):
-                if lo == hi:
-                    continue
-                if buckets[lo] != bucket:
-                    bucket, asked = buckets[lo], []
-                for i in range(lo, hi):
-                    if not main[i]:
-                        asked.append((ids[i], comp[i], n[i], sig[i].copy()))
-                for x, c, m, g in asked:
-                    ok = (comp[lo:hi] != c) & (100 * np.minimum(n[lo:hi], m) >= percent * np.maximum(n[lo:hi], m))
-                    at = np.flatnonzero(ok)
-                    at = at[(sig[lo:hi][at] == g).sum(1) >= least]
-                    if len(at):
-                        y = ids[lo:hi][at]
-                        found.append(np.stack([np.minimum(x, y), np.maximum(x, y)]))
-            both = np.unique(np.concatenate(found, 1), axis=1) if found else np.zeros((2, 0), ids.dtype)
-            yield pa.RecordBatch.from_arrays([pa.array(both[0], batch.column(1).type), pa.array(both[1], batch.column(1).type)], names=["a", "b"])
-
-    rows = open_.repartition("bucket").sortWithinPartitions("bucket", "main")
-    return rows.select("bucket", "id", "component", "main", "n", "sig").mapInArrow(run, f"a {kind}, b {kind}")
+    A bucket's members outside its main component are its queries, cut in blocks; all its members are cut in blocks as
+    well. A cell is a block of queries and a block of members, so one task never holds more than a block of queries,
+    and a large bucket is spread over as many tasks as it has cells. mine and all_: blocks of either kind.
+    """
+    rows = rows.withColumn("nq", mine).withColumn("nm", all_)
+    rows = rows.withColumn("bq", F.pmod(F.xxhash64("id", F.lit(1)), F.col("nq")).cast("int")).withColumn("bm", F.pmod(F.xxhash64("id", F.lit(2)), F.col("nm")).cast("int"))
+    as_member = F.transform(F.sequence(F.lit(0), F.col("nq") - 1), lambda q: F.struct(q.alias("q"), F.col("bm").alias("j"), (~F.col("main") & (q == F.col("bq"))).alias("asks"), F.lit(True).alias("is_asked")))
+    as_query = F.transform(F.filter(F.sequence(F.lit(0), F.col("nm") - 1), lambda j: j != F.col("bm")), lambda j: F.struct(F.col("bq").alias("q"), j.alias("j"), F.lit(True).alias("asks"), F.lit(False).alias("is_asked")))
+    cells = F.when(F.col("main"), as_member).otherwise(F.concat(as_member, as_query))
+    out = rows.withColumn("cell", F.explode(cells)).select("*", "cell.*").drop("cell", "nq", "nm", "bq", "bm")
+    return out.repartition("bucket", "q", "j").sortWithinPartitions("bucket", "q", "j", F.col("asks").desc())
+
+
+class _Met:
+    """What a cell does with its rows: open() takes the queries as one batch, meet() members, close() the end; all
+    yield batches. Members may be among the queries."""
+
+    def open(self, queries: pa.RecordBatch) -> None: ...
+
+    def meet(self, members: pa.RecordBatch) -> Iterator[pa.RecordBatch]: ...
+
+    def close(self) -> Iterator[pa.RecordBatch]: ...
+
+
+def _pass(batches: Iterator[pa.RecordBatch], met: _Met) -> Iterator[pa.RecordBatch]:
+    """Runs the cells of a task: columns bucket, q, j, asks, is_asked and others, sorted as _cells leaves them."""
+    cell, waiting, opened = None, [], False
+
+    def begin() -> Iterator[pa.RecordBatch]:
+        queries = pa.Table.from_batches(waiting).combine_chunks().to_batches()[0]
+        met.open(queries)
+        yield from met.meet(queries.filter(queries.column(queries.schema.get_field_index("is_asked"))))
+
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        cols = [batch.column(batch.schema.get_field_index(c)).to_numpy(zero_copy_only=False) for c in ("bucket", "q", "j", "asks")]
+        new = np.zeros(batch.num_rows, bool)
+        for c in cols:
+            new[1:] |= c[1:] != c[:-1]
+        edges = [0, *np.flatnonzero(new).tolist(), batch.num_rows]
+        for lo, hi in zip(edges[:-1], edges[1:], strict=True):
+            now, part = tuple(c[lo].item() for c in cols[:3]), batch.slice(lo, hi - lo)
+            if now != cell:
+                if waiting and not opened:
+                    yield from begin()
+                if cell is not None and waiting:
+                    yield from met.close()
+                cell, waiting, opened = now, [], False
+            if cols[3][lo]:
+                waiting.append(part)
+            elif waiting:
+                if not opened:
+                    yield from begin()
+                    opened = True
+                yield from met.meet(part)
+    if waiting:
+        if not opened:
+            yield from begin()
+        yield from met.close()
+
+
+def _column(batch: pa.RecordBatch, name: str) -> pa.Array:
+    return batch.column(batch.schema.get_field_index(name))
+
+
+class _Screen(_Met):
+    """Members and queries of a cell that have a partner in another component, by size and signature. A row that has
+    been found isn't compared with others that have been, so a cell of many alike takes little more than one pass."""
+
+    def __init__(self, percent: int):
+        size, t = BANDS * ROWS, percent / 100
+        self.percent, self.least = percent, size * t - SLACK * (size * t * (1 - t)) ** 0.5
+
+    def read(self, rows: pa.RecordBatch) -> tuple:
+        sig = np.frombuffer(b"".join(_column(rows, "sig").to_pylist()), np.uint8).reshape(-1, BANDS * ROWS)
+        return _column(rows, "component").to_numpy(), _column(rows, "n").to_numpy(), sig
+
+    def open(self, queries: pa.RecordBatch) -> None:
+        self.rows, (self.comp, self.n, self.sig) = queries, self.read(queries)
+        self.hit = np.zeros(queries.num_rows, bool)
+
+    def meet(self, members: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        comp, n, sig = self.read(members)
+        hit = np.zeros(len(comp), bool)
+        for i in range(len(self.comp)):
+            ok = (comp != self.comp[i]) & (100 * np.minimum(n, self.n[i]) >= self.percent * np.maximum(n, self.n[i]))
+            if self.hit[i]:
+                ok &= ~hit
+            at = np.flatnonzero(ok)
+            at = at[np.count_nonzero(sig[at] == self.sig[i], axis=1) >= self.least]
+            if len(at):
+                self.hit[i] = hit[at] = True
+        if hit.any():
+            yield self.out(members.filter(pa.array(hit)))
+
+    def close(self) -> Iterator[pa.RecordBatch]:
+        if self.hit.any():
+            yield self.out(self.rows.filter(pa.array(self.hit)))
+
+    @staticmethod
+    def out(rows: pa.RecordBatch) -> pa.RecordBatch:
+        return rows.select(["bucket", "id", "component", "main", "n"])
+
+
+class _Join(_Met):
+    """Links between a cell's members and queries of different components, by their full sets: an inverted index over
+    the queries' shingles counts what each member shares with each query. Only links that join two components that the
+    task hasn't joined yet come out, so a cell gives fewer links than it has components."""
+
+    #: Counters and postings that are worked on at once.
+    WORK = 1 << 22
+
+    def __init__(self, percent: int):
+        self.percent, self.label, self.up = percent, {}, []
+
+    def top(self, component) -> int:
+        """The joined component's number in this task."""
+        x = self.label.setdefault(component, len(self.up))
+        if x == len(self.up):
+            self.up.append(x)
+        while self.up[x] != x:
+            self.up[x] = self.up[self.up[x]]
+            x = self.up[x]
+        return x
+
+    @staticmethod
+    def sets(rows: pa.RecordBatch) -> list[np.ndarray]:
+        return [np.frombuffer(x.as_buffer(), np.uint64) for x in _column(rows, "members")]
+
+    def open(self, queries: pa.RecordBatch) -> None:
+        xs = self.sets(queries)
+        self.ids, self.comp, self.n = _column(queries, "id"), _column(queries, "component").to_pylist(), np.array([len(x) for x in xs])
+        flat, owner = np.concatenate(xs), np.repeat(np.arange(len(xs)), self.n)
+        order = np.argsort(flat, kind="stable")
+        self.flat, self.owner = flat[order], owner[order]
+
+    def meet(self, members: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        roots = np.array([self.top(c) for c in self.comp])
+        ids, comp, xs = _column(members, "id"), _column(members, "component").to_pylist(), self.sets(members)
+        out: list[tuple[int, int]] = []
+        lo = 0
+        while lo < len(xs):
+            if (roots == roots[0]).all():  # then only members elsewhere matter
+                while lo < len(xs) and self.top(comp[lo]) == roots[0]:
+                    lo += 1
+                if lo == len(xs):
+                    break
+            hi = lo + max(1, min(len(xs) - lo, self.WORK // len(self.n), 64))
+            flat = np.concatenate(xs[lo:hi])
+            size = np.array([len(x) for x in xs[lo:hi]])
+            first, last = np.searchsorted(self.flat, flat, "left"), np.searchsorted(self.flat, flat, "right")
+            per, row = last - first, np.repeat(np.arange(hi - lo), size)
+            shared = np.zeros((hi - lo) * len(self.n), np.int64)
+            ends = np.cumsum(per)
+            p = 0
+            while p < len(per):  # so many postings at once
+                q = max(p + 1, int(np.searchsorted(ends, (ends[p - 1] if p else 0) + self.WORK, "right")))
+                k = per[p:q]
+                at = np.arange(k.sum()) - np.repeat(np.cumsum(k) - k, k) + np.repeat(first[p:q], k)
+                shared += np.bincount(np.repeat(row[p:q] * len(self.n), k) + self.owner[at], minlength=len(shared))
+                p = q
+            shared = shared.reshape(hi - lo, -1)
+            near = 100 * shared >= self.percent * (size[:, None] + self.n[None, :] - shared)
+            for i in np.flatnonzero(near.any(1)).tolist():
+                own = self.top(comp[lo + i])
+                for j in np.flatnonzero(near[i] & (roots != own)).tolist():
+                    if roots[j] != own:
+                        out.append((lo + i, j))
+                        old = roots[j]
+                        self.up[old] = own
+                        roots[roots == old] = own
+            lo = hi
+        if out:
+            x, y = ids.take(pa.array([i for i, _ in out])), self.ids.take(pa.array([j for _, j in out]))
+            less = pa.compute.less(x, y)
+            yield pa.RecordBatch.from_arrays([pa.compute.if_else(less, x, y), pa.compute.if_else(less, y, x)], names=["a", "b"])
+
+    def close(self) -> Iterator[pa.RecordBatch]:
+        yield from ()
+
+
+def _apart(open_: DataFrame, sets: DataFrame, percent: int, s: Scratch) -> DataFrame:
+    """Links (a, b) that join components which meet in a bucket. open_: bucket, id, component, main, mine, total, n, sig.
+
+    Signatures first tell which members have a possible partner in another component; only these, not pairs of them,
+    come out. Their full sets then meet inside the bucket. So rows grow with the members, however alike they are.
+    """
+    kind = open_.schema["id"].dataType.simpleString()
+    count = lambda c, per: F.ceil(F.greatest(F.col(c), F.lit(1)) / per).cast("int")
+    dealt = _cells(open_, count("mine", QUERY_ROWS), count("total", MEMBER_ROWS))
+    maybe = dealt.select("bucket", "q", "j", "asks", "is_asked", "id", "component", "main", "n", "sig").mapInArrow(lambda b: _pass(b, _Screen(percent)), f"bucket bigint, id {kind}, component {kind}, main boolean, n bigint")
+    maybe = s.keep(maybe.distinct(), "maybe")
+    size = maybe.groupBy("bucket").agg(F.sum(F.when(~F.col("main"), F.col("n"))).alias("mine"), F.sum("n").alias("total"))
+    dealt = _cells(maybe.join(size, "bucket").join(sets, "id"), count("mine", QUERY_SHINGLES), count("total", MEMBER_SHINGLES))
+    found = dealt.select("bucket", "q", "j", "asks", "is_asked", "id", "component", "members").mapInArrow(lambda b: _pass(b, _Join(percent)), f"a {kind}, b {kind}")
+    return s.keep(found.distinct(), "rest-links")

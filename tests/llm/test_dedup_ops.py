@@ -32,6 +32,33 @@ def test_near_duplicates_equal_all_pairs(spark, edits):
     assert got == brute.components([d[:2] for d in docs])
 
 
+def test_near_duplicates_of_the_given_documents(spark):
+    df = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in minhash_dedup.near_duplicates(df, shingle=4).collect()}
+    assert got == brute.components([(r.doc_id, r.text) for r in df.select("doc_id", "text").collect()])
+
+
+@pytest.mark.parametrize("blocks", [None, (40, 100, 4_000, 9_000)])
+def test_a_large_group_of_near_copies(spark, monkeypatch, blocks):
+    """One bucket holds hundreds that are near the threshold: the result is whole and no stage makes rows by pairs."""
+    if blocks:
+        for name, x in zip(("QUERY_ROWS", "MEMBER_ROWS", "QUERY_SHINGLES", "MEMBER_SHINGLES"), blocks, strict=True):
+            monkeypatch.setattr(minhash_dedup, name, x)
+    docs, rows = near_copies(900, 31, 9), {}
+    monkeypatch.setattr(minhash_dedup, "LEADERS", 1)
+    scratch, keep = minhash_dedup.Scratch(spark, "near"), minhash_dedup.Scratch.keep
+
+    def counted(self, df, tag):
+        out = keep(self, df, tag)
+        rows[tag] = out.count()
+        return out
+
+    monkeypatch.setattr(minhash_dedup.Scratch, "keep", counted)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in minhash_dedup.near_duplicates(spark.createDataFrame(docs, DOCS), shingle=4, scratch=scratch).collect()}
+    assert got == brute.components([d[:2] for d in docs])
+    assert rows["maybe"] > 0 and rows["rest-links"] > 0 and max(rows.values()) <= 33 * len(docs) and rows["rest-links"] <= 2 * len(docs)
+
+
 def test_near_duplicates_of_nothing(spark):
     assert minhash_dedup.near_duplicates(spark.createDataFrame([], DOCS)).collect() == []
     rows = minhash_dedup.near_duplicates(spark.createDataFrame([(None, "a b c", "x"), (1, "a b c", "x"), (1, "a b c", "x")], DOCS)).collect()
