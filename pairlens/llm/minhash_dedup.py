@@ -32,6 +32,8 @@ BANDS, ROWS = 32, 4
 SLACK = 6.0
 #: Members of a bucket's main component that those outside it meet before they are compared with all.
 LEADERS = 4
+#: Parts in which the rows of one class of equal sets are given their component.
+SALTS = 64
 #: Rows of a block of queries and of members when signatures are compared, and shingles of either when full sets are.
 QUERY_ROWS, MEMBER_ROWS = 4_096, 65_536
 QUERY_SHINGLES, MEMBER_SHINGLES = 1 << 19, 1 << 23
@@ -154,7 +156,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, text:
     spark = docs.sparkSession
     s = scratch or Scratch(spark, "minhash")
     sk = s.keep(sketch(docs, shingle, text, key), "sketch")
-    classes = sk.where("n > 0").groupBy("f1", "f2", "n").agg(F.min("id").alias("rep"))
+    salted = sk.select("id", "n", "f1", "f2", F.pmod(F.xxhash64("id"), F.lit(SALTS)).alias("salt"))  # a class may hold very many copies
+    classes = salted.where("n > 0").groupBy("f1", "f2", "n").agg(F.min("id").alias("rep"), F.collect_set("salt").alias("salts"))
     reps = s.keep(sk.join(classes.select(F.col("rep").alias("id")).distinct(), "id", "left_semi").where("n > 0").dropDuplicates(["id"]).select("id", "n", "bands", "sig"), "reps")
     members = reps.select("id", F.explode("bands").alias("bucket"))
     least = members.groupBy("bucket").agg(F.min("id").alias("a"), F.count(F.lit(1)).alias("m")).where("m > 1").select("bucket", "a")
@@ -192,8 +195,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, text:
     final = components(links.unionByName(_apart(open_, sets, percent, s)), s, "all")
     for tag in ("reps", "shared", "sets", "links", "maybe", "rest-links", *(f"{x}-{y}" for x in ("star", "more") for y in ("pairs", "links")), *(f"{x}-{y}" for x in ("first", "second") for y in ("parts", "torn"))):
         s.drop(tag)
-    out = sk.join(classes, ["f1", "f2", "n"], "left").select("id", "n", "rep")
-    out = out.join(final.select(F.col("node").alias("rep"), "component"), "rep", "left")
+    named = classes.join(final.select(F.col("node").alias("rep"), "component"), "rep", "left").select("f1", "f2", "n", F.explode("salts").alias("salt"), "rep", "component")
+    out = salted.join(named, ["f1", "f2", "n", "salt"], "left")
     group = F.coalesce("component", "rep", "id")
     return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), group.alias("component_id"), group.eqNullSafe(F.col("id")).alias("kept"))
 
