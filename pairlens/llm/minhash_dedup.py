@@ -19,9 +19,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pairlens.llm.cells import Cell, blocks, cells, column, through
 from pairlens.llm.components import components
 from pairlens.llm.shared import Scratch
 from pairlens.llm.textkernel import Words, chunks_of_bytes, mix
@@ -201,76 +202,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, text:
     return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), group.alias("component_id"), group.eqNullSafe(F.col("id")).alias("kept"))
 
 
-def _cells(rows: DataFrame, mine: Column, all_: Column) -> DataFrame:
-    """rows (with bucket, id, main) once for each cell they are in, dealt by cell and sorted with the queries first.
-
-    A bucket's members outside its main component are its queries, cut in blocks; all its members are cut in blocks as
-    well. A cell is a block of queries and a block of members, so one task never holds more than a block of queries,
-    and a large bucket is spread over as many tasks as it has cells. mine and all_: blocks of either kind.
-    """
-    rows = rows.withColumn("nq", mine).withColumn("nm", all_)
-    rows = rows.withColumn("bq", F.pmod(F.xxhash64("id", F.lit(1)), F.col("nq")).cast("int")).withColumn("bm", F.pmod(F.xxhash64("id", F.lit(2)), F.col("nm")).cast("int"))
-    as_member = F.transform(F.sequence(F.lit(0), F.col("nq") - 1), lambda q: F.struct(q.alias("q"), F.col("bm").alias("j"), (~F.col("main") & (q == F.col("bq"))).alias("asks"), F.lit(True).alias("is_asked")))
-    as_query = F.transform(F.filter(F.sequence(F.lit(0), F.col("nm") - 1), lambda j: j != F.col("bm")), lambda j: F.struct(F.col("bq").alias("q"), j.alias("j"), F.lit(True).alias("asks"), F.lit(False).alias("is_asked")))
-    cells = F.when(F.col("main"), as_member).otherwise(F.concat(as_member, as_query))
-    out = rows.withColumn("cell", F.explode(cells)).select("*", "cell.*").drop("cell", "nq", "nm", "bq", "bm")
-    return out.repartition("bucket", "q", "j").sortWithinPartitions("bucket", "q", "j", F.col("asks").desc())
-
-
-class _Met:
-    """What a cell does with its rows: open() takes the queries as one batch, meet() members, close() the end; all
-    yield batches. Members may be among the queries."""
-
-    def open(self, queries: pa.RecordBatch) -> None: ...
-
-    def meet(self, members: pa.RecordBatch) -> Iterator[pa.RecordBatch]: ...
-
-    def close(self) -> Iterator[pa.RecordBatch]: ...
-
-
-def _pass(batches: Iterator[pa.RecordBatch], met: _Met) -> Iterator[pa.RecordBatch]:
-    """Runs the cells of a task: columns bucket, q, j, asks, is_asked and others, sorted as _cells leaves them."""
-    cell, waiting, opened = None, [], False
-
-    def begin() -> Iterator[pa.RecordBatch]:
-        queries = pa.Table.from_batches(waiting).combine_chunks().to_batches()[0]
-        met.open(queries)
-        yield from met.meet(queries.filter(queries.column(queries.schema.get_field_index("is_asked"))))
-
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        cols = [batch.column(batch.schema.get_field_index(c)).to_numpy(zero_copy_only=False) for c in ("bucket", "q", "j", "asks")]
-        new = np.zeros(batch.num_rows, bool)
-        for c in cols:
-            new[1:] |= c[1:] != c[:-1]
-        edges = [0, *np.flatnonzero(new).tolist(), batch.num_rows]
-        for lo, hi in zip(edges[:-1], edges[1:], strict=True):
-            now, part = tuple(c[lo].item() for c in cols[:3]), batch.slice(lo, hi - lo)
-            if now != cell:
-                if waiting and not opened:
-                    yield from begin()
-                if cell is not None and waiting:
-                    yield from met.close()
-                cell, waiting, opened = now, [], False
-            if cols[3][lo]:
-                waiting.append(part)
-            elif waiting:
-                if not opened:
-                    yield from begin()
-                    opened = True
-                yield from met.meet(part)
-    if waiting:
-        if not opened:
-            yield from begin()
-        yield from met.close()
-
-
-def _column(batch: pa.RecordBatch, name: str) -> pa.Array:
-    return batch.column(batch.schema.get_field_index(name))
-
-
-class _Screen(_Met):
+class _Screen(Cell):
     """Members and queries of a cell that have a partner in another component, by size and signature. A row that has
     been found isn't compared with others that have been, so a cell of many alike takes little more than one pass."""
 
@@ -279,8 +211,8 @@ class _Screen(_Met):
         self.percent, self.least = percent, size * t - SLACK * (size * t * (1 - t)) ** 0.5
 
     def read(self, rows: pa.RecordBatch) -> tuple:
-        sig = np.frombuffer(b"".join(_column(rows, "sig").to_pylist()), np.uint8).reshape(-1, BANDS * ROWS)
-        return _column(rows, "component").to_numpy(), _column(rows, "n").to_numpy(), sig
+        sig = np.frombuffer(b"".join(column(rows, "sig").to_pylist()), np.uint8).reshape(-1, BANDS * ROWS)
+        return column(rows, "component").to_numpy(), column(rows, "n").to_numpy(), sig
 
     def open(self, queries: pa.RecordBatch) -> None:
         self.rows, (self.comp, self.n, self.sig) = queries, self.read(queries)
@@ -309,7 +241,7 @@ class _Screen(_Met):
         return rows.select(["bucket", "id", "component", "main", "n"])
 
 
-class _Join(_Met):
+class _Join(Cell):
     """Links between a cell's members and queries of different components, by their full sets: an inverted index over
     the queries' shingles counts what each member shares with each query. Only links that join two components that the
     task hasn't joined yet come out, so a cell gives fewer links than it has components."""
@@ -332,18 +264,18 @@ class _Join(_Met):
 
     @staticmethod
     def sets(rows: pa.RecordBatch) -> list[np.ndarray]:
-        return [np.frombuffer(x.as_buffer(), np.uint64) for x in _column(rows, "members")]
+        return [np.frombuffer(x.as_buffer(), np.uint64) for x in column(rows, "members")]
 
     def open(self, queries: pa.RecordBatch) -> None:
         xs = self.sets(queries)
-        self.ids, self.comp, self.n = _column(queries, "id"), _column(queries, "component").to_pylist(), np.array([len(x) for x in xs])
+        self.ids, self.comp, self.n = column(queries, "id"), column(queries, "component").to_pylist(), np.array([len(x) for x in xs])
         flat, owner = np.concatenate(xs), np.repeat(np.arange(len(xs)), self.n)
         order = np.argsort(flat, kind="stable")
         self.flat, self.owner = flat[order], owner[order]
 
     def meet(self, members: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         roots = np.array([self.top(c) for c in self.comp])
-        ids, comp, xs = _column(members, "id"), _column(members, "component").to_pylist(), self.sets(members)
+        ids, comp, xs = column(members, "id"), column(members, "component").to_pylist(), self.sets(members)
         out: list[tuple[int, int]] = []
         lo = 0
         while lo < len(xs):
@@ -393,11 +325,11 @@ def _apart(open_: DataFrame, sets: DataFrame, percent: int, s: Scratch) -> DataF
     come out. Their full sets then meet inside the bucket. So rows grow with the members, however alike they are.
     """
     kind = open_.schema["id"].dataType.simpleString()
-    count = lambda c, per: F.ceil(F.greatest(F.col(c), F.lit(1)) / per).cast("int")
-    dealt = _cells(open_, count("mine", QUERY_ROWS), count("total", MEMBER_ROWS))
-    maybe = dealt.select("bucket", "q", "j", "asks", "is_asked", "id", "component", "main", "n", "sig").mapInArrow(lambda b: _pass(b, _Screen(percent)), f"bucket bigint, id {kind}, component {kind}, main boolean, n bigint")
+    outside, first = ~F.col("main"), F.col("asks").desc()
+    dealt = cells(open_, outside, blocks("mine", QUERY_ROWS), blocks("total", MEMBER_ROWS), first)
+    maybe = dealt.select("bucket", "q", "j", "asks", "is_asked", "id", "component", "main", "n", "sig").mapInArrow(lambda b: through(b, _Screen(percent)), f"bucket bigint, id {kind}, component {kind}, main boolean, n bigint")
     maybe = s.keep(maybe.distinct(), "maybe")
     size = maybe.groupBy("bucket").agg(F.sum(F.when(~F.col("main"), F.col("n"))).alias("mine"), F.sum("n").alias("total"))
-    dealt = _cells(maybe.join(size, "bucket").join(sets, "id"), count("mine", QUERY_SHINGLES), count("total", MEMBER_SHINGLES))
-    found = dealt.select("bucket", "q", "j", "asks", "is_asked", "id", "component", "members").mapInArrow(lambda b: _pass(b, _Join(percent)), f"a {kind}, b {kind}")
+    dealt = cells(maybe.join(size, "bucket").join(sets, "id"), outside, blocks("mine", QUERY_SHINGLES), blocks("total", MEMBER_SHINGLES), first)
+    found = dealt.select("bucket", "q", "j", "asks", "is_asked", "id", "component", "members").mapInArrow(lambda b: through(b, _Join(percent)), f"a {kind}, b {kind}")
     return s.keep(found.distinct(), "rest-links")

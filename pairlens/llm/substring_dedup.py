@@ -26,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pairlens.llm.cells import blocks, cells
 from pairlens.llm.shared import Scratch
 from pairlens.llm.textkernel import Words, chunks_of_bytes, mix
 
@@ -33,6 +34,8 @@ _rng = np.random.Generator(np.random.PCG64(11))
 SALTS = _rng.integers(1, 2**63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 #: Tables of minima go up to so many places; wider windows are found by repeated steps.
 TOP_LEVEL = 10
+#: Windows of a signature that ask, and windows of it in all, in one cell.
+QUERIES, MEMBERS = 4_096, 16_384
 
 
 @dataclass(frozen=True)
@@ -229,15 +232,15 @@ def _starts(lo: int, hi: int, spans: list[tuple[int, int]], s: Settings) -> list
     return out + [at, end] if at <= end else out
 
 
-def _solve(sig: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: list[list[int]], xs: list[np.ndarray], s: Settings) -> list[tuple]:
-    """(a, key, start, stop, shift, similarity) among the windows of whole signatures, sorted by signature and key."""
+def _solve(cell: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: list[list[int] | None], xs: list[np.ndarray], s: Settings) -> list[tuple]:
+    """(a, key, start, stop, shift, similarity) among the windows of whole cells, sorted by cell."""
     c, at, lo, hi = ints
     size = np.array([len(x) for x in xs])
     rows = np.flatnonzero(size >= s.width)
     while len(rows):
-        # shingles that another window of the signature has; a passage needs so many of them
+        # shingles that another window of the cell has; a passage needs so many of them
         row = np.repeat(rows, size[rows])
-        group = np.cumsum(np.concatenate([[0], np.diff(sig[rows]) != 0]))
+        group = np.cumsum(np.concatenate([[0], np.diff(cell[rows]) != 0]))
         v = np.repeat(group.astype(np.uint64), size[rows]) << np.uint64(32) | np.concatenate([xs[i] for i in rows.tolist()])
         by = np.argsort(v, kind="stable")
         v, row = v[by], row[by]
@@ -263,40 +266,87 @@ def _solve(sig: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: list
             ask &= sums[s.width :] - sums[: -s.width] >= s.shared
             if ask.any():
                 todo[i] = ask
-    bounds = np.flatnonzero(np.concatenate([[True], np.diff(sig[rows]) != 0, [True]]))
+    bounds = np.flatnonzero(np.concatenate([[True], np.diff(cell[rows]) != 0, [True]]))
     for p, q in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
         mine = rows[p:q]
-        open_ = np.array([i for i in mine.tolist() if i in todo], np.int64)
-        for i in mine.tolist():
-            met = open_[key[open_] > key[i]]
-            if not len(met):
-                if not len(open_) or key[i] >= key[open_[-1]]:
-                    break
-                continue
-            near = np.isin(np.concatenate([xs[j] for j in met.tolist()]), xs[i])
-            met = met[np.add.reduceat(near.astype(np.int64), np.concatenate([[0], np.cumsum(size[met])[:-1]])) >= s.shared]
-            done = []
-            for j in met.tolist():
+        asks = [i for i in mine.tolist() if i in todo]
+        if not asks:
+            continue
+        many = _Aligned(mine, key, c, at, xs, s) if len(mine) * len(asks) > 24 else None
+        for j in asks:
+            ask, part = todo[j], xs[j][lo[j] - at[j] : hi[j] - at[j] + 1]
+            others = mine[key[mine] < key[j]].tolist() if many is None else many.near(j, part, int(lo[j]), ask)
+            for i in others:
                 diag = int(c[j] - c[i])
-                part = xs[j][lo[j] - at[j] : hi[j] - at[j] + 1]
                 for x, y, sim in verify(part, int(lo[j]), xs[i], diag + int(at[i]), s):
                     first = max(0, x - s.width + s.shared - int(lo[j]))
-                    has = todo[j][first : max(first, y - s.shared + 2 - int(lo[j]))]
+                    has = ask[first : max(first, y - s.shared + 2 - int(lo[j]))]
                     if has.any():
                         out.append((key[i].item(), key[j].item(), x, y, diag, sim))
                         has[:] = False
-                if not todo[j].any():
-                    done.append(j)
-            open_ = open_[~np.isin(open_, done)]
+                if not ask.any():
+                    break
     return out
 
 
+class _Aligned:
+    """The windows of a cell as rows of one matrix, laid over each other at c, their shingles numbered. Windows that
+    have the most in common with all come first, as they are the likeliest partners."""
+
+    def __init__(self, mine: np.ndarray, key: np.ndarray, c: np.ndarray, at: np.ndarray, xs: list[np.ndarray], s: Settings):
+        self.s, self.key, self.c = s, key, c
+        self.off = s.width + 2 * s.shift - 1
+        size = np.array([len(xs[i]) for i in mine.tolist()])
+        kinds, ids, count = np.unique(np.concatenate([xs[i] for i in mine.tolist()]), return_inverse=True, return_counts=True)
+        self.none, row = len(kinds), np.repeat(np.arange(len(mine)), size)
+        order = np.argsort(-np.bincount(row, count[ids].astype(np.float64)), kind="stable")
+        to = np.empty(len(mine), np.int64)
+        to[order] = np.arange(len(mine))
+        self.mine, self.place = mine[order], dict(zip(mine.tolist(), to.tolist(), strict=True))
+        place = np.arange(len(ids)) - np.repeat(np.cumsum(size) - size, size) + np.repeat(at[mine] - c[mine] + self.off, size)
+        self.ids = np.full((len(mine), 2 * self.off + 1), self.none, np.int32)
+        self.ids[to[row], place] = ids
+
+    def near(self, j: int, part: np.ndarray, lo: int, ask: np.ndarray) -> Iterator[int]:
+        """Windows of smaller keys that have passages which window j still asks for; ask shrinks between two of them."""
+        s, rows = self.s, np.flatnonzero(self.key[self.mine] < self.key[j])
+        left = lo - int(self.c[j]) + self.off
+        own = self.ids[self.place[j], left : left + len(part)]
+        has = np.zeros(self.none + 1, bool)
+        has[own] = True
+        repeats = has.sum() < len(own)
+        wide, done, step = s.width + 2 * s.shift, 0, 32
+        while done < len(rows) and ask.any():
+            some = rows[done : done + step]
+            done, step = done + step, min(4 * step, 2048)
+            # so many of its shingles must be somewhere in j, inside a stretch of a passage's width and the shifts
+            # (unless j repeats a shingle, which one place may then meet several times)
+            sums = np.cumsum(has[self.ids[some, max(left - s.shift, 0) : left + len(part) + s.shift]], axis=1, dtype=np.int16)
+            most = sums[:, -1] if sums.shape[1] <= wide else np.maximum((sums[:, wide:] - sums[:, :-wide]).max(1), sums[:, wide - 1])
+            some = some[(most >= s.shared) | repeats]
+            if not len(some):
+                continue
+            found = np.zeros((len(some), len(part) + 1), bool)
+            for d in range(-s.shift, s.shift + 1):
+                p, q = max(left + d, 0), min(left + d + len(part), self.ids.shape[1])
+                found[:, 1 + p - left - d : 1 + q - left - d] |= self.ids[some, p:q] == own[p - left - d : q - left - d]
+            sums = np.cumsum(found, axis=1, dtype=np.int16)
+            good = sums[:, s.width :] - sums[:, : -s.width] >= s.shared
+            for i in np.flatnonzero((good & ask).any(1)).tolist():
+                if (good[i] & ask).any():
+                    yield int(self.mine[some[i]])
+                if not ask.any():
+                    break
+
+
 def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataFrame:
     """a, key, start, stop, shift, similarity: windows with passages that no span has (they start in loose), compared with the others of their
-    signature. Only signatures where a loose window isn't the least one's are looked at."""
+    signature, in cells. Only signatures where a loose window isn't the least one's are looked at."""
     far = s.width + s.shift - 1
-    asked = nodes_.groupBy("sig").agg(F.min("key").alias("least"), F.max(F.when(F.size("loose") > 0, F.col("key"))).alias("most")).where("least < most").select("sig")
-    mine = nodes_.join(asked, "sig", "left_semi").groupBy("key").agg(F.collect_list(F.struct("sig", "c", "l", "r", "loose")).alias("w"))
+    asks = F.size("loose") > 0
+    asked = nodes_.groupBy("sig").agg(F.min("key").alias("least"), F.max(F.when(asks, F.col("key"))).alias("most"), F.count_if(asks).alias("mine"), F.count(F.lit(1)).alias("total")).where("least < most").drop("least", "most")
+    asked = asked.withColumnRenamed("sig", "bucket")
+    mine = nodes_.join(asked, F.col("sig") == F.col("bucket"), "left_semi").groupBy("key").agg(F.collect_list(F.struct("sig", "c", "l", "r", "loose")).alias("w"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         types = [pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int32()), pa.binary()]
@@ -320,10 +370,12 @@ def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataF
 
         def solved(rows: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             whole = pa.Table.from_batches(rows).combine_chunks()
-            cols = [whole.column(i).to_numpy() for i in range(6)]
-            xs = [np.frombuffer(x.as_buffer(), "<u4") for x in whole.column(7)]
-            out = _solve(cols[0], cols[1], cols[2:6], whole.column(6).to_pylist(), xs, s)
-            k = rows[0].column(1).type
+            cols = [whole.column(i).to_numpy() for i in range(8)]
+            new = np.ones(whole.num_rows, bool)
+            new[1:] = np.any([x[1:] != x[:-1] for x in cols[:3]], axis=0)
+            xs = [np.frombuffer(x.as_buffer(), "<u4") for x in whole.column(9)]
+            out = _solve(np.cumsum(new), cols[3], cols[4:8], whole.column(8).to_pylist(), xs, s)
+            k = rows[0].column(3).type
             for i in range(0, len(out), 100_000):
                 z = list(zip(*out[i : i + 100_000], strict=True))
                 yield pa.RecordBatch.from_arrays([pa.array(z[0], k), pa.array(z[1], k), *(pa.array(z[j], pa.int32()) for j in (2, 3, 4)), pa.array(z[5], pa.float64())], names=["a", "key", "start", "stop", "shift", "similarity"])
@@ -331,20 +383,21 @@ def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataF
         for b in batches:
             if not b.num_rows:
                 continue
-            sig = b.column(0).to_numpy()
-            if held and sig[-1] == held[-1].column(0)[-1].as_py() and sig[0] == sig[-1]:
+            cells_ = [b.column(i).to_numpy() for i in range(3)]
+            last = int(np.flatnonzero(np.concatenate([[True], np.any([x[1:] != x[:-1] for x in cells_], axis=0)]))[-1])
+            if held and last == 0 and all(x[0] == held[-1].column(i)[-1].as_py() for i, x in enumerate(cells_)):
                 held.append(b)
                 continue
-            first = int(np.searchsorted(sig, sig[-1]))
-            if held or first:
-                yield from solved([*held, b.slice(0, first)])
-            held = [b.slice(first)]
+            if held or last:
+                yield from solved([*held, b.slice(0, last)])
+            held = [b.slice(last)]
         if held:
             yield from solved(held)
 
     cuts = mine.join(seqs, "key").select("key", "w", "seq").mapInArrow(cut, f"sig bigint, key {kind}, c int, at int, lo int, hi int, loose array<int>, x binary")
-    rows = cuts.repartition("sig").sortWithinPartitions("sig", "key", "c")
-    return rows.mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double")
+    rows = cuts.withColumnsRenamed({"sig": "bucket", "key": "id"}).join(asked, "bucket")
+    dealt = cells(rows, asks, blocks("mine", QUERIES), blocks("total", MEMBERS), F.col("id"), F.col("c"))
+    return dealt.select("bucket", "q", "j", "id", "c", "at", "lo", "hi", F.when(F.col("asks"), F.col("loose")).alias("loose"), "x").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double")
 
 
 def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: str = "text", key: str = "doc_id", scratch: Scratch | None = None) -> DataFrame:

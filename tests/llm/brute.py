@@ -56,3 +56,25 @@ def removed(docs, n=50):
         b = (t or "").encode()
         out[d] = {j for i in range(len(b) - n + 1) if first[b[i : i + n]] < d for j in range(i, i + n)}
     return out
+
+
+def near_pairs(docs, words=50, k=5, similarity=0.8):
+    """{(later, earlier)} of documents with two passages of so many words whose shingle sets are that similar."""
+    import numpy as np
+
+    ids: dict = {}
+    rows = []
+    for d, t in sorted(docs):
+        w = WORD.findall((t or "").translate(LOWER))
+        rows.append((d, np.array([ids.setdefault(tuple(w[i : i + k]), len(ids)) for i in range(len(w) - k + 1)], np.int64)))
+    n, out = words - k + 1, set()
+    for i, (a, x) in enumerate(rows):
+        for b, y in rows[i + 1 :]:
+            if min(len(x), len(y)) < n or not len(np.intersect1d(x, y)):
+                continue
+            both = np.zeros((len(x) + 1, len(y) + 1), np.int32)
+            both[1:, 1:] = (x[:, None] == y[None, :]).cumsum(0).cumsum(1)  # shingles don't repeat in these documents
+            shared = both[n:, n:] - both[:-n, n:] - both[n:, :-n] + both[:-n, :-n]
+            if (shared >= similarity * (2 * n - shared)).any():
+                out.add((b, a))
+    return out

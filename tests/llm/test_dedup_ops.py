@@ -218,3 +218,49 @@ def test_exact_copies_of_a_second_place(spark):
         docs += [(2 * i, " ".join([*words(30), *edited, *words(2), *p, *words(30)]), ""), (2 * i + 1, " ".join([*words(60), *p, *words(60)]), "")]
     got = passages_of(spark, docs)
     assert [i for i in range(60) if (2 * i + 1, 2 * i) not in got] == []
+
+
+def edited(r, p, edits):
+    p = list(p)
+    for _ in range(edits):
+        p[r.randrange(len(p))] = f"x{r.randint(0, 10**8)}"
+    return p
+
+
+@pytest.mark.parametrize("cells", [None, (5, 9)])
+def test_passages_equal_all_pairs(spark, monkeypatch, cells):
+    """Every document that has a near passage in an earlier one is linked, at real and at tiny cells."""
+    if cells:
+        monkeypatch.setattr(substring_dedup, "QUERIES", cells[0])
+        monkeypatch.setattr(substring_dedup, "MEMBERS", cells[1])
+    r = random.Random(25)
+    words = lambda n: [f"q{r.randint(0, 10**8)}" for _ in range(n)]
+    docs = []
+    for g in range(16):
+        p = words(68)
+        for i in range(15):
+            docs.append((100 * g + i, " ".join([*words(r.randint(0, 40)), *edited(r, p, r.randint(0, 4)), *words(r.randint(0, 40))]), ""))
+    exp = brute.near_pairs([d[:2] for d in docs])
+    got = passages_of(spark, docs)
+    asked, found = {a for a, _ in exp}, {a for a, _ in got}
+    assert len(docs) >= 200 and len(asked) > 100
+    assert len(asked & found) >= 0.98 * len(asked) and len(got - exp) <= 0.05 * len(got)
+
+
+def test_near_passages_behind_decoys(spark):
+    """Two later documents have a passage with one word changed; eight earlier ones hold twelve words of it each."""
+    r = random.Random(26)
+    words = lambda n: [f"q{r.randint(0, 10**8)}" for _ in range(n)]
+    docs = []
+    for i in range(100):
+        p = words(68)
+        docs += [(1000 * i + j, " ".join([*words(30), *p[8 * j : 8 * j + 12], *words(30)]), "") for j in range(8)]
+        docs += [(1000 * i + 8, " ".join([*words(30), *p, *words(30)]), ""), (1000 * i + 9, " ".join([*words(30), *p[:34], "other", *p[35:], *words(30)]), "")]
+    got = passages_of(spark, docs)
+    assert sum((1000 * i + 9, 1000 * i + 8) in got for i in range(100)) >= 98
+
+
+def test_passages_of_nothing(spark):
+    df = spark.createDataFrame([], DOCS)
+    found = substring_dedup.repeated_passages(df)
+    assert found.collect() == [] and substring_dedup.drop_passages(df, found).collect() == []
