@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from pairlens.llm.cells import blocks, cells
 from pairlens.llm.shared import Scratch
-from pairlens.llm.textkernel import Words, chunks_of_bytes, mix
+from pairlens.llm.textkernel import Words, chunks_of_bytes, mix, running, span_hash
 
 _rng = np.random.Generator(np.random.PCG64(11))
 SALTS = _rng.integers(1, 2**63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -71,8 +71,9 @@ def _sliding(v: np.ndarray, width: int, best=np.minimum) -> np.ndarray:
 
 
 def nodes(values: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(l, c, r), both ends included, of the nodes of the Cartesian tree that are width wide or more; of equal
-    least values the first is the node. Zeros part texts."""
+    """(l, c, r), both ends included, of the nodes of the Cartesian tree that are width wide or more: the subsequences
+    within l to r that have c stand for c's value, and c is the first place that has it. So each subsequence has one
+    node, however often its least value is repeated. Zeros part texts."""
     none = np.zeros(0, np.int64)
     if len(values) < width:
         return none, none, none
@@ -91,14 +92,33 @@ def nodes(values: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.nd
         again = True
         while again:
             to = l - k
-            ok = (to >= 0) & (m[np.clip(to, 0, len(m) - 1)] >= own)
+            ok = (to >= 0) & (m[np.clip(to, 0, len(m) - 1)] > own)
             l[ok] -= k
             go = (r < len(m)) & (m[np.minimum(r, len(m) - 1)] >= own)
             r[go] += k
             again = j == len(levels) - 1 and bool(ok.any() or go.any())
-    # equal hashes that are least in the same stretch count once, by the first: texts that repeat a phrase have many
-    one = np.sort(np.unique(l << 32 | r, return_index=True)[1])
-    return l[one], c[one], r[one] - 1
+    wide = r - l >= width
+    return l[wide], c[wide], r[wide] - 1
+
+
+def _spread(values: np.ndarray, c: np.ndarray, s: Settings) -> np.ndarray:
+    """Which nodes stay. A phrase said over and over gives a text many nodes of one value: of those within the places
+    that words may be shifted the first stays, and of those with the same surroundings one in each width. The passages
+    of the others lie in the spans of those that stay."""
+    stay, text = np.ones(len(c), bool), np.cumsum(values == 0)[c]
+    by = np.lexsort((c, values[c], text))
+    again = np.zeros(len(c), bool)
+    again[1:] = (text[by[1:]] == text[by[:-1]]) & (values[c[by[1:]]] == values[c[by[:-1]]])
+    if not again.any():
+        return stay
+    again[:-1] |= again[1:]
+    twins = by[again]  # in order of text, value, place
+    at = c[twins]
+    around = span_hash(running(values), np.maximum(at - s.width, 0), np.minimum(at + s.width, len(values)))
+    same = (values[at[1:]] == values[at[:-1]]) & (text[twins[1:]] == text[twins[:-1]])
+    same &= (at[1:] // s.shift == at[:-1] // s.shift) | (around[1:] == around[:-1]) & (at[1:] // (s.width - s.shift) == at[:-1] // (s.width - s.shift))
+    stay[twins[1:][same]] = False
+    return stay
 
 
 def _shingled(part: list[bytes], s: Settings) -> tuple[np.ndarray, np.ndarray]:
@@ -130,7 +150,8 @@ def compact_windows(docs: DataFrame, s: Settings, text: str, key: str) -> DataFr
                 for f in range(s.functions):
                     v = np.zeros(len(hashes) + len(part) + 1, np.uint64)
                     v[place] = mix(hashes ^ SALTS[f]) | np.uint64(1)
-                    l, c, r = nodes(v, s.width)  # noqa: E741
+                    stay = _spread(v, (found := nodes(v, s.width))[1], s)
+                    l, c, r = (x[stay] for x in found)  # noqa: E741
                     at = np.searchsorted(bases, c, side="right") - 1
                     base = bases[at]
                     for x, y in zip(cols, (mix(v[c] ^ np.uint64(f)).view(np.int64), keys[done + at], c - base, l - base, r - base), strict=True):
@@ -194,6 +215,14 @@ def _sequences(docs: DataFrame, s: Settings, text: str, key: str) -> DataFrame:
     return docs.select(F.col(key).alias("key"), F.col(text).cast("binary").alias("text")).mapInArrow(run, f"key {kind}, seq binary")
 
 
+def _verified(x: bytes, lo: int, y: bytes, diag: int, s: Settings) -> list[tuple[int, int, float]]:
+    """verify() of shingles as bytes; equal parts are seen at once."""
+    n, at = len(x) // 4, 4 * (lo - diag)
+    if n >= s.width and at >= 0 and y[at : at + len(x)] == x:
+        return [(lo, lo + n - 1, 1.0)]
+    return verify(np.frombuffer(x, "<u4"), lo, np.frombuffer(y, "<u4"), diag, s)
+
+
 def verify(part: np.ndarray, lo: int, y: np.ndarray, diag: int, s: Settings) -> list[tuple[int, int, float]]:
     """(first, last shingle, similarity) of the passages in a part of a text, from place lo on, that y has near the diagonal."""
     if len(part) < s.width:
@@ -232,34 +261,93 @@ def _starts(lo: int, hi: int, spans: list[tuple[int, int]], s: Settings) -> list
     return out + [at, end] if at <= end else out
 
 
+def _flat(lists: pa.ListArray) -> tuple[np.ndarray, list[pa.Array]]:
+    """(row of each element, the fields of the elements) of a column of lists of structs."""
+    n = pa.compute.list_value_length(lists).to_numpy(zero_copy_only=False)
+    return np.repeat(np.arange(len(n)), n), lists.flatten().flatten()
+
+
+def _lists(row: np.ndarray, rows: int, fields: dict[str, pa.Array]) -> pa.ListArray:
+    """The reverse of _flat: elements are sorted by row."""
+    at = np.concatenate([[0], np.cumsum(np.bincount(row, minlength=rows))]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(at), pa.StructArray.from_arrays(list(fields.values()), names=list(fields)))
+
+
+def _regions(pair: np.ndarray, diag: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, ...]:
+    """(pair, diag, lo, hi) of the unions of windows of one pair and diagonal that touch, sorted."""
+    order = np.lexsort((lo, diag, pair))
+    pair, diag, lo, hi = (x[order].astype(np.int64) for x in (pair, diag, lo, hi))
+    new = np.ones(len(pair), bool)
+    new[1:] = (pair[1:] != pair[:-1]) | (diag[1:] != diag[:-1])
+    group = np.cumsum(new) << 32
+    reach = np.maximum.accumulate(hi + group) - group
+    new[1:] |= lo[1:] > reach[:-1] + 1
+    head = np.flatnonzero(new)
+    return pair[head], diag[head], lo[head], reach[np.concatenate([head[1:], [len(pair)]]) - 1] if len(head) else reach
+
+
+def _far_first(regions: list[tuple[int, int, bytes]], width: int) -> list[tuple[int, int, bytes]]:
+    """Regions (lo, diag, shingles) a passage apart, then those between them: a text that repeats a phrase has one
+    region for each repeat, and those in between add nothing once their neighbours are known."""
+    first, rest, end = [], [], -1
+    for z in sorted(regions):
+        if z[0] > end:
+            first.append(z)
+            end = z[0] + max(width, len(z[2]) // 4 - width)
+        else:
+            rest.append(z)
+    return first + rest
+
+
+def _with(spans: list[tuple[int, int]], lo: int, hi: int, width: int) -> list[tuple[int, int]]:
+    """Sorted spans with one more; spans that have a passage's width less one place in common grow together, as every
+    passage of the two then lies in one of them."""
+    out = []
+    for p, q in spans:
+        if q - lo + 1 >= width - 1 and hi - p + 1 >= width - 1:
+            lo, hi = min(lo, p), max(hi, q)
+        else:
+            out.append((p, q))
+    return sorted([*out, (lo, hi)])
+
+
 def _solve(cell: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: list[list[int] | None], xs: list[np.ndarray], s: Settings) -> list[tuple]:
     """(a, key, start, stop, shift, similarity) among the windows of whole cells, sorted by cell."""
     c, at, lo, hi = ints
     size = np.array([len(x) for x in xs])
     rows = np.flatnonzero(size >= s.width)
+    asks = np.array([bool(x) for x in loose])
     while len(rows):
         # shingles that another window of the cell has; a passage needs so many of them
-        row = np.repeat(rows, size[rows])
-        group = np.cumsum(np.concatenate([[0], np.diff(cell[rows]) != 0]))
-        v = np.repeat(group.astype(np.uint64), size[rows]) << np.uint64(32) | np.concatenate([xs[i] for i in rows.tolist()])
-        by = np.argsort(v, kind="stable")
-        v, row = v[by], row[by]
+        bits = max(1, int(len(rows) - 1).bit_length())
+        row = np.repeat(np.arange(len(rows), dtype=np.uint64), size[rows])
+        group = np.cumsum(np.concatenate([[0], np.diff(cell[rows]) != 0])).astype(np.uint64)
+        flat = np.concatenate([xs[i] for i in rows.tolist()])
+        marks = mix(np.repeat(group, size[rows]) << np.uint64(32) | flat) >> np.uint64(bits) << np.uint64(bits)
+        order = np.sort(marks | row)
+        v = order >> np.uint64(bits)
         cut = np.flatnonzero(np.concatenate([[True], v[1:] != v[:-1]]))
         last = np.concatenate([cut[1:], [len(v)]]) - 1
-        common = np.repeat(row[cut] != row[last], last - cut + 1)
-        left = rows[np.bincount(row[common], minlength=len(xs))[rows] >= s.shared]
-        if len(left) == len(rows):
+        row_of = (order & np.uint64((1 << bits) - 1)).astype(np.int64)
+        common = np.repeat(row_of[cut] != row_of[last], last - cut + 1)
+        stay = np.bincount(row_of[common], minlength=len(rows)) >= s.shared
+        # a cell needs one that asks and another
+        n, n_asks = (np.bincount(group.astype(np.int64), x) for x in (stay, stay & asks[rows]))
+        stay &= ((n > 1) & (n_asks > 0))[group.astype(np.int64)]
+        if stay.all():
             break
-        rows = left
+        rows = rows[stay]
     out: list[tuple] = []
     if not len(rows):
         return out
-    found = np.zeros(len(v), bool)
-    found[by] = common
+    shared = v[cut[row_of[cut] != row_of[last]]]
     todo: dict[int, np.ndarray] = {}
-    for i, end in zip(rows.tolist(), np.cumsum(size[rows]).tolist(), strict=True):
-        if loose[i]:
-            sums = np.concatenate([[0], np.cumsum(found[end - size[i] : end][lo[i] - at[i] : hi[i] - at[i] + 1])])
+    ends = np.cumsum(size[rows]).tolist()
+    for i, end in zip(rows.tolist(), ends, strict=True):
+        if asks[i]:
+            own = marks[end - size[i] : end][lo[i] - at[i] : hi[i] - at[i] + 1] >> np.uint64(bits)
+            found = shared[np.minimum(np.searchsorted(shared, own), len(shared) - 1)] == own
+            sums = np.concatenate([[0], np.cumsum(found)])
             ask = np.zeros(len(sums) - s.width, bool)
             for p, q in zip(loose[i][::2], loose[i][1::2], strict=True):
                 ask[p - lo[i] : q - lo[i] + 1] = True
@@ -269,16 +357,16 @@ def _solve(cell: np.ndarray, key: np.ndarray, ints: list[np.ndarray], loose: lis
     bounds = np.flatnonzero(np.concatenate([[True], np.diff(cell[rows]) != 0, [True]]))
     for p, q in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
         mine = rows[p:q]
-        asks = [i for i in mine.tolist() if i in todo]
-        if not asks:
+        open_ = [i for i in mine.tolist() if i in todo]
+        if not open_:
             continue
-        many = _Aligned(mine, key, c, at, xs, s) if len(mine) * len(asks) > 24 else None
-        for j in asks:
+        many = _Aligned(mine, key, c, at, xs, s) if len(mine) * len(open_) > 24 else None
+        for j in open_:
             ask, part = todo[j], xs[j][lo[j] - at[j] : hi[j] - at[j] + 1]
             others = mine[key[mine] < key[j]].tolist() if many is None else many.near(j, part, int(lo[j]), ask)
             for i in others:
                 diag = int(c[j] - c[i])
-                for x, y, sim in verify(part, int(lo[j]), xs[i], diag + int(at[i]), s):
+                for x, y, sim in _verified(part.tobytes(), int(lo[j]), xs[i].tobytes(), diag + int(at[i]), s):
                     first = max(0, x - s.width + s.shared - int(lo[j]))
                     has = ask[first : max(first, y - s.shared + 2 - int(lo[j]))]
                     if has.any():
@@ -298,7 +386,7 @@ class _Aligned:
         self.off = s.width + 2 * s.shift - 1
         size = np.array([len(xs[i]) for i in mine.tolist()])
         kinds, ids, count = np.unique(np.concatenate([xs[i] for i in mine.tolist()]), return_inverse=True, return_counts=True)
-        self.none, row = len(kinds), np.repeat(np.arange(len(mine)), size)
+        self.none, self.count, row = len(kinds), count, np.repeat(np.arange(len(mine)), size)
         order = np.argsort(-np.bincount(row, count[ids].astype(np.float64)), kind="stable")
         to = np.empty(len(mine), np.int64)
         to[order] = np.arange(len(mine))
@@ -306,29 +394,49 @@ class _Aligned:
         place = np.arange(len(ids)) - np.repeat(np.cumsum(size) - size, size) + np.repeat(at[mine] - c[mine] + self.off, size)
         self.ids = np.full((len(mine), 2 * self.off + 1), self.none, np.int32)
         self.ids[to[row], place] = ids
+        self.rows_of, self.first = to[row[np.argsort(ids, kind="stable")]], np.concatenate([[0], np.cumsum(count)])
+        self.known: dict[tuple, tuple] = {}
 
     def near(self, j: int, part: np.ndarray, lo: int, ask: np.ndarray) -> Iterator[int]:
-        """Windows of smaller keys that have passages which window j still asks for; ask shrinks between two of them."""
-        s, rows = self.s, np.flatnonzero(self.key[self.mine] < self.key[j])
+        """Windows of smaller keys that have passages which window j still asks for; ask shrinks between two of them.
+        A window that equals an earlier one has that one, or in the same text that one's partners."""
         left = lo - int(self.c[j]) + self.off
         own = self.ids[self.place[j], left : left + len(part)]
-        has = np.zeros(self.none + 1, bool)
-        has[own] = True
-        repeats = has.sum() < len(own)
-        wide, done, step = s.width + 2 * s.shift, 0, 32
+        twin = self.known.get((left, part.tobytes()))
+        if twin and self.key[twin[0]] < self.key[j]:
+            yield twin[0]
+        elif twin and not (ask & ~twin[1]).any():
+            yield from twin[2]
+            return
+        partners: list[int] = []
+        self.known.setdefault((left, part.tobytes()), (j, ask.copy(), partners))
+        for i in self.search(j, own, left, ask) if ask.any() else ():
+            partners.append(i)
+            yield i
+
+    def candidates(self, own: np.ndarray, ask: np.ndarray) -> np.ndarray:
+        """Rows that have one of the rarest shingles of a passage asked for: as at most width - shared of a passage's
+        shingles may be missing, one of any width - shared + 1 of them is in a partner."""
+        s = self.s
+        starts, rare = np.flatnonzero(ask), s.width - s.shared
+        view = np.lib.stride_tricks.sliding_window_view(self.count[own], s.width)[starts]
+        pick = view <= np.partition(view, rare, axis=1)[:, rare, None]
+        some = np.unique(own[(starts[:, None] + np.arange(s.width))[pick]])
+        n = self.count[some]
+        if n.sum() > 4 * len(self.mine):
+            return np.arange(len(self.mine))
+        return np.unique(self.rows_of[np.arange(n.sum()) + np.repeat(self.first[some] - np.cumsum(n) + n, n)])
+
+    def search(self, j: int, own: np.ndarray, left: int, ask: np.ndarray) -> Iterator[int]:
+        s, rows = self.s, self.candidates(own, ask)
+        rows = rows[self.key[self.mine[rows]] < self.key[j]]
+        done, step = 0, 32
         while done < len(rows) and ask.any():
             some = rows[done : done + step]
             done, step = done + step, min(4 * step, 2048)
-            # so many of its shingles must be somewhere in j, inside a stretch of a passage's width and the shifts
-            # (unless j repeats a shingle, which one place may then meet several times)
-            sums = np.cumsum(has[self.ids[some, max(left - s.shift, 0) : left + len(part) + s.shift]], axis=1, dtype=np.int16)
-            most = sums[:, -1] if sums.shape[1] <= wide else np.maximum((sums[:, wide:] - sums[:, :-wide]).max(1), sums[:, wide - 1])
-            some = some[(most >= s.shared) | repeats]
-            if not len(some):
-                continue
-            found = np.zeros((len(some), len(part) + 1), bool)
+            found = np.zeros((len(some), len(own) + 1), bool)
             for d in range(-s.shift, s.shift + 1):
-                p, q = max(left + d, 0), min(left + d + len(part), self.ids.shape[1])
+                p, q = max(left + d, 0), min(left + d + len(own), self.ids.shape[1])
                 found[:, 1 + p - left - d : 1 + q - left - d] |= self.ids[some, p:q] == own[p - left - d : q - left - d]
             sums = np.cumsum(found, axis=1, dtype=np.int16)
             good = sums[:, s.width :] - sums[:, : -s.width] >= s.shared
@@ -349,21 +457,27 @@ def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataF
     mine = nodes_.join(asked, F.col("sig") == F.col("bucket"), "left_semi").groupBy("key").agg(F.collect_list(F.struct("sig", "c", "l", "r", "loose")).alias("w"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        types = [pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int32()), pa.binary()]
         for batch in batches:
-            kept: list[tuple] = []
-            keys: list[int] = []
-            for i, (found, x) in enumerate(zip(batch.column(1).to_pylist(), batch.column(2), strict=True)):
-                raw = x.as_py()
-                for w in found:
-                    p, q = max(0, w["c"] - far), w["c"] + far
-                    kept.append((w["sig"], w["c"], p, max(w["l"], w["c"] - s.width + 1), min(w["r"], w["c"] + s.width - 1), w["loose"], raw[4 * p : 4 * (q + 1)]))
-                    keys.append(i)
-                if len(kept) >= 20_000 or i == batch.num_rows - 1:
-                    cols = list(zip(*kept, strict=True)) if kept else [[]] * 7
-                    own = [pa.array(z, y) for z, y in zip(cols, types, strict=True)]
-                    yield pa.RecordBatch.from_arrays([own[0], batch.column(0).take(pa.array(keys, pa.int64())), *own[1:]], names=["sig", "key", "c", "at", "lo", "hi", "loose", "x"])
-                    kept, keys = [], []
+            row, (sig, c, l, r, loose) = _flat(batch.column(1))  # noqa: E741
+            raws, c = batch.column(2).to_pylist(), c.to_numpy().astype(np.int64)
+            at, end, lazy = np.maximum(c - far, 0), c + far + 1, (pa.compute.list_value_length(loose).to_numpy() == 0).tolist()
+            seen: set = set()
+            xs, stay = [], np.ones(len(c), bool)
+            for i, (k, p, q, z) in enumerate(zip(row.tolist(), at.tolist(), end.tolist(), lazy, strict=True)):
+                x = raws[k][4 * p : 4 * q]
+                if z:  # a text that repeats a phrase offers each surrounding once
+                    mark = (k, sig[i], x)
+                    if mark in seen:
+                        stay[i] = False
+                        continue
+                    seen.add(mark)
+                xs.append(x)
+            lo, hi = np.maximum(l.to_numpy(), c - s.width + 1), np.minimum(r.to_numpy(), c + s.width - 1)
+            where = pa.array(np.flatnonzero(stay))
+            ints = [pa.array(x[stay].astype(np.int32)) for x in (c, at, lo, hi)]
+            out = pa.RecordBatch.from_arrays([sig.take(where), batch.column(0).take(pa.array(row[stay])), *ints, loose.take(where), pa.array(xs, pa.binary())], names=["sig", "key", "c", "at", "lo", "hi", "loose", "x"])
+            for i in range(0, out.num_rows, 20_000):
+                yield out.slice(i, 20_000)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -415,8 +529,7 @@ def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: s
     kind = docs.schema[key].dataType.simpleString()
     windows = compact_windows(docs, s, text, key)
     met = _met(windows, s, kind)
-    one = met.groupBy("a", "key", "diag").agg(F.collect_list(F.struct("lo", "hi", "c", "sig", "l", "r")).alias("w"))
-    pairs = sc.keep(one.groupBy("a", "key").agg(F.collect_list(F.struct("diag", "w")).alias("regions")), "pairs")
+    pairs = sc.keep(met.groupBy("a", "key").agg(F.collect_list(F.struct("diag", "lo", "hi", "c", "sig", "l", "r")).alias("windows")), "pairs")
     asked = pairs.select(F.explode(F.array("a", "key")).alias("key")).distinct()
     own = docs.select(F.col(key).alias("key"), F.col(text).alias("text")).where(F.col("text").isNotNull()).join(asked, "key", "left_semi").dropDuplicates(["key"])
     seqs = sc.keep(_sequences(own, s, "text", "key"), "sequences")
@@ -426,41 +539,53 @@ def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: s
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Of each text only what lies within a passage's width of a joined node: longer passages have more nodes."""
-        kind_ = pa.list_(pa.struct([("diag", pa.int32()), ("lo", pa.int32()), ("x", pa.binary())]))
-        kind2 = pa.list_(pa.struct([("sig", pa.int64()), ("c", pa.int32()), ("l", pa.int32()), ("r", pa.int32())]))
         for batch in batches:
-            out, more = [], []
-            for found, x in zip(batch.column(2).to_pylist(), batch.column(3), strict=True):
-                raw, own = x.as_py(), []
-                for region in found:
-                    ws = sorted((max(w["lo"], w["c"] - s.width + 1), min(w["hi"], w["c"] + s.width - 1)) for w in region["w"] if w["lo"] <= w["hi"])
-                    for lo, hi in _union(ws, s.width):
-                        own.append({"diag": region["diag"], "lo": lo, "x": raw[4 * lo : 4 * (hi + 1)]})
-                out.append(own)
-                more.append([{f: w[f] for f in ("sig", "c", "l", "r")} for region in found for w in region["w"] if w["sig"] is not None])
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, kind_), pa.array(more, kind2)], names=["a", "key", "parts", "nodes"])
+            row, (diag, lo, hi, c, sig, l, r) = _flat(batch.column(2))  # noqa: E741
+            d, p, q, at = (x.to_numpy() for x in (diag, lo, hi, c))
+            ok = p <= q
+            pair, d, p, q = _regions(row[ok], d[ok], np.maximum(p, at - s.width + 1)[ok], np.minimum(q, at + s.width - 1)[ok])
+            raws = batch.column(3).to_pylist()
+            xs = [raws[i][4 * a : 4 * (b + 1)] for i, a, b in zip(pair.tolist(), p.tolist(), q.tolist(), strict=True)]
+            regions = _lists(pair, batch.num_rows, {"diag": pa.array(d.astype(np.int32)), "lo": pa.array(p.astype(np.int32)), "x": pa.array(xs, pa.binary())})
+            open_ = sig.is_valid().to_numpy(zero_copy_only=False)
+            where = pa.array(np.flatnonzero(open_))
+            more = _lists(row[open_], batch.num_rows, {f: x.take(where) for f, x in zip(("sig", "c", "l", "r"), (sig, c, l, r), strict=True)})
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), regions, more], names=["a", "key", "parts", "nodes"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["a", "key", "start", "stop", "shift", "similarity", "sig", "loose"]
         for batch in batches:
+            pair, (diag, lo, x) = _flat(batch.column(2))
+            regions: list[list[tuple[int, int, bytes]]] = [[] for _ in range(batch.num_rows)]
+            for i, z in zip(pair.tolist(), zip(lo.to_pylist(), diag.to_pylist(), x.to_pylist(), strict=True), strict=True):
+                regions[i].append(z)
+            spans_of: list[list[tuple[int, int]]] = []
             out: list[tuple] = []
-            a_keys, keys, found, more = (batch.column(i).to_pylist() for i in range(4))
-            for a, k, own, ws, y in zip(a_keys, keys, found, more, batch.column(4), strict=True):
-                y = np.frombuffer(y.as_buffer(), "<u4")
+            for i, (own, y) in enumerate(zip(regions, batch.column(4).to_pylist(), strict=True)):
                 spans: list[tuple[int, int]] = []
-                for z in own:
-                    if spans and not _starts(z["lo"], z["lo"] + len(z["x"]) // 4 - 1, spans, s):
+                for lo_, diag_, z in _far_first(own, s.width):
+                    if spans and not _starts(lo_, lo_ + len(z) // 4 - 1, spans, s):
                         continue
-                    for p, q, sim in verify(np.frombuffer(z["x"], "<u4"), z["lo"], y, z["diag"], s):
-                        out.append((a, k, p, q, z["diag"], sim, None, None))
-                        spans.append((p, q))
-                out += [(a, k, w["l"], w["r"], w["c"], None, w["sig"], _starts(max(w["l"], w["c"] - s.width + 1), min(w["r"], w["c"] + s.width - 1), spans, s)) for w in ws]
-            cols = list(zip(*out, strict=True)) if out else [[]] * 8
-            types = [batch.column(0).type, batch.column(1).type, pa.int32(), pa.int32(), pa.int32(), pa.float64(), pa.int64(), pa.list_(pa.int32())]
-            for lo in range(0, max(len(out), 1), 100_000):
-                yield pa.RecordBatch.from_arrays([pa.array(c[lo : lo + 100_000], t) for c, t in zip(cols, types, strict=True)], names=names)
-
-    cuts = pairs.join(seqs.withColumnRenamed("seq", "x"), "key").select("a", "key", "regions", "x").mapInArrow(cut, f"a {kind}, key {kind}, parts {parts}, nodes {nodes_}")
+                    for p, q, sim in _verified(z, lo_, y, diag_, s):
+                        out.append((i, p, q, diag_, sim))
+                        spans = _with(spans, p, q, s.width)
+                spans_of.append(spans)
+            a, key = batch.column(0), batch.column(1)
+            if out:
+                i, p, q, d, sim = zip(*out, strict=True)
+                who = pa.array(i)
+                ints = [pa.array(z, pa.int32()) for z in (p, q, d)]
+                yield pa.RecordBatch.from_arrays([a.take(who), key.take(who), *ints, pa.array(sim, pa.float64()), pa.nulls(len(out), pa.int64()), pa.nulls(len(out), pa.list_(pa.int32()))], names=names)
+            row, (sig, c, l, r) = _flat(batch.column(3))  # noqa: E741
+            first, last = np.maximum(l.to_numpy(), c.to_numpy() - s.width + 1).tolist(), np.minimum(r.to_numpy(), c.to_numpy() + s.width - 1).tolist()
+            loose, ends = [], [0]
+            for i, p, q in zip(row.tolist(), first, last, strict=True):
+                loose += _starts(p, q, spans_of[i], s)
+                ends.append(len(loose))
+            who = pa.array(row)
+            yield pa.RecordBatch.from_arrays([a.take(who), key.take(who), l, r, c, pa.nulls(len(row), pa.float64()), sig, pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(loose, pa.int32()))], names=names)
+
+    cuts = pairs.join(seqs.withColumnRenamed("seq", "x"), "key").select("a", "key", "windows", "x").mapInArrow(cut, f"a {kind}, key {kind}, parts {parts}, nodes {nodes_}")
     both = cuts.join(seqs.select(F.col("key").alias("a"), F.col("seq").alias("y")), "a")
     checked = sc.keep(both.select("a", "key", "parts", "nodes", "y").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double, sig bigint, loose array<int>"), "checked")
     sc.drop("pairs")

@@ -55,10 +55,10 @@ def chunks_of_bytes(texts, limit: int = CHUNK_BYTES) -> Iterator[list[bytes]]:
 
 
 def running(data: np.ndarray) -> np.ndarray:
-    """Running sums by which span_hash gets the hash of any span."""
+    """Running sums by which span_hash gets the hash of any span of bytes or of 64-bit values."""
     p, _ = powers(len(data) + 1)
     s = np.zeros(len(data) + 1, np.uint64)
-    v = BYTE_VALUES[data]
+    v = BYTE_VALUES[data] if data.dtype == np.uint8 else data.copy()
     v *= p[: len(data)]
     np.cumsum(v, out=s[1:])
     return s
