@@ -453,12 +453,13 @@ def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataF
     far = s.width + s.shift - 1
     asks = F.size("loose") > 0
     asked = nodes_.groupBy("sig").agg(F.min("key").alias("least"), F.max(F.when(asks, F.col("key"))).alias("most"), F.count_if(asks).alias("mine"), F.count(F.lit(1)).alias("total")).where("least < most").drop("least", "most")
-    asked = asked.withColumnRenamed("sig", "bucket")
-    mine = nodes_.join(asked, F.col("sig") == F.col("bucket"), "left_semi").groupBy("key").agg(F.collect_list(F.struct("sig", "c", "l", "r", "loose")).alias("w"))
+    # how many blocks a signature has goes along, so the cut windows are shuffled once
+    counted = nodes_.join(asked, "sig").select("sig", "key", "c", "l", "r", "loose", blocks("mine", QUERIES).alias("mine"), blocks("total", MEMBERS).alias("total"))
+    mine = counted.groupBy("key").agg(F.collect_list(F.struct("sig", "c", "l", "r", "loose", "mine", "total")).alias("w"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            row, (sig, c, l, r, loose) = _flat(batch.column(1))  # noqa: E741
+            row, (sig, c, l, r, loose, mine, total) = _flat(batch.column(1))  # noqa: E741
             raws, c = batch.column(2).to_pylist(), c.to_numpy().astype(np.int64)
             at, end, lazy = np.maximum(c - far, 0), c + far + 1, (pa.compute.list_value_length(loose).to_numpy() == 0).tolist()
             seen: set = set()
@@ -475,7 +476,7 @@ def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataF
             lo, hi = np.maximum(l.to_numpy(), c - s.width + 1), np.minimum(r.to_numpy(), c + s.width - 1)
             where = pa.array(np.flatnonzero(stay))
             ints = [pa.array(x[stay].astype(np.int32)) for x in (c, at, lo, hi)]
-            out = pa.RecordBatch.from_arrays([sig.take(where), batch.column(0).take(pa.array(row[stay])), *ints, loose.take(where), pa.array(xs, pa.binary())], names=["sig", "key", "c", "at", "lo", "hi", "loose", "x"])
+            out = pa.RecordBatch.from_arrays([sig.take(where), batch.column(0).take(pa.array(row[stay])), *ints, loose.take(where), mine.take(where), total.take(where), pa.array(xs, pa.binary())], names=["bucket", "id", "c", "at", "lo", "hi", "loose", "mine", "total", "x"])
             for i in range(0, out.num_rows, 20_000):
                 yield out.slice(i, 20_000)
 
@@ -508,9 +509,8 @@ def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataF
         if held:
             yield from solved(held)
 
-    cuts = mine.join(seqs, "key").select("key", "w", "seq").mapInArrow(cut, f"sig bigint, key {kind}, c int, at int, lo int, hi int, loose array<int>, x binary")
-    rows = cuts.withColumnsRenamed({"sig": "bucket", "key": "id"}).join(asked, "bucket")
-    dealt = cells(rows, asks, blocks("mine", QUERIES), blocks("total", MEMBERS), F.col("id"), F.col("c"))
+    cuts = mine.join(seqs, "key").select("key", "w", "seq").mapInArrow(cut, f"bucket bigint, id {kind}, c int, at int, lo int, hi int, loose array<int>, mine int, total int, x binary")
+    dealt = cells(cuts, asks, F.col("mine"), F.col("total"), F.col("id"), F.col("c"))
     return dealt.select("bucket", "q", "j", "id", "c", "at", "lo", "hi", F.when(F.col("asks"), F.col("loose")).alias("loose"), "x").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double")
 
 
@@ -585,10 +585,11 @@ def repeated_passages(docs: DataFrame, settings: Settings | None = None, text: s
             who = pa.array(row)
             yield pa.RecordBatch.from_arrays([a.take(who), key.take(who), l, r, c, pa.nulls(len(row), pa.float64()), sig, pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(loose, pa.int32()))], names=names)
 
-    cuts = pairs.join(seqs.withColumnRenamed("seq", "x"), "key").select("a", "key", "windows", "x").mapInArrow(cut, f"a {kind}, key {kind}, parts {parts}, nodes {nodes_}")
+    cuts = sc.keep(pairs.join(seqs.withColumnRenamed("seq", "x"), "key").select("a", "key", "windows", "x").mapInArrow(cut, f"a {kind}, key {kind}, parts {parts}, nodes {nodes_}"), "cuts")
+    sc.drop("pairs")
     both = cuts.join(seqs.select(F.col("key").alias("a"), F.col("seq").alias("y")), "a")
     checked = sc.keep(both.select("a", "key", "parts", "nodes", "y").mapInArrow(run, f"a {kind}, key {kind}, start int, stop int, shift int, similarity double, sig bigint, loose array<int>"), "checked")
-    sc.drop("pairs")
+    sc.drop("cuts")
     near = checked.where("sig is null").select("key", "start", "stop", "a", "shift", "similarity")
     left = checked.where("sig is not null").select("sig", "key", F.col("shift").alias("c"), F.col("start").alias("l"), F.col("stop").alias("r"), "loose")
     later = sc.keep(_rounds(left, seqs, s, kind), "later")
