@@ -45,9 +45,9 @@ def byte_encoder(path: str) -> Callable[[list[str], bool], list]:
         raise ValueError("a line feed must be one token of its own")
 
     def encode(units: list[str], leading: bool) -> list[bytes]:
+        # units without white space of any kind: line feeds part such units, as they stay tokens of their own
+        plain = [i for i, u in enumerate(units) if u.split() == [u]]
         units = units if leading else [" " + u for u in units]
-        # a unit without white space but its first: line feeds part such units, as they stay tokens of their own
-        plain = [i for i, u in enumerate(units) if len(u.split()) == 1 and u[-1] > " " and (u[0] > " " or not leading)]
         if added:
             plain = [i for i in plain if not any(a in units[i] for a in added)]
         out: list = [None] * len(units)

@@ -51,6 +51,29 @@ def test_packing_is_whole_and_tight(spark):
         assert at <= 2048
 
 
+def odd_texts(n, seed):
+    r = random.Random(seed)
+    parts = ["word", "a", "é", "ß", "日本", "1", "23", ".", "'s", "'", "<|endoftext|>", "<s>", "</s>", "<unk>", "▁", "😀", "\u200d", "\ufeff", "\x00", "\x7f", "\x85", "\xa0", "\u1680", "\u2003", "\u2028", "\u202f", "\u3000", "\x1c", "\x1f", "\x0b", "\x0c", "\r", "\t", "\n", "\n", " ", " ", " ", "  ", "-", "#", "!"]
+    return ["".join(r.choice(parts) for _ in range(r.randint(0, 14))) for _ in range(n)]
+
+
+@pytest.mark.parametrize("file", ["byte_bpe_50k.json", "piece_bpe_32k.model"])
+def test_ids_of_odd_texts_equal_the_library(file):
+    """White space of all kinds, control characters, special strings, line feeds: ids as the library gives them."""
+    own = ["word\n\u3000", "a\n\x85b c", *odd_texts(6000, 77)]
+    if file.endswith(".json"):
+        from tokenizers import Tokenizer
+
+        t = Tokenizer.from_file(tokenizer(file))
+        exp = [x.ids for x in t.encode_batch(own, add_special_tokens=False)]
+    else:
+        import sentencepiece
+
+        exp = sentencepiece.SentencePieceProcessor(model_file=tokenizer(file)).encode(own)
+    ids, bounds = token_counts.memo(tokenizer(file))([x.encode() for x in own])
+    assert [ids[a:b].tolist() for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)] == exp
+
+
 def test_open_bins_take_the_fullest_and_close_it():
     b = packing.OpenBins(10, 2)
     assert [b.put(n) for n in (6, 7, 3, 4)] == [(0, 0), (1, 0), (1, 7), (0, 6)]
