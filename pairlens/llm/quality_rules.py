@@ -16,8 +16,10 @@ BLANKS = r"[\x20\x09-\x0D]+"
 FEATURES = ("n_words", "mean_word", "symbol_share", "dup_line_share", "repeat_share", "distinct_share", "upper_share", "mark_share")
 #: Labelled rows that training reads at most: those with the least hashes of their keys.
 SAMPLE_ROWS = 20_000
-#: Thresholds tried per statistic.
+#: Thresholds tried per statistic and class.
 CUTS = 24
+#: Parts of the sample, each of which prunes the rules that the others grow.
+FOLDS = 3
 
 
 def text_stats(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -112,7 +114,13 @@ def _covers(rule: list[tuple[int, bool, int]], bins: tuple) -> bool:
     return all((bins[f] > b) == above for f, above, b in rule)
 
 
-def _grow(cells: list[tuple[tuple, int, int]], n_features: int, most: int) -> list[tuple[int, bool, int]]:
+def _found(rule: list, cells: list[tuple]) -> tuple[int, int]:
+    """Bad and good rows that a rule covers."""
+    got = [c for c in cells if _covers(rule, c[0])]
+    return sum(c[1] for c in got), sum(c[2] for c in got)
+
+
+def _grow(cells: list[tuple], n_features: int, most: int) -> list[tuple[int, bool, int]]:
     """Adds the condition with the most information gain until no good row is covered or nothing helps."""
     rule: list[tuple[int, bool, int]] = []
     while len(rule) < most:
@@ -122,7 +130,7 @@ def _grow(cells: list[tuple[tuple, int, int]], n_features: int, most: int) -> li
         top = (0.0, None)
         for f in range(n_features):
             sums: dict[int, list[int]] = {}
-            for bins, p, n in cells:
+            for bins, p, n, _ in cells:
                 s = sums.setdefault(bins[f], [0, 0])
                 s[0], s[1] = s[0] + p, s[1] + n
             p = n = 0
@@ -136,21 +144,35 @@ def _grow(cells: list[tuple[tuple, int, int]], n_features: int, most: int) -> li
     return rule
 
 
-def _prune(rule: list, cells: list[tuple[tuple, int, int]]) -> tuple[list, float, int]:
-    """The shortest head of the rule that does best on rows it was not grown on; (rule, its precision, bad rows it finds)."""
-    best: tuple = (-2.0, [], 0.0, 0)
+def _prune(rule: list, cells: list[tuple]) -> list:
+    """The shortest head of the rule that does best on rows it was not grown on."""
+    best: tuple = (-2.0, [])
     for k in range(1, len(rule) + 1):
-        got = [c for c in cells if _covers(rule[:k], c[0])]
-        p, n = sum(c[1] for c in got), sum(c[2] for c in got)
+        p, n = _found(rule[:k], cells)
         value = (p - n) / (p + n) if p + n else -1.0
         if value > best[0] + 1e-9:
-            best = (value, rule[:k], p / (p + n) if p + n else 0.0, p)
-    return best[1:]
+            best = (value, rule[:k])
+    return best[1]
+
+
+def _best(cells: list[tuple], n_features: int, most: int, precision: float, enough: int) -> list:
+    """Each fold in turn prunes what the others grew, so few labels serve both ends; of the rules that are precise
+    enough on their own fold and on all rows, the one that finds most bad rows."""
+    found: list[tuple] = []
+    for fold in range(FOLDS):
+        held, grown = [c for c in cells if c[3] == fold], [c for c in cells if c[3] != fold]
+        rule = _prune(_grow(grown, n_features, most), held)
+        if rule:
+            (p, n), (p_all, n_all) = _found(rule, held), _found(rule, cells)
+            if p and p >= precision * (p + n) and p_all >= enough and p_all >= precision * (p_all + n_all):
+                found.append((p_all - n_all, -len(rule), fold, rule))
+    return max(found)[-1] if found else []
 
 
 def learn(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "doc_id", label: str = "quality", sample_rows: int = SAMPLE_ROWS, cuts: int = CUTS, precision: float = 0.95, most_rules: int = 12, most_conditions: int = 4) -> DecisionList:
-    """A list that rejects rows like those labelled 0: sequential covering, each rule grown on two thirds of the sample
-    and pruned on the rest, until a rule's precision there falls below the one asked for.
+    """A list that rejects rows like those labelled 0: sequential covering over the rows that the fixed limits keep.
+    Each rule is grown on two folds and pruned on the third; the list ends when no rule is precise enough and finds
+    at least three bad rows (or a hundredth of them). A threshold stands midway between the two values it parts.
 
     At most sample_rows labelled rows are read, a bound that doesn't depend on the corpus; without labels of both kinds
     the list is empty. A key with several labels counts once, with the least. Rows with null labels are left out.
@@ -158,27 +180,38 @@ def learn(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "do
     chosen = labels.where(F.col(label).isNotNull()).groupBy(key).agg((F.min(label) == 0).alias("bad")).orderBy(F.xxhash64(key), key).limit(sample_rows)
     # the limit above is this broadcast's size bound
     own = docs.select(key, text).join(F.broadcast(chosen), key).select(F.col(key).alias("key"), F.col(text).alias("text"), "bad")
-    values = text_stats(own).select("bad", (F.pmod(F.xxhash64("key", F.lit(7)), F.lit(3)) == 0).alias("held"), *(c.alias(n) for n, c in features().items())).repartition(4, "n_words").persist()
+    values = text_stats(own).select("bad", base_failed().alias("failed"), F.pmod(F.xxhash64("key", F.lit(7)), F.lit(FOLDS)).alias("fold"), "key", *(c.alias(n) for n, c in features().items()))
+    held = values.repartition(4, "key").persist()
+    values = held.where(~F.col("failed"))  # above what is held: below, it would work the statistics out once more
     try:
-        at = [i / (cuts + 1) for i in range(1, cuts + 1)]
-        row = values.agg(*(F.percentile_approx(n, at, 10_000).alias(n) for n in FEATURES)).first()
-        if row[0] is None:
+        at = [i / (cuts + 1) for i in range(1, cuts + 1)] + [1.0]
+        # bad rows may be few: each class has cuts of its own
+        rows = values.groupBy("bad").agg(*(F.percentile_approx(n, at, 10_000).alias(n) for n in FEATURES)).collect()
+        if len(rows) < 2:
             return DecisionList()
-        limits = {n: sorted({float(f"{x:.6g}") for x in row[n]} | {0.0}) for n in FEATURES}
+        limits = {n: sorted({float(x) for r in rows for x in r[n]}) for n in FEATURES}
         place = [_bin(n, limits[n]).alias(n) for n in FEATURES]
-        counted = values.select("bad", "held", *place).groupBy("held", *FEATURES).agg(F.sum(F.col("bad").cast("int")).alias("p"), F.sum((~F.col("bad")).cast("int")).alias("n")).collect()
+        counted = values.select("bad", "fold", *place).groupBy("fold", *FEATURES).agg(F.sum(F.col("bad").cast("int")).alias("p"), F.sum((~F.col("bad")).cast("int")).alias("n")).collect()
+        ends = values.select(F.explode(F.array(*(F.struct(F.lit(i).alias("f"), _bin(n, limits[n]).alias("b"), F.col(n).alias("x")) for i, n in enumerate(FEATURES)))).alias("z")).groupBy("z.f", "z.b").agg(F.min("z.x").alias("lo"), F.max("z.x").alias("hi")).collect()
     finally:
-        values.unpersist()
+        held.unpersist()
     # bins: x has bin b if b of the limits are below it; bin > k means x > limits[k]
-    grown = [(tuple(r[n] for n in FEATURES), r["p"], r["n"]) for r in counted if not r["held"]]
-    held = [(tuple(r[n] for n in FEATURES), r["p"], r["n"]) for r in counted if r["held"]]
-    out, enough = DecisionList(), max(3, sum(c[1] for c in held) // 100)
-    while len(out.rules) < most_rules and any(c[1] for c in grown):
-        rule, right, found = _prune(_grow(grown, len(FEATURES), most_conditions), held)
-        if not rule or right < precision or found < enough:
+    cells = [(tuple(r[n] for n in FEATURES), r["p"], r["n"], r["fold"]) for r in counted]
+    span = {(r["f"], r["b"]): (r["lo"], r["hi"]) for r in ends}
+
+    def midway(f: int, b: int) -> float:
+        below, above = [hi for (g, k), (_, hi) in span.items() if g == f and k <= b], [lo for (g, k), (lo, _) in span.items() if g == f and k > b]
+        mid = (max(below) + min(above)) / 2
+        short = float(f"{mid:.6g}")
+        return short if max(below) <= short < min(above) else mid
+
+    out, enough = DecisionList(), max(3, sum(c[1] for c in cells) // 100)
+    while len(out.rules) < most_rules:
+        rule = _best(cells, len(FEATURES), most_conditions, precision, enough)
+        if not rule:
             break
-        out.rules.append([Condition(FEATURES[f], above, limits[FEATURES[f]][b]) for f, above, b in rule])
-        grown, held = ([c for c in x if not _covers(rule, c[0])] for x in (grown, held))
+        out.rules.append([Condition(FEATURES[f], above, midway(f, b)) for f, above, b in rule])
+        cells = [c for c in cells if not _covers(rule, c[0])]
     return out
 
 

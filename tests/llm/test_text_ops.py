@@ -169,14 +169,16 @@ def test_statistics_equal_brute_force(spark):
         assert x.base_failed == (exp[0] < 10 or 100 * exp[4] > 20 * exp[0]) and x.kept == (not x.base_failed)
 
 
-def test_rules_are_learned_and_hold_out(spark):
+@pytest.mark.parametrize("split", ["doc_id % 2 = 0", "doc_id % 2 = 1", "doc_id % 3 < 2", "doc_id % 3 > 0"])
+def test_rules_are_learned_and_hold_out(spark, split):
     docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
-    rules = quality_rules.learn(docs, labels.where("doc_id % 2 = 0"))
+    rules = quality_rules.learn(docs, labels.where(split))
     assert 1 <= len(rules.rules) <= 12
-    held = quality_rules.judge(docs, rules).join(labels.where("doc_id % 2 = 1"), "doc_id").collect()
+    assert all(c.cut != 0 for r in rules.rules for c in r)  # a threshold parts values, it doesn't sit on one
+    held = quality_rules.judge(docs, rules).join(labels.where(f"not ({split})"), "doc_id").collect()
     bad, good = [x for x in held if x.quality == 0], [x for x in held if x.quality == 1 and not x.base_failed]
     assert sum(not x.kept for x in bad) >= 0.9 * len(bad) and sum(x.kept for x in good) >= 0.98 * len(good)
-    assert quality_rules.learn(docs, labels.where("doc_id < 0")).rules == []
+    assert quality_rules.learn(docs, labels.where("doc_id < 0")).rules == quality_rules.learn(docs, labels.where("quality = 1")).rules == []
 
 
 def test_dropped_elements_end_where_their_ends_are_implied():
