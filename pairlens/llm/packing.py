@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from pairlens.llm.textkernel import chunks_of_bytes
 from pairlens.llm.token_counts import memo
 
-WORK_BYTES = 4 << 20
+WORK_BYTES = 1 << 20
 #: Bins that may stand open in a task; beyond it the fullest closes.
 OPEN_BINS = 1024
 SCHEMA = "key {kind}, piece int, start bigint, length bigint, ids_crc32 bigint, sequence_id bigint, offset bigint"

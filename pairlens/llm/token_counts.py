@@ -15,7 +15,7 @@ from pairlens.llm.textkernel import chunks_of_bytes
 from pairlens.llm.units import UnitMemo
 
 #: Text bytes handled at once.
-WORK_BYTES = 4 << 20
+WORK_BYTES = 1 << 20
 _memos: dict[str, UnitMemo] = {}
 
 

@@ -37,7 +37,7 @@ class UnitMemo:
     What is known stands in sorted arrays (about 30 bytes a unit), so a worker's memo stays small.
     """
 
-    def __init__(self, encode: Callable[[list[str], bool], list[bytes]], batch_bytes: int = 1 << 20):
+    def __init__(self, encode: Callable[[list[str], bool], list[bytes]], batch_bytes: int = 1 << 18):
         self.encode, self.batch_bytes = encode, batch_bytes
         self.clear()
 
