@@ -5,6 +5,7 @@ Rows travel as (pair_id, rank, two fingerprints): texts are never shuffled.
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -16,12 +17,14 @@ ORDER = ("test", "validation", "train")
 
 
 def prints(pairs: DataFrame, split_order: tuple[str, ...] = ORDER, scope: str = "corpus", algo: str = "md5") -> DataFrame:
-    """pair_id, split, rank (split order, then seq), fr, fs. With scope split, splits don't see each other."""
+    """pair_id, split, seq, rank (place of the split, seq, pair_id), fr, fs. With scope split, splits don't see each
+    other. A pair without a text on a side has nothing to compare: it is left out here, so no strategy keeps it."""
     at = F.lit(len(split_order))
     for i, s in reversed(list(enumerate(split_order))):
         at = F.when(F.col("split") == s, i).otherwise(at)
-    mark = (lambda c: F.concat_ws(":", "split", c)) if scope == "split" else (lambda c: c)
-    return pairs.select("pair_id", "split", "seq", (at.cast("bigint") * 10**14 + F.col("seq")).alias("rank"), mark(fingerprint(F.col("reference"), algo=algo)).alias("fr"), mark(fingerprint(F.col("summary"), algo=algo)).alias("fs"))
+    mark = (lambda c: F.concat(F.coalesce("split", F.lit("")), F.lit(":"), c)) if scope == "split" else (lambda c: c)
+    whole = pairs.where(F.col("reference").isNotNull() & F.col("summary").isNotNull())
+    return whole.select("pair_id", "split", "seq", F.struct(at.alias("at"), "seq", "pair_id").alias("rank"), mark(fingerprint(F.col("reference"), algo=algo)).alias("fr"), mark(fingerprint(F.col("summary"), algo=algo)).alias("fs"))
 
 
 def groups(pairs: DataFrame, side: str) -> DataFrame:
@@ -42,37 +45,100 @@ def cross(pairs: DataFrame) -> DataFrame:
     return p.join(r, "fr").join(s, "fs").join(e, ["fr", "fs"]).where("r1 < rank and s1 < rank and e1 = rank").select("pair_id", "split", "seq")
 
 
-def additive(pairs: DataFrame, split_order: tuple[str, ...] = ORDER, scope: str = "corpus") -> DataFrame:
+#: Rounds of the additive removal before what is open is finished component by component.
+ROUNDS = 6
+#: Pairs of a component that one task may pass in order; larger components go on in rounds.
+COMPONENT_PAIRS = 1_000_000
+
+
+def _text_components(pairs: DataFrame) -> DataFrame:
+    """(fr, component) of pairs linked by a text on either side: stars of texts point to ever smaller ones, so a chain
+    ends in about the logarithm of its length."""
+    edges = checkpointed(pairs.select(F.concat(F.lit("r"), "fr").alias("x"), F.concat(F.lit("s"), "fs").alias("y")).distinct())
+    before = None
+    while True:
+        for large in (True, False):
+            both = edges.unionByName(edges.select(F.col("y").alias("x"), F.col("x").alias("y"))) if large else edges.select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y"))
+            hubs = both.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m"))
+            seen = both.join(hubs, "x")
+            pointed = seen.where("y > x") if large else seen
+            out = pointed.select(F.col("y").alias("x"), F.col("m").alias("y"))
+            edges = checkpointed((out if large else out.unionByName(hubs.select("x", F.col("m").alias("y")))).where("x <> y").distinct())
+        state = tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("x", "y").cast("decimal(20,0)"))).first())
+        if state == before:
+            break
+        before = state
+    named = edges.select("x", F.col("y").alias("component")).unionByName(edges.select(F.col("y").alias("x"), F.col("y").alias("component")).distinct())
+    return named.where("x like 'r%'").select(F.substring("x", 2, 1 << 30).alias("fr"), "component")
+
+
+def _in_order(group: pd.DataFrame) -> pd.DataFrame:
+    """The sequential pass over one component."""
+    refs, summs, won = set(), set(), []
+    for fr, fs in zip(group["fr"], group["fs"], strict=True):
+        won.append(fr not in refs and fs not in summs)
+        if won[-1]:
+            refs.add(fr)
+            summs.add(fs)
+    return group[won]
+
+
+def _finished(open_: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(pairs admitted, pairs still open): components of a size that one task may hold are passed in order."""
+    parts = checkpointed(open_.join(_text_components(open_), "fr"))
+    small = parts.groupBy("component").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") <= COMPONENT_PAIRS).select("component")
+    sorted_ = parts.join(small, "component", "left_semi").select("component", "fr", "fs", "rank.at", "rank.seq", "rank.pair_id")
+    fields = {f.name: f.dataType.simpleString() for f in sorted_.schema.fields}
+
+    def run(group: pd.DataFrame) -> pd.DataFrame:
+        return _in_order(group.sort_values(["at", "seq", "pair_id"], kind="stable"))
+
+    done = sorted_.groupBy("component").applyInPandas(run, ", ".join(f"{k} {v}" for k, v in fields.items()))
+    won = done.select("fr", "fs", F.struct("at", "seq", "pair_id").alias("rank"))
+    return checkpointed(won), checkpointed(parts.join(small, "component", "left_anti").select("fr", "fs", "rank"))
+
+
+def additive(pairs: DataFrame, split_order: tuple[str, ...] = ORDER, scope: str = "corpus", rounds: int = ROUNDS) -> DataFrame:
     """pair_id, verdict, blocker_ref, blocker_summ: starts empty and admits a pair when neither of its texts is in yet.
 
     A pair that is first among the open ones on both sides can't be blocked, so each round admits all such pairs at
-    once and rejects those that share a text with them; the result is that of the sequential pass. Rounds end when no
-    pair is open: few on real orders, at worst as many as the longest chain of alternating texts.
+    once and rejects those that share a text with them; the result is that of the sequential pass. Few rounds do on
+    real orders; long chains of alternating texts that are open after so many are passed in order, each component in
+    one task. A pair with a null text is admitted never and blocks nothing: its verdict is missing.
     """
     all_ = checkpointed(prints(pairs, split_order, scope))
-    open_ = all_.select("pair_id", "rank", "fr", "fs").groupBy("fr", "fs").agg(F.min("rank").alias("rank"))  # of exact copies only the first can be admitted
-    kept = None
+    open_ = all_.groupBy("fr", "fs").agg(F.min("rank").alias("rank"))  # of exact copies only the first can be admitted
+    kept, i, finished = None, 0, False
     while True:
-        lr = open_.groupBy("fr").agg(F.min("rank").alias("lr"))
-        ls = open_.groupBy("fs").agg(F.min("rank").alias("ls"))
-        won = checkpointed(open_.join(lr, "fr").join(ls, "fs").where("rank = lr and rank = ls").select("fr", "fs", "rank"))
+        i += 1
+        if i > rounds and not finished:
+            won, open_ = _finished(open_)
+            finished = True
+        else:
+            lr = open_.groupBy("fr").agg(F.min("rank").alias("lr"))
+            ls = open_.groupBy("fs").agg(F.min("rank").alias("ls"))
+            won = checkpointed(open_.join(lr, "fr").join(ls, "fs").where("rank = lr and rank = ls").select("fr", "fs", "rank"))
+            open_ = checkpointed(open_.join(won.select("fr"), "fr", "left_anti").join(won.select("fs"), "fs", "left_anti"))
         kept = won if kept is None else kept.unionByName(won)
-        open_ = checkpointed(open_.join(won.select("fr"), "fr", "left_anti").join(won.select("fs"), "fs", "left_anti"))
         if open_.isEmpty():
             break
-    kept = checkpointed(kept.join(all_.select("rank", "pair_id"), "rank"))
-    by_ref = kept.select("fr", F.col("pair_id").alias("blocker_ref"), F.col("rank").alias("rank_ref"))
-    by_summ = kept.select("fs", F.col("pair_id").alias("blocker_summ"), F.col("rank").alias("rank_summ"))
+    kept = checkpointed(kept)
+    by_ref = kept.select("fr", F.col("rank.pair_id").alias("blocker_ref"), F.col("rank").alias("rank_ref"))
+    by_summ = kept.select("fs", F.col("rank.pair_id").alias("blocker_summ"), F.col("rank").alias("rank_summ"))
     out = all_.join(by_ref, "fr", "left").join(by_summ, "fs", "left")
     r, s = F.col("rank_ref") < F.col("rank"), F.col("rank_summ") < F.col("rank")
     r, s = F.coalesce(r, F.lit(False)), F.coalesce(s, F.lit(False))
     me = F.coalesce(F.col("rank_ref") == F.col("rank"), F.lit(False))
     verdict = F.when(me, "valid").when(r & s & (F.col("rank_ref") == F.col("rank_summ")), "exact").when(r & s, "cross_both").when(r, "dup_reference").otherwise("dup_summary")
-    return out.select("pair_id", verdict.alias("verdict"), F.when(~me & r, F.col("blocker_ref")).alias("blocker_ref"), F.when(~me & s, F.col("blocker_summ")).alias("blocker_summ"))
+    judged = out.select("pair_id", verdict.alias("verdict"), F.when(~me & r, F.col("blocker_ref")).alias("blocker_ref"), F.when(~me & s, F.col("blocker_summ")).alias("blocker_summ"))
+    none = F.lit(None).cast(judged.schema["blocker_ref"].dataType)
+    missing = pairs.where(F.col("reference").isNull() | F.col("summary").isNull()).select("pair_id", F.lit("missing").alias("verdict"), none.alias("blocker_ref"), none.alias("blocker_summ"))
+    return judged.unionByName(missing)
 
 
 def keep(pairs: DataFrame, strategy: str = "additive", split_order: tuple[str, ...] = ORDER, scope: str = "corpus") -> DataFrame:
-    """pair_id of the pairs that a strategy keeps: additive, first_occurrence, exact, drop_all or keep_longest."""
+    """pair_id of the pairs that a strategy keeps: additive, first_occurrence, exact, drop_all or keep_longest. Pairs
+    with a null text are kept by none."""
     if strategy == "additive":
         return additive(pairs, split_order, scope).where("verdict = 'valid'").select("pair_id")
     p = prints(pairs, split_order, scope)
@@ -87,7 +153,7 @@ def keep(pairs: DataFrame, strategy: str = "additive", split_order: tuple[str, .
             return p.join(r, "fr", "left_anti").join(s, "fs", "left_anti").select("pair_id")
         case "keep_longest":
             sized = pairs.select("pair_id", F.length("reference").alias("size")).join(p, "pair_id")
-            return sized.groupBy("fs").agg(F.max_by("pair_id", F.struct("size", (-F.col("rank")).alias("back"))).alias("pair_id")).select("pair_id")
+            return sized.groupBy("fs").agg(F.min_by("pair_id", F.struct((-F.col("size")).alias("size"), "rank")).alias("pair_id")).select("pair_id")
     raise ValueError(f"unknown strategy {strategy}")
 
 

@@ -25,6 +25,27 @@ def test_duplicate_classes(spark):
     assert kept("first_occurrence") == [1, 5, 8] and kept("exact") == [1, 3, 4, 5, 6, 7, 8] and kept("drop_all") == [8]
 
 
+def test_null_texts_and_repeated_places(spark):
+    """Null sides end, are kept by no strategy and block nothing; equal seq values don't multiply rows."""
+    rows = [(1, "train", "A", "x"), (2, "train", None, "x"), (3, "train", "A", None), (4, "test", None, None), (5, "train", "B", "y"), (6, "train", "B", "y")]
+    p = spark.createDataFrame([(i, s, "en", "o", 7, r, t) for i, s, r, t in rows], PAIR)
+    for scope in ("corpus", "split"):
+        got = sorted((r.pair_id, r.verdict) for r in dedup.additive(p, scope=scope).collect())
+        assert got == [(1, "valid"), (2, "missing"), (3, "missing"), (4, "missing"), (5, "valid"), (6, "exact")]
+        for s, kept in (("additive", [1, 5]), ("first_occurrence", [1, 5]), ("exact", [1, 5]), ("drop_all", [1]), ("keep_longest", [1, 5])):
+            assert sorted(r.pair_id for r in dedup.keep(p, s, scope=scope).collect()) == kept, s
+
+
+def test_a_long_chain_ends_in_few_rounds(spark, monkeypatch):
+    """A1-x1, A1-x2, A2-x2, ...: rounds alone would take half its length; every second pair stays."""
+    n, calls = 10_000, []
+    real = dedup.checkpointed
+    monkeypatch.setattr(dedup, "checkpointed", lambda df: calls.append(1) or real(df))
+    p = spark.range(n).selectExpr("id as pair_id", "'train' as split", "'en' as lang", "'o' as origin", "id as seq", "concat('A', id div 2) as reference", "concat('x', (id + 1) div 2) as summary")
+    got = {r.pair_id: r.verdict for r in dedup.additive(p).collect()}
+    assert len(got) == n and all((v == "valid") == (i % 2 == 0) for i, v in got.items()) and len(calls) < 60
+
+
 def test_small_splits_are_spared(spark):
     p = pairs(spark, [(1, "train", "A", "x"), (2, "test", "A", "y")])
     assert [r.pair_id for r in dedup.keep(p).collect()] == [2]
