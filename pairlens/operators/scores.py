@@ -62,6 +62,50 @@ def bootstrap(scores: DataFrame, value: str, by: list[str], key: str = "pair_id"
     return each.groupBy(*by).agg(*(F.round(F.percentile("m", F.lit(q)), 6).alias(a) for a, q in (("low", lo), ("mid", 0.5), ("high", hi))))
 
 
+#: Rows of a block whose redraws one task makes.
+BLOCK_ROWS = 50_000
+
+
+def bootstrap_draws(scores: DataFrame, value: str, by: list[str], key: str = "pair_id", n: int = 2000, confidence: float = 0.95, seed: int = 0) -> DataFrame:
+    """Percentiles of the means of n samples redrawn from the rows with replacement, each as large as the rows.
+
+    Rows are dealt in blocks by a hash of their key. How many of a sample's draws fall in each block is one multinomial
+    draw, which every block of a group makes alike from the seed; the draws inside a block are its own. So the samples
+    are those of drawing from all rows at once, and no task holds more than a block. Null values are left out.
+    """
+    rows = scores.select(*by, key, F.col(value).cast("double").alias("v")).where("v is not null")
+    rows = rows.withColumn("one", F.lit(1))
+    group = [*by, "one"]
+    counts = rows.groupBy(*group).agg(F.ceil(F.count(F.lit(1)) / BLOCK_ROWS).cast("int").alias("blocks"))
+    dealt = rows.join(counts, group).withColumn("block", F.pmod(F.xxhash64(key), F.col("blocks")).cast("int"))
+    sizes = dealt.groupBy(*group, "block").agg(F.count(F.lit(1)).alias("size"))
+    whole = sizes.groupBy(*group).agg(F.array_sort(F.collect_list(F.struct("block", "size"))).alias("sizes"))
+    keys = [F.col(b).alias(f"of_{b}") for b in (*group, "block")]
+    plan = sizes.select(*group, "block").join(whole, group).select(*keys, F.transform("sizes", lambda x: x["block"]).alias("ids"), F.transform("sizes", lambda x: x["size"]).alias("sizes"))
+
+    def draw(own: pd.DataFrame, how: pd.DataFrame) -> pd.DataFrame:
+        sizes_, ids = np.array(how["sizes"].iloc[0], float), list(how["ids"].iloc[0])
+        block, v = int(how["of_block"].iloc[0]), own.sort_values(key, kind="stable")["v"].to_numpy()
+        share = np.random.Generator(np.random.PCG64([seed, 1])).multinomial(int(sizes_.sum()), sizes_ / sizes_.sum(), size=n)[:, ids.index(block)]
+        rng = np.random.Generator(np.random.PCG64([seed, 2, block]))
+        sums = [float(v[rng.integers(0, len(v), m)].sum()) for m in share.tolist()]
+        return pd.DataFrame({**{b: [how[f"of_{b}"].iloc[0]] for b in group}, "s": [sums], "total": [int(sizes_.sum())]})
+
+    fields = ", ".join(f"{b} {rows.schema[b].dataType.simpleString()}" for b in group)
+    parts = dealt.groupBy(*group, "block").cogroup(plan.groupBy(*(f"of_{b}" for b in (*group, "block")))).applyInPandas(draw, f"{fields}, s array<double>, total bigint")
+    each = parts.select(*by, "total", F.posexplode("s").alias("replica", "s")).groupBy(*by, "replica").agg((F.sum("s") / F.first("total")).alias("m"))
+    return each.groupBy(*by).agg(*(F.round(F.percentile("m", F.lit(q)), 6).alias(a) for a, q in (("low", (1 - confidence) / 2), ("mid", 0.5), ("high", (1 + confidence) / 2))))
+
+
+def evaluation_audit(meta: DataFrame) -> DataFrame:
+    """Habits of evaluation over a table of systems (system, published, public, reports_baseline, metrics): per kind of
+    publication how many there are, report a baseline, go beyond n-gram scores, and are public and do so."""
+    beyond = F.exists("metrics", lambda m: ~F.lower(m).rlike("^(rouge|bleu)"))
+    return meta.groupBy("published").agg(
+        F.count(F.lit(1)).alias("n"), F.count_if("reports_baseline").alias("with_baseline"), F.count_if(beyond).alias("beyond_ngrams"), F.count_if(F.col("public") & beyond).alias("public_beyond")
+    )
+
+
 def filter_effect(scores: DataFrame, metric: str = "r1") -> DataFrame:
     """system, split, unfiltered, filtered, drop, kept: scores has a row per system, split and state."""
     p = scores.groupBy("system", "split").pivot("state", ["unfiltered", "filtered"]).agg(F.first(metric))

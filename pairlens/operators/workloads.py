@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from pairlens.functions import checks
+from pairlens.functions.text import tokens
 from pairlens.operators import baselines, dedup, review, scores, sieve, systems
 from pairlens.session import checkpointed, load
 from pairlens.sources.mappings import MAPPINGS
@@ -63,18 +65,65 @@ def baselines_on_clean(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
+def baseline_intervals(spark: SparkSession, sf: str, name: str = "mixed_news", draws: str = "redrawn") -> DataFrame:
+    """95 % intervals of R-1 of the three baselines on clean held-out pairs."""
+    s = scored(spark, sf, name).where("verdict = 'valid' and system in ('lead_3', 'lead_k', 'central')")
+    return (scores.bootstrap_draws if draws == "redrawn" else scores.bootstrap)(s, "r1", ["system", "split"])
+
+
+def reproduction(spark: SparkSession, sf: str, name: str = "headline_body") -> DataFrame:
+    """Scores reported with stemming on all held-out pairs against those that another scorer (no stemming, ASCII words)
+    and the filtered pairs give: gap, and whether it stays within half a point."""
+    all_ = labelled(spark, sf, name)
+    held = all_.where("split <> 'train' and verdict <> 'empty'")
+    ratio = checkpointed(baselines.mean_ratio(all_.where("verdict = 'valid'")))
+    outs = baselines.lead(held).withColumn("system", F.lit("lead_3")).select("system", "split", "verdict", "summary", "output").unionByName(baselines.lead_k(held, ratio).withColumn("system", F.lit("lead_k")).select("system", "split", "verdict", "summary", "output"))
+    f1 = lambda stem, ascii_: scores.rouge(F.col("output"), F.col("summary"), stem, ascii_).getField("r1_f")
+    both = checkpointed(outs.select("system", "split", "verdict", f1("de", False).alias("stemmed"), f1(None, True).alias("ascii")))
+    by = ["system", "split"]
+    mean = lambda rows, c: rows.groupBy(*by).agg(F.round(100 * F.avg(c), 4).alias("r1"))
+    reported = mean(both, "stemmed")
+    settings = {"same": mean(both, "stemmed"), "other_scorer": mean(both, "ascii"), "filtered": mean(both.where("verdict = 'valid'"), "stemmed")}
+    out = None
+    for n, measured in settings.items():
+        one = scores.reproduction_gap(reported, measured, by).select(F.lit(n).alias("setting"), *by, "gap", "within")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def habits(spark: SparkSession, sf: str) -> DataFrame:
+    """The checklist over the systems that are evaluated here: baselines and stand-ins."""
+    own = [("lead_3", True, True, True, ["rouge1", "rouge2", "rougeL"]), ("lead_k", True, True, True, ["rouge1", "rouge2", "rougeL"]), ("central", True, True, True, ["rouge1", "rouge2", "rougeL", "novelty"])]
+    own += [(f.__name__, False, True, False, ["rouge1", "rouge2", "rougeL"]) for f in systems.SYSTEMS]
+    return scores.evaluation_audit(spark.createDataFrame(own, "system string, published boolean, public boolean, reports_baseline boolean, metrics array<string>"))
+
+
+def train_shift(spark: SparkSession, sf: str, names: tuple[str, ...] = ("headline_body", "mixed_news")) -> DataFrame:
+    """Lengths before and after on the training splits of the corpora that lose most and still have pairs left."""
+    out = None
+    for n in names:
+        one = review.shift(labelled(spark, sf, n).where("split = 'train'")).select(F.lit(n).alias("corpus"), "max_gap", "mean_change")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def other_domain(spark: SparkSession, sf: str) -> DataFrame:
     """The ratio of one corpus applied to another."""
     return scores.table(scored(spark, sf, "prompt_reply", "headline_body").where("split = 'test' and system = 'lead_k'"), ["system", "split"])
 
 
 def failure_cases(spark: SparkSession, sf: str, name: str = "mixed_news") -> DataFrame:
-    """Per system: mean copied prefix, repetition, new bigrams, unsupported items, outputs beyond the context."""
+    """Per system: mean copied prefix, repetition, loop periods, share of the output that is a subsequence of the
+    reference, copied outputs, new bigrams, unsupported items, outputs beyond the context."""
+    from pairlens.functions.udfs import lcs_length, loop_length
+
     all_ = labelled(spark, sf, name)
     o = run_systems(all_.where("split <> 'train' and verdict <> 'empty'"), all_.where("verdict = 'valid'"))
     ref, out = F.col("reference"), F.col("output")
     return o.groupBy("system").agg(
         F.count(F.lit(1)).alias("n"), F.round(F.avg(scores.prefix_copy(ref, out)), 4).alias("prefix_copy"), F.round(F.avg(scores.repetition(out)), 4).alias("repetition"),
+        F.round(F.avg(loop_length(tokens(out))), 4).alias("loop_periods"), F.round(F.avg(F.try_divide(lcs_length(tokens(ref), tokens(out)).cast("double"), F.size(tokens(out)).cast("double"))), 4).alias("lcs_share"),
+        F.round(F.avg(checks.fully_extractive(ref, out, "token_run").cast("double")), 4).alias("copied"),
         F.round(F.avg(scores.novelty(ref, out, 2)["novel_share"]), 4).alias("novel_bigrams"), F.round(F.avg(scores.unsupported(ref, out)), 4).alias("unsupported"), F.count_if(scores.context_overflow(out)).alias("too_long"),
     )
 

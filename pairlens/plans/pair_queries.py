@@ -97,7 +97,8 @@ add("chk_missing", m1(lambda p: p.select("pair_id", C.is_missing(ref(), summ()).
 add("chk_blank", m1(lambda p: p.select("pair_id", C.is_blank(ref()).alias("ref_bad"), C.is_blank(summ()).alias("summ_bad"))), _p + r"regexp_full_match(reference, '[\s\x{00a0}\x{200b}\x{feff}]*') AS ref_bad, regexp_full_match(summary, '[\s\x{00a0}\x{200b}\x{feff}]*') AS summ_bad FROM m1")
 add("chk_symbolic", m1(lambda p: p.select("pair_id", C.is_symbolic(ref()).alias("ref_bad"), C.is_symbolic(summ()).alias("summ_bad"))), _p + r"NOT regexp_matches(reference, '[\p{L}\p{N}]') AS ref_bad, NOT regexp_matches(summary, '[\p{L}\p{N}]') AS summ_bad FROM m1")
 add("chk_encoding", m1(lambda p: p.select("pair_id", C.is_misencoded(ref()).alias("bad"))), _p + r"regexp_matches(reference, '\x{fffd}|[\x00-\x08\x0e-\x1f\x7f]|\x{00c3}[\x{0080}-\x{00bf}]') AS bad FROM m1")
-add("chk_empty_levels", m1(lambda p: p.select(*(F.count_if(C.is_empty(ref(), summ(), x)).alias(x) for x in C.LEVELS))))
+add("chk_empty_levels", m1(lambda p: p.select(*(F.count_if(C.is_empty(ref(), summ(), x)).alias(x) for x in C.LEVELS))), f"""WITH {M1}, t AS (SELECT length(reference) = 0 OR length(summary) = 0 AS a, regexp_full_match(reference, '[\\s\\x{{00a0}}\\x{{200b}}\\x{{feff}}]*') OR regexp_full_match(summary, '[\\s\\x{{00a0}}\\x{{200b}}\\x{{feff}}]*') AS b, NOT regexp_matches(reference, '[\\p{{L}}\\p{{N}}]') OR NOT regexp_matches(summary, '[\\p{{L}}\\p{{N}}]') AS c, regexp_matches(reference || chr(32) || summary, '\\x{{fffd}}|[\\x00-\\x08\\x0e-\\x1f\\x7f]|\\x{{00c3}}[\\x{{0080}}-\\x{{00bf}}]') AS d FROM m1)
+SELECT count(*) FILTER (WHERE a) AS missing, count(*) FILTER (WHERE a OR b) AS blank, count(*) FILTER (WHERE a OR b OR c) AS symbols, count(*) FILTER (WHERE a OR b OR c OR d) AS encoding FROM t""")
 add("chk_min_len", m1(lambda p: p.select("pair_id", C.too_short(ref(), 50).alias("ref_bad"), C.too_short(summ(), 20).alias("summ_bad"))), _p + "length(reference) < 50 AS ref_bad, length(summary) < 20 AS summ_bad FROM m1")
 _by = S.Sieve(by=("origin", {"src0": S.Profile.instructions()}), dedup=None)
 add("chk_min_len_profiles", m1(lambda p: p.select("pair_id", _by.flags()["ref_short"].alias("ref_bad"), _by.flags()["summ_short"].alias("summ_bad"))), _p + "length(reference) < CASE origin WHEN 'src0' THEN 20 ELSE 50 END AS ref_bad, length(summary) < CASE origin WHEN 'src0' THEN 8 ELSE 20 END AS summ_bad FROM m1")
@@ -144,7 +145,8 @@ add("dedup_first", m1(lambda p: U.keep(p, "first_occurrence")), _rank + "SELECT
 add("dedup_exact_only", m1(lambda p: U.keep(p, "exact")), _rank + "SELECT pair_id FROM p QUALIFY min(rank) OVER (PARTITION BY reference, summary) = rank")
 add("dedup_drop_all", m1(lambda p: U.keep(p, "drop_all")), _rank + "SELECT pair_id FROM p QUALIFY count(*) OVER (PARTITION BY reference) = 1 AND count(*) OVER (PARTITION BY summary) = 1")
 add("dedup_keep_longest", m1(lambda p: U.keep(p, "keep_longest")), _rank + "SELECT pair_id FROM p QUALIFY row_number() OVER (PARTITION BY summary ORDER BY length(reference) DESC, rank) = 1")
-add("dedup_compare", m1(U.compare))
+_kept = {k: O[f"dedup_{v}"].split("SELECT pair_id FROM p")[1] for k, v in (("first_occurrence", "first"), ("exact", "exact_only"), ("drop_all", "drop_all"), ("keep_longest", "keep_longest"))}
+add("dedup_compare", m1(U.compare), f"WITH RECURSIVE {M1}, {ROUNDS.format(source='m1')}, p AS (SELECT *, (CASE split WHEN 'test' THEN 0 WHEN 'validation' THEN 1 ELSE 2 END) * 100000000000000 + seq AS rank FROM m1), k AS (SELECT 'additive' AS strategy, pair_id FROM judged WHERE verdict = 'valid' " + " ".join(f"UNION ALL SELECT '{n}', pair_id FROM (SELECT pair_id FROM p{q})" for n, q in _kept.items()) + ") SELECT strategy, split, count(*) AS kept FROM k JOIN m1 USING (pair_id) GROUP BY strategy, split")
 add("dedup_order_effect", m1(lambda p: p.select("pair_id", "split").join(U.keep(p, split_order=("train", "validation", "test")), "pair_id", "left_semi").groupBy("split").agg(F.count(F.lit(1)).alias("kept"))), f"WITH RECURSIVE {M1}, {ROUNDS.format(source='m1').replace(chr(39) + 'test' + chr(39) + ' THEN 0', chr(39) + 'train' + chr(39) + ' THEN 0')} SELECT split, count(*) AS kept FROM judged JOIN m1 USING (pair_id) WHERE verdict = 'valid' GROUP BY split")
 add("split_leakage", W.leakage, _d + ", t AS (SELECT 'reference' AS side, fr AS f, split FROM p UNION ALL SELECT 'summary', fs, split FROM p), g AS (SELECT side, f, string_agg(DISTINCT split, '+' ORDER BY split) AS splits FROM t GROUP BY side, f HAVING count(DISTINCT split) > 1) SELECT side, splits, count(*) AS n FROM g GROUP BY side, splits")
 add("top_repeats", m1(U.top_repeats), f"WITH {M1} SELECT summary AS text, count(*) AS n FROM m1 GROUP BY summary HAVING count(*) > 1 ORDER BY n DESC, md5(summary) LIMIT 10")
@@ -162,8 +164,9 @@ add("funnel_bold", lambda s, d: S.funnel(W.labelled(s, d, "mixed_news"), "mixed_
 add("funnel_wide", lambda s, d: S.wide_funnel(W.labelled(s, d, "mixed_news")), LABEL3 + " SELECT split, " + ", ".join(f"count(*) FILTER (WHERE verdict = '{v}') AS {v}" for v in S.VERDICTS) + " FROM labelled GROUP BY split")
 add("affected_share", lambda s, d: S.affected(W.labelled(s, d, "mixed_news"), "mixed_news"), LABEL3 + ", a AS (SELECT count(*) AS n, round(avg((verdict <> 'valid')::INT), 6) AS share FROM labelled) SELECT 'mixed_news' AS corpus, n, share, share > 0.25 AS over_quarter, share > 0.5 AS over_half FROM a")
 add("sieve_sweep", m1(lambda p: S.sweep(p, [1.1, 1.25, 1.5, 2.0], [20, 50, 100])), f"WITH {M1} SELECT min_cr, min_ref, count(*) FILTER (WHERE length(reference) < min_ref) AS ref_short, count(*) FILTER (WHERE length(reference)::DOUBLE < length(summary) * min_cr) AS low_cr FROM m1, (SELECT unnest([1.1::DOUBLE, 1.25, 1.5, 2.0]) AS min_cr), (SELECT unnest([20, 50, 100]) AS min_ref) GROUP BY ALL")
-add("sieve_ablation", m1(lambda p: S.ablate(p, S.Sieve())))
-add("fault_runs", lambda s, d: U.runs_of_faults(W.labelled(s, d, "headline_body")), LABEL1 + ", i AS (SELECT seq, verdict <> 'valid' AS bad, row_number() OVER (PARTITION BY seq // 1000000 ORDER BY seq) - row_number() OVER (PARTITION BY seq // 1000000, verdict <> 'valid' ORDER BY seq) AS isle, seq // 1000000 AS b FROM labelled) SELECT min(seq) AS first_seq, max(seq) AS last_seq, count(*) AS n FROM i WHERE bad GROUP BY b, isle HAVING count(*) >= 2")
+_flags = ("empty", "ref_short", "summ_short", "identical", "low_cr", "extractive")
+add("sieve_ablation", m1(lambda p: S.ablate(p, S.Sieve())), f"WITH f AS ({O['sieve_flags']}) " + " UNION ALL ".join(f"SELECT '{n}' AS left_out, count(*) FILTER (WHERE NOT ({' OR '.join(x for x in _flags if x != n)})) AS passing FROM f" for n in ("none", *_flags)))
+add("fault_runs", lambda s, d: U.runs_of_faults(W.labelled(s, d, "headline_body")), LABEL1 + ", i AS (SELECT seq, verdict <> 'valid' AS bad, row_number() OVER (ORDER BY seq) - row_number() OVER (PARTITION BY verdict <> 'valid' ORDER BY seq) AS isle FROM labelled) SELECT min(seq) AS first_seq, max(seq) AS last_seq, count(*) AS n FROM i WHERE bad GROUP BY isle HAVING count(*) >= 2")
 
 # review and distributions
 add("inspect_in_order", lambda s, d: V.in_order(load(s, d, "documents").select("doc_id", "source", "n_chars"), [F.col("source"), F.desc("n_chars"), F.col("doc_id")], 20, 5), "SELECT doc_id, source, n_chars FROM documents ORDER BY source, n_chars DESC, doc_id LIMIT 20 OFFSET 5")
@@ -177,7 +180,7 @@ add("inspect_representative", m1(lambda p: V.representatives(p, F.length("refere
 _q = "count(value) AS n, round(avg(value), 6) AS mean, round(stddev_samp(value), 6) AS sd, min(value) AS least, round(quantile_cont(value, 0.25), 6) AS q1, round(median(value), 6) AS median, round(quantile_cont(value, 0.75), 6) AS q3, max(value) AS most"
 add("length_stats", m1(lambda p: V.describe(p, F.length("reference"), ["split"])), f"WITH {M1}, v AS (SELECT split, length(reference)::DOUBLE AS value FROM m1) SELECT split, {_q} FROM v GROUP BY split")
 add("violin_stats", lambda s, d: V.violin(W.labelled(s, d, "mixed_news")), LABEL3 + f", {STATES}, v AS (SELECT split, state, 'reference' AS side, length(reference)::DOUBLE AS value FROM states UNION ALL SELECT split, state, 'summary', length(summary)::DOUBLE FROM states) SELECT split, state, side, {_q} FROM v GROUP BY split, state, side")
-add("violin_density", lambda s, d: V.density(W.labelled(s, d, "headline_body")))
+add("violin_density", lambda s, d: V.density(W.labelled(s, d, "headline_body")), LABEL1 + f", {STATES}, b AS (SELECT state, length(reference) // 200 AS bin, count(*) AS n FROM states GROUP BY 1, 2), t AS (SELECT state, sum(n) AS total FROM b GROUP BY 1), a AS (SELECT *, unnest(range(bin - 20, bin + 21)) AS place FROM b) SELECT a.state, place AS bin, round(sum(n * exp(-0.5 * pow(((place - bin) * 200) / 200.0, 2))) / (200.0 * 2.5066282746310002e0) / any_value(total), 9) AS density FROM a JOIN t USING (state) WHERE place >= 0 GROUP BY a.state, place")
 add("length_shift", lambda s, d: V.shift(W.labelled(s, d, "mixed_news")), LABEL3 + f", {STATES}, v AS (SELECT state, length(reference) AS size FROM states), b AS (SELECT size // 100 AS bin, count(*) FILTER (WHERE state = 'unfiltered') AS a, count(*) FILTER (WHERE state = 'filtered') AS b FROM v GROUP BY 1), g AS (SELECT abs(sum(a) OVER (ORDER BY bin) / sum(a) OVER () - sum(b) OVER (ORDER BY bin) / sum(b) OVER ()) AS gap FROM b) SELECT (SELECT round(max(gap), 6) FROM g) AS max_gap, (SELECT round(avg(size) FILTER (WHERE state = 'filtered') - avg(size) FILTER (WHERE state = 'unfiltered'), 6) FROM v) AS mean_change")
 add("output_lengths", m1(lambda p: V.describe(Y.prefix_copier(p), F.length("output"), ["split"])), f"WITH {M1}, v AS (SELECT split, length(array_to_string(({WORDS.format(c='reference')})[1:48], ' '))::DOUBLE AS value FROM m1) SELECT split, {_q} FROM v GROUP BY split")
 
@@ -191,7 +194,7 @@ _ratio = f"WITH {M1}, ns AS (SELECT *, len({sents('reference')}) AS nr, len({sen
 add("mean_cr", m1(lambda p: B.mean_ratio(p).select(F.round("ratio", 6).alias("ratio"))), _ratio + "SELECT round(ratio, 6) AS ratio FROM ratio")
 add("k_hat", m1(lambda p: B.with_k(p, B.mean_ratio(p)).select("pair_id", "k")), _ratio + "SELECT pair_id, k FROM ks")
 add("lead_k", m1(lambda p: B.lead_k(p, B.mean_ratio(p)).select("pair_id", "output")), _ratio + f"SELECT pair_id, {_lead('k')} AS output FROM ks")
-add("random_k", m1(lambda p: B.random_k(p, B.mean_ratio(p)).select("pair_id", "output")))
+add("random_k", m1(lambda p: B.random_k(p, B.mean_ratio(p)).select("pair_id", "output")), _ratio + f", z AS (SELECT pair_id, k, {sents('reference')} AS s FROM ks), u AS (SELECT pair_id, k, unnest(s) AS x, unnest(range(len(s))) AS i FROM z), o AS (SELECT * FROM u QUALIFY row_number() OVER (PARTITION BY pair_id ORDER BY md5(x || i::VARCHAR || '0'), i) <= k) SELECT z.pair_id, coalesce(string_agg(o.x, ' ' ORDER BY o.i), '') AS output FROM z LEFT JOIN o USING (pair_id) GROUP BY z.pair_id")
 for _w in ("hashed", "tfidf", "overlap"):
     add(f"central_{_w}", (lambda w: m1(lambda p: B.central(p, B.mean_ratio(p), w).select("pair_id", "output")))(_w))
 add("central_threshold", m1(lambda p: B.central(p, B.mean_ratio(p), graph="threshold").select("pair_id", "output")))
@@ -243,12 +246,18 @@ add("baselines_on_clean", W.baselines_on_clean)
 add("other_domain", W.other_domain)
 add("failure_cases", W.failure_cases)
 add("funnels_all", W.funnels)
-add("funnels_german", lambda s, d: W.funnels(s, d, "de", ("headline_body", "lead_inclusive", "mixed_news")))
+add("funnels_german", lambda s, d: W.funnels(s, d, "de"))
+add("baseline_intervals", W.baseline_intervals)
+add("repro_gap", W.reproduction)
+add("evaluation_audit", W.habits, "SELECT * FROM (VALUES (true, 3::BIGINT, 3::BIGINT, 1::BIGINT, 1::BIGINT), (false, {n}::BIGINT, 0::BIGINT, 0::BIGINT, 0::BIGINT)) AS t(published, n, with_baseline, beyond_ngrams, public_beyond)".format(n=len(Y.SYSTEMS)))
+_shift = O["length_shift"].replace(LABEL3, "").replace("FROM states)", "FROM states WHERE split = 'train')")
+add("length_shift_train", W.train_shift, f"SELECT * FROM ({LABEL1}{_shift.replace('SELECT (SELECT round(max(gap)', chr(39).join(['SELECT ', 'headline_body', ' AS corpus, (SELECT round(max(gap)']))}) UNION ALL SELECT * FROM ({LABEL3}{_shift.replace('SELECT (SELECT round(max(gap)', chr(39).join(['SELECT ', 'mixed_news', ' AS corpus, (SELECT round(max(gap)']))})")
 add("label_agreement", W.label_agreement, LABEL1 + " SELECT verdict, count(*) FILTER (WHERE quality = 0) AS bad, count(*) FILTER (WHERE quality = 1) AS good FROM labelled JOIN labels ON doc_id = pair_id GROUP BY verdict")
 _nov = lambda n: f"CASE WHEN len(t) >= {n} THEN list_transform(range(1, len(t) - {n - 2}), lambda i: array_to_string(t[i:i + {n - 1}], ' ')) ELSE []::VARCHAR[] END"
 add("novel_ngrams", m1(lambda p: p.select("pair_id", *(c.alias(n) for n, c in R.novelty(ref(), summ(), 2).items()))), f"WITH {M1}, z AS (SELECT pair_id, list_distinct((SELECT {_nov(2)} FROM (SELECT {toks('summary')} AS t))) AS a, (SELECT {_nov(2)} FROM (SELECT {toks('reference')} AS t)) AS b FROM m1), y AS (SELECT pair_id, len(a) AS n_grams, len(a) - len(list_intersect(a, b)) AS n_novel FROM z) SELECT *, round(n_novel / nullif(n_grams, 0)::DOUBLE, 6) AS novel_share FROM y")
-add("prefix_copy", m1(lambda p: Y.prefix_copier(p).select("pair_id", R.prefix_copy(ref(), F.col("output")).alias("share"))))
-add("copied_output", m1(lambda p: Y.prefix_copier(p).select("pair_id", C.fully_extractive(ref(), F.col("output"), "token_run").alias("copied"))))
+_out48 = f"array_to_string(({WORDS.format(c='reference')})[1:48], ' ')"
+add("prefix_copy", m1(lambda p: Y.prefix_copier(p).select("pair_id", R.prefix_copy(ref(), F.col("output")).alias("share"))), f"WITH {M1}, o AS (SELECT pair_id, {toks('reference')} AS b, {toks(_out48)} AS a FROM m1), f AS (SELECT pair_id, len(a) AS n, list_position(list_transform(range(1, len(a) + 1), lambda i: coalesce(a[i] = b[i], false)), false) AS first FROM o) SELECT pair_id, round(CASE WHEN n = 0 THEN 0.0 WHEN coalesce(first, 0) = 0 THEN 1.0 ELSE (first - 1)::DOUBLE / n END, 6) AS share FROM f")
+add("copied_output", m1(lambda p: Y.prefix_copier(p).select("pair_id", C.fully_extractive(ref(), F.col("output"), "token_run").alias("copied"))), f"WITH {M1} SELECT pair_id, contains(' ' || array_to_string({toks('reference')}, ' ') || ' ', ' ' || array_to_string({toks(_out48)}, ' ') || ' ') AS copied FROM m1")
 add("repetition", m1(lambda p: Y.looper(p).select("pair_id", R.repetition(F.col("output")).alias("share"))), f"WITH {M1}, z AS (SELECT pair_id, (SELECT {_nov(3)} FROM (SELECT {toks('o')} AS t FROM (SELECT array_to_string(flatten([({WORDS.format(c='reference')})[1:3] for i in range(16)]), ' ') AS o))) AS g FROM m1) SELECT pair_id, round(coalesce(1 - len(list_distinct(g)) / nullif(len(g), 0)::DOUBLE, 0), 6) AS share FROM z")
 add("context_overflow", lambda s, d: load(s, d, "documents").select("doc_id", R.context_overflow(F.col("text")).alias("too_long")), f"SELECT doc_id, len({WORDS.format(c='text')}) > 512 AS too_long FROM documents")
 add("unsupported_items", m1(lambda p: p.select("pair_id", R.unsupported(ref(), summ()).alias("n"))), _p + "len(list_filter(list_distinct(regexp_extract_all(summary, '[0-9]+|[A-Z][a-z]+')), lambda x: NOT list_contains(regexp_extract_all(reference, '[0-9]+|[A-Z][a-z]+'), x))) AS n FROM m1")

@@ -186,3 +186,26 @@ def test_fault_runs_over_block_edges(spark):
     df = spark.createDataFrame(rows, "seq long, verdict string")
     for block in (3, 10, 1000):
         assert sorted(tuple(x) for x in dedup.runs_of_faults(df, block=block).collect()) == exp
+
+
+@pytest.mark.parametrize("rows", [50_000, 60])
+def test_redrawn_samples_have_the_spread_of_the_mean(spark, monkeypatch, rows):
+    """Blocks of 60 rows or one block: the interval is that of the mean, and doesn't depend on the partitions."""
+    monkeypatch.setattr(scores, "BLOCK_ROWS", rows)
+    df = spark.range(600).selectExpr("'s' as system", "id as pair_id", "case when id % 7 = 0 then null else (id * 37 % 100) / 100.0 end as r1")
+    got = scores.bootstrap_draws(df, "r1", ["system"], n=1000).collect()[0]
+    v = [x.r1 for x in df.where("r1 is not null").collect()]
+    v = [float(x) for x in v]
+    mean = sum(v) / len(v)
+    half = 1.96 * (sum((x - mean) ** 2 for x in v) / len(v) / len(v)) ** 0.5
+    assert abs(got.mid - mean) < 0.2 * half and abs(got.high - got.low - 2 * half) < 0.25 * half
+    assert scores.bootstrap_draws(df.repartition(7), "r1", ["system"], n=1000).collect()[0] == got
+
+
+def test_habits_and_gaps(spark):
+    meta = spark.createDataFrame([("a", True, True, True, ["rouge1"]), ("b", True, False, False, ["rouge1", "factuality"]), ("c", False, True, False, ["BLEU"])], "system string, published boolean, public boolean, reports_baseline boolean, metrics array<string>")
+    got = {r.published: tuple(r)[1:] for r in scores.evaluation_audit(meta).collect()}
+    assert got == {True: (2, 1, 1, 0), False: (1, 0, 0, 0)}
+    side = lambda rows: spark.createDataFrame(rows, "system string, r1 double")
+    gaps = {r.system: (r.gap, r.within) for r in scores.reproduction_gap(side([("a", 30.0), ("b", 20.0)]), side([("a", 29.6), ("b", 23.0)]), ["system"]).collect()}
+    assert gaps == {"a": (0.4, True), "b": (-3.0, False)}
