@@ -27,6 +27,8 @@ from pairlens.llm.textkernel import chunks_of_bytes, mix, running, span_hash
 
 #: Bytes of runs that a task holds at once.
 SHARD_BYTES = 3 << 20
+#: Text bytes whose gram hashes one task holds: there are as many ranges of hashes as the corpus has of these.
+RANGE_BYTES = 32 << 20
 FAR = np.iinfo(np.int64).max
 
 
@@ -237,12 +239,13 @@ def _gram_lists(texts: DataFrame, n: int, k: int, ranges: int) -> DataFrame:
             if not hs:
                 continue
             h, c = np.concatenate(hs), np.concatenate(cs)
-            order = np.lexsort((c, h))
-            h, c = h[order], c[order]
+            # minimizers are least hashes, so they crowd at the low end: a second hash deals them evenly
+            r = ((mix(h) >> np.uint64(32)) * np.uint64(ranges)) >> np.uint64(32)
+            order = np.lexsort((c, h, r))
+            h, c, r = h[order], c[order], r[order]
             one = np.ones(len(h), bool)
             one[1:] = (h[1:] != h[:-1]) | (c[1:] != c[:-1])
-            h, c = h[one], c[one]
-            r = ((h >> np.uint64(32)) * np.uint64(ranges)) >> np.uint64(32)
+            h, c, r = h[one], c[one], r[one]
             bounds = np.searchsorted(r, np.arange(ranges + 1).astype(np.uint64))
             own = np.frombuffer(b"".join(seen), np.uint8).reshape(-1, 16)
             rows = []
@@ -318,7 +321,8 @@ def repeated_spans(docs: DataFrame, n: int = 50, gram: int = 24, text: str = "te
     """key, tag (of the text), spans (pairs of int32, start and end): places covered by an n-byte string that a smaller key has too."""
     spark = docs.sparkSession
     s = scratch or Scratch(spark, "suffix")
-    ranges = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    size = docs.agg(F.sum(F.octet_length(F.col(text)))).first()[0] or 0
+    ranges = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // RANGE_BYTES))
     texts = _texts(docs, text, key).where(F.col("key").isNotNull() & (F.octet_length("body") >= n))
     lists = s.keep(_gram_lists(texts, n, gram, ranges), "grams")
     classes = texts.groupBy("fp").agg(F.min("key").alias("first"))
