@@ -16,6 +16,8 @@ UNITS = (
     "usd eur gbp dollar dollars euro euros cent cents pound pounds percent degree degrees w kw mw v a hz khz mhz ghz kb mb gb tb kmh mph celsius fahrenheit meter meters metre metres kilometer kilometers kilometre kilometres gram grams kilogram kilograms"
 ).split()
 NUMBER, NAME, UNIT = "§d", "§n", "§u"
+#: Words with a capital in a row from which a text's windows are also hashed as spelled.
+CAPITALS = 4
 
 
 @dataclass(frozen=True)
@@ -32,22 +34,40 @@ class Settings:
 
 
 def _words(text: Column, slots: bool) -> Column:
-    """Words in lower case without punctuation; with slots, those that stand for a number, name or unit are replaced.
+    """Words in lower case without punctuation; with slots, those that stand for a number or unit are replaced and
+    those that may be a name are marked.
     Both forms have a word at the same places: a word is never added, and goes only if it is all punctuation."""
     t = text
     if slots:
         t = F.regexp_replace(t, r"(?<![^\s(\[\"'$€£+-])[$€£+-]?\d[\d.,:/]*(?:st|nd|rd|th|%)?(?![\p{L}\d])", NUMBER)
         t = F.regexp_replace(t, rf"(?i)(?<={NUMBER}\s)(?:{'|'.join(sorted(UNITS, key=lambda u: (-len(u), u)))})(?![\p{{L}}\d])", UNIT)
-        # a capital inside a sentence starts a name; the first word of a sentence is left alone
-        t = F.regexp_replace(t, r"(?<=[\p{Ll},;] )\p{Lu}[\p{L}'-]*", NAME)
+        # a capital may start a name, at the start of a sentence as well: the word stays behind its mark
+        t = F.regexp_replace(t, r"(?<![\p{L}\p{N}§])(\p{Lu}[\p{L}'-]*)", NAME + "$1")
     t = F.regexp_replace(F.lower(t), r"[^\p{L}\p{N}§\s]+", "")
     return F.filter(F.split(t, r"\s+"), lambda w: w != "")
 
 
+def _slotted(w: Column) -> Column:
+    """A marked name as a slot."""
+    return F.when(w.startswith(NAME), F.lit(NAME)).otherwise(w)
+
+
+def _named(w: Column) -> Column:
+    """A marked name as its word."""
+    return F.when(w.startswith(NAME), F.substr(w, F.lit(len(NAME) + 1))).otherwise(w)
+
+
 def is_slot(w: Column) -> Column:
     return w.isin(NUMBER, NAME, UNIT)
 
 
+def _all(conditions) -> Column:
+    out = F.lit(True)
+    for x in conditions:
+        out = out & x
+    return out
+
+
 def _windows(hashes: str, lengths: list[int]) -> Column:
     """(length, place, hash) of every window of these lengths over an array column of word hashes."""
     h, per = F.col(hashes), []
@@ -72,19 +92,28 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, settings: Settings | Non
     c = settings or Settings()
     spark = docs.sparkSession
     s = scratch or Scratch(spark, "templates")
-    items = benchmark.select(F.col(item).alias("item"), _words(F.coalesce(F.col(item_text), F.lit("")), True).alias("template"), _words(F.coalesce(F.col(item_text), F.lit("")), False).alias("values"))
-    items = items.where(F.size("template") >= c.shortest).withColumn("size", F.size("template")).dropDuplicates(["item"])
-    items = s.keep(items.withColumn("h", F.transform("template", lambda w: F.xxhash64(w))), "items")
+    items = benchmark.select(F.col(item).alias("item"), _words(F.coalesce(F.col(item_text), F.lit("")), True).alias("marked"), _words(F.coalesce(F.col(item_text), F.lit("")), False).alias("values"))
+    items = items.where(F.size("marked") >= c.shortest).withColumn("size", F.size("marked")).dropDuplicates(["item"])
+    items = items.select("item", "size", "values", F.transform("marked", _slotted).alias("template"), F.transform("marked", _named).alias("spelled"))
+    items = s.keep(items.withColumn("h", F.transform("template", lambda w: F.xxhash64(w))).withColumn("hs", F.transform("spelled", lambda w: F.xxhash64(w))), "items")
     lengths = sorted(r[0] for r in items.select(F.least("size", F.lit(c.window))).distinct().collect())  # at most window of them
     nothing = f"{key} {docs.schema[key].dataType.simpleString()}, {item} {benchmark.schema[item].dataType.simpleString()}, at int, covered int, item_words int, n_slots int, n_consistent int"
     if not lengths:
         return spark.createDataFrame([], nothing)
-    own = items.select("item", "template", "size", F.explode(_windows("h", lengths)).alias("x")).select("item", F.col("x.p").alias("q"), F.col("x.w").alias("w"), F.least("size", F.lit(c.window)).alias("n"), "template")
-    own = own.where(F.exists(F.slice("template", F.col("q") + 1, F.col("n")), lambda w: ~is_slot(w))).select("item", "q", "w", "n")
+    # windows with names as slots, and with names spelled out for texts in other letter cases
+    kinds = [items.select("item", F.col(words).alias("words"), "size", F.explode(_windows(h, lengths)).alias("x")) for words, h in (("template", "h"), ("spelled", "hs"))]
+    own = kinds[0].unionByName(kinds[1]).select("item", F.col("x.p").alias("q"), F.col("x.w").alias("w"), F.least("size", F.lit(c.window)).alias("n"), "words")
+    own = own.where(F.exists(F.slice("words", F.col("q") + 1, F.col("n")), lambda w: ~is_slot(w))).select("item", "q", "w", "n").distinct()
     own = s.keep(own, "item-windows")
     small = own.count() <= c.broadcast_windows
-    hashed = docs.select(F.col(key).alias("doc"), F.transform(_words(F.coalesce(F.col(text), F.lit("")), True), lambda w: F.xxhash64(w)).alias("h"))
-    seen = hashed.select("doc", F.explode(_windows("h", lengths)).alias("x")).select("doc", F.col("x.p").alias("p"), F.col("x.w").alias("w"))
+    marked = docs.select(F.col(key).alias("doc"), _words(F.coalesce(F.col(text), F.lit("")), True).alias("m"))
+    # where capitals follow one another (titles, capital letters throughout) words are spelled out as well
+    starts = F.when(F.size("m") >= CAPITALS, F.sequence(F.lit(0), F.size("m") - CAPITALS)).otherwise(F.array().cast("array<int>"))
+    in_a_row = F.filter(starts, lambda i: _all(F.get("m", i + j).startswith(NAME) for j in range(CAPITALS)))
+    hashed = marked.select("doc", "m", F.transform("m", lambda w: F.xxhash64(_slotted(w))).alias("h"), in_a_row.alias("capitals"))
+    hashed = hashed.select("doc", "h", "capitals", F.when(F.size("capitals") > 0, F.transform("m", lambda w: F.xxhash64(_named(w)))).otherwise(F.array().cast("array<bigint>")).alias("hs"))
+    spelled = [_hashed(F.col("hs"), F.filter("capitals", lambda i, n=n: i <= F.size("hs") - n), n) for n in lengths]
+    seen = hashed.select("doc", F.explode(F.concat(_windows("h", lengths), *spelled)).alias("x")).select("doc", F.col("x.p").alias("p"), F.col("x.w").alias("w"))
     hits = seen.join(F.broadcast(own) if small else own, "w").select("doc", "item", (F.col("p") - F.col("q")).alias("at"), "q", "n")
     # places of a window covered by hits on one alignment: the union of [q, q + n), taken from sorted places
     run = hits.groupBy("doc", "item", "at").agg(F.array_sort(F.collect_set("q")).alias("qs"), F.first("n").alias("n"))

@@ -147,11 +147,38 @@ def test_decontamination(spark):
     b = spark.createDataFrame([(9, item), (10, None), (11, "tiny"), (9, item)], "item_id long, text string")
     d = spark.createDataFrame(docs, DOCS)
     got = {(r.doc_id, r.item_id) for r in decontaminate.contaminated(d, b).collect()}
-    assert {(1, 9), (7, 9)} <= got and (3, 9) not in got and got <= {(1, 9), (2, 9), (7, 9)}
+    assert got == {(1, 9), (2, 9), (7, 9)}
     assert decontaminate.contaminated(d, b.where("item_id = 11")).count() == 0
     assert decontaminate.contaminated(d.where("doc_id < 0"), b).count() == 0
 
 
+NAMES = "Anna Omar Maria Chen Zoe Ravi Lena Tariq Ines Bruno Keiko Pavel".split()
+PLACES = "Lisbon Cairo Osaka Quito Bergen Hanoi Tunis Perth".split()
+FORMS = [
+    "{a} has {x} red apples. {a} gives {y} of them away. {a} buys {z} more at noon. {a} sells {y}. How many apples remain?",
+    "A train leaves {p} at {x} and reaches {q} after {y} hours, so how far did {a} and {b} go if it runs {z} km an hour?",
+    "{a} and {b} share {x} euros in the ratio {y} to {z}. How many euros does {b} get, and how many more would {a} need?",
+    "On Monday {a} drives from {p} to {q}, a distance of {x} km, in {y} hours and rests {z} minutes; what was the mean speed?",
+    "If {a} reads {x} pages a day and {b} reads {y} pages a day, after how many days have both of them read {z} pages?",
+]
+
+
+def test_items_are_found_with_other_values_and_letter_cases(spark):
+    """Recall on items with other names and numbers and in other letter cases; other questions stay clean."""
+    r = random.Random(31)
+    fill = lambda f: f.format(**dict(zip("ab", r.sample(NAMES, 2), strict=True)), **dict(zip("pq", r.sample(PLACES, 2), strict=True)), **dict(zip("xyz", r.sample(range(2, 99), 3), strict=True)))
+    items = [(i, fill(f)) for i, f in enumerate(FORMS)]
+    words = lambda n: " ".join(r.choice("and the of ran by lake tree house was on under night word page run".split()) for _ in range(n))
+    own = [(i, how(fill(f) if how is str else items[i][1])) for i, f in enumerate(FORMS) for how in (str,) * 20 + (str.lower, str.upper, str.title)]
+    docs = [(k, f"{words(30)}. {t} {words(30)}", i) for k, (i, t) in enumerate(own)]
+    clean = [(1000 + k, f"{words(20)}. {r.choice(NAMES)} walks {r.randint(2, 99)} km to {r.choice(PLACES)}. {words(30)}", -1) for k in range(60)]
+    d = spark.createDataFrame(docs + clean, "doc_id long, text string, extra long")
+    got = {(x.doc_id, x.item_id) for x in decontaminate.contaminated(d, spark.createDataFrame(items, "item_id long, text string")).collect()}
+    exp = {(k, i) for k, _, i in docs}
+    assert len(got & exp) >= 0.95 * len(exp) and not got - exp
+    assert not [k for k, (i, t) in enumerate(own) if t.lower() == items[i][1].lower() and (k, i) not in got]
+
+
 def test_decontamination_finds_the_planted_items(spark):
     docs, b = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "benchmark"))
     exp = {(x.doc_id, y.item_id) for x in docs.collect() for y in b.collect() if y.text in x.text}
