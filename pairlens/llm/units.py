@@ -34,7 +34,8 @@ def cut_points(data: np.ndarray) -> np.ndarray:
 class UnitMemo:
     """encode(units as str, without the space they start with; whether they start their text) -> ids of each as bytes.
 
-    What is known stands in sorted arrays (about 30 bytes a unit), so a worker's memo stays small.
+    What is known stands in a few sorted arrays, each several times larger than the next (about 30 bytes a unit), so a
+    worker's memo stays small and is not copied for each batch.
     """
 
     def __init__(self, encode: Callable[[list[str], bool], list[bytes]], batch_bytes: int = 1 << 18):
@@ -42,7 +43,8 @@ class UnitMemo:
         self.clear()
 
     def clear(self) -> None:
-        self.keys, self.place, self.ids = np.zeros(0, np.uint64), np.zeros((0, 2), np.int64), np.zeros(0, "<u4")
+        self.levels: list[tuple[np.ndarray, np.ndarray]] = []
+        self.ids, self.used = np.zeros(1 << 16, "<u4"), 0
 
     def learn(self, keys: np.ndarray, units: list[bytes], leading: bool) -> None:
         got, at = [], 0
@@ -53,16 +55,29 @@ class UnitMemo:
                 end += 1
             got += self.encode([u.decode("utf-8", "replace") for u in units[at:end]], leading)
             at = end
+        if not got:
+            return
         n = np.array([len(x) for x in got], np.int64) // 4
-        at = len(self.ids) + np.concatenate([[0], np.cumsum(n)[:-1]]) if len(n) else n
-        self.ids = np.concatenate([self.ids, np.frombuffer(b"".join(got), "<u4")])
-        to = np.searchsorted(self.keys, keys)
-        self.keys, self.place = np.insert(self.keys, to, keys), np.insert(self.place, to, np.stack([at, n], 1), axis=0)
-
-    def missing(self, keys: np.ndarray) -> np.ndarray:
-        if not len(self.keys):
-            return np.ones(len(keys), bool)
-        return self.keys[np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)] != keys
+        end = self.used + int(n.sum())
+        if end > len(self.ids):
+            self.ids = np.concatenate([self.ids[: self.used], np.zeros(2 * end - self.used, "<u4")])
+        self.ids[self.used : end] = np.frombuffer(b"".join(got), "<u4")
+        self.levels.append((keys, np.stack([self.used + np.cumsum(n) - n, n], 1)))
+        self.used = end
+        while len(self.levels) > 1 and 3 * len(self.levels[-1][0]) >= len(self.levels[-2][0]):
+            (k, p), (kk, pp) = self.levels.pop(), self.levels.pop()
+            k, p = np.concatenate([kk, k]), np.concatenate([pp, p])
+            order = np.argsort(k, kind="stable")
+            self.levels.append((k[order], p[order]))
+
+    def places(self, keys: np.ndarray) -> np.ndarray:
+        """(place, number) of each key's ids; -1 for those not known."""
+        out = np.full((len(keys), 2), -1, np.int64)
+        for k, p in self.levels:
+            i = np.minimum(np.searchsorted(k, keys), len(k) - 1)
+            hit = k[i] == keys
+            out[hit] = p[i[hit]]
+        return out
 
     def __call__(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts, bounds of each text in them)."""
@@ -83,14 +98,14 @@ class UnitMemo:
         kinds, where = h[order[is_new]], order[is_new]
         back = np.empty(len(h), np.int64)
         back[order] = np.cumsum(is_new) - 1
-        if len(self.keys) > MEMO_UNITS:
+        if sum(len(k) for k, _ in self.levels) > MEMO_UNITS:
             self.clear()
-        new = self.missing(kinds)
+        new = self.places(kinds)[:, 0] < 0
         for lead in (False, True):
             own = new & (leading[where] == lead)
             w = where[own]
             self.learn(kinds[own], [raw[a:b] for a, b in zip(body[w].tolist(), ends[w].tolist(), strict=True)], lead)
-        place = self.place[np.searchsorted(self.keys, kinds)][back]
+        place = self.places(kinds)[back]
         n = place[:, 1]
         total = np.concatenate([[0], np.cumsum(n)])
         ids = self.ids[np.arange(total[-1]) + np.repeat(place[:, 0] - total[:-1], n)]
