@@ -24,6 +24,8 @@ def shared_dir(spark: SparkSession) -> str:
     if held.isDefined():
         return held.get()
     named = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
+    if not named and not sc.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
     sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="pairlens-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
