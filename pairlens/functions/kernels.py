@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import re
 from collections import Counter
+from collections.abc import Callable
 from functools import lru_cache
 
 import numpy as np
@@ -50,6 +51,46 @@ def lcs_length(a: list, b: list) -> int:
     return len(b) - v.bit_count()
 
 
+def substring_length(a: str, b: str) -> int:
+    """Length of the longest common run of characters: a suffix automaton of the shorter text, a walk over the other."""
+    if len(a) > len(b):
+        a, b = b, a
+    step: list[dict[str, int]] = [{}]
+    link, size, last = [-1], [0], 0
+    for c in a:
+        new = len(step)
+        step.append({})
+        size.append(size[last] + 1)
+        link.append(0)
+        p = last
+        while p >= 0 and c not in step[p]:
+            step[p][c] = new
+            p = link[p]
+        if p >= 0:
+            q = step[p][c]
+            if size[p] + 1 != size[q]:
+                twin = len(step)
+                step.append(dict(step[q]))
+                size.append(size[p] + 1)
+                link.append(link[q])
+                while p >= 0 and step[p].get(c) == q:
+                    step[p][c] = twin
+                    p = link[p]
+                link[q] = twin
+                q = twin
+            link[new] = q
+        last = new
+    best = run = at = 0
+    for c in b:
+        while at and c not in step[at]:
+            at = link[at]
+            run = size[at]
+        if c in step[at]:
+            at, run = step[at][c], run + 1
+        best = max(best, run)
+    return best
+
+
 def lcs_places(a: list, b: list) -> set[int]:
     """Places of b on one longest common subsequence."""
     n, m = len(a), len(b)
@@ -97,24 +138,36 @@ def rouge_lsum(pred: list[list[str]], target: list[list[str]]) -> tuple[float, f
 
 
 def hashed_vectors(sentences: list[str], dim: int = 256, sizes: tuple[int, ...] = (3, 4, 5)) -> np.ndarray:
-    """Signed hashed character n-grams, log-scaled and normalised: a stand-in for a trained sentence encoder."""
-    import zlib
-
-    out = np.zeros((len(sentences), dim))
-    for i, s in enumerate(sentences):
-        raw = s.lower().encode()
-        for g, c in Counter(raw[j : j + n] for n in sizes for j in range(len(raw) - n + 1)).items():
-            h = zlib.crc32(g)
-            out[i, h % dim] += (1 if h >> 31 else -1) * np.log1p(c)
-        norm = np.linalg.norm(out[i])
-        out[i] /= norm or 1
-    return out
-
-
-def similarity(sentences: list[str], weights: str = "hashed", idf: dict[str, float] | None = None) -> np.ndarray:
-    """Sentence graph: cosine of hashed vectors, of tf-idf counts, or word overlap by log lengths."""
+    """Signed hashed character n-grams, log-scaled and normalised: a stand-in for a trained sentence encoder. All
+    sentences are counted at once; a gram of up to five bytes is its own number."""
+    m = len(sentences)
+    raws = [s.lower().encode() for s in sentences]
+    lens = np.fromiter(map(len, raws), np.int64, m)
+    buf = np.frombuffer(b"".join(raws), np.uint8).astype(np.uint64)
+    owner, ends = np.repeat(np.arange(m), lens), np.repeat(np.cumsum(lens), lens)
+    out = np.zeros(m * dim)
+    for n in sizes:
+        starts = np.flatnonzero(np.arange(len(buf)) + n <= ends)
+        grams = np.zeros(len(starts), np.uint64)
+        for j in range(n):
+            grams = grams << np.uint64(8) | buf[starts + j]
+        order = np.lexsort((grams, owner[starts]))
+        g, o = grams[order], owner[starts][order]
+        first = np.flatnonzero(np.r_[True, (g[1:] != g[:-1]) | (o[1:] != o[:-1])]) if len(g) else np.zeros(0, np.int64)
+        count = np.diff(np.r_[first, len(g)])
+        h = (g[first] + np.uint64(n)) * np.uint64(0x9E3779B97F4A7C15)
+        h ^= h >> np.uint64(31)
+        value = np.where(h >> np.uint64(63), 1.0, -1.0) * np.log1p(count)
+        out += np.bincount(o[first] * dim + (h % np.uint64(dim)).astype(np.int64), value, m * dim)
+    out = out.reshape(m, dim)
+    norm = np.linalg.norm(out, axis=1, keepdims=True)
+    return out / np.where(norm > 0, norm, 1)
+
+
+def similarity(sentences: list[str], weights: str = "hashed", idf: dict[str, float] | None = None, encoder: Callable[[list[str]], np.ndarray] = hashed_vectors) -> np.ndarray:
+    """Sentence graph: cosine of the encoder's vectors (weights hashed), of tf-idf counts, or word overlap by log lengths."""
     if weights == "hashed":
-        v = hashed_vectors(sentences)
+        v = encoder(sentences)
         s = v @ v.T
     else:
         toks = [tokenize(x) for x in sentences]
@@ -157,12 +210,14 @@ def centrality(s: np.ndarray, graph: str = "continuous", threshold: float = 0.1,
     return p
 
 
-def central_places(sentences: list[str], k: int, weights: str = "hashed", graph: str = "continuous", idf: dict | None = None) -> list[int]:
-    """Places of the k most central sentences, in document order; ties go to the earlier one."""
-    if len(sentences) <= k:
+def central_places(sentences: list[str], k: int, weights: str = "hashed", graph: str = "continuous", idf: dict | None = None, order: str = "document", encoder: Callable[[list[str]], np.ndarray] = hashed_vectors, **walk) -> list[int]:
+    """Places of the k most central sentences, in document order or by rank; ties go to the earlier one. walk: threshold,
+    damping, rounds and enough of the centrality."""
+    if len(sentences) <= k and order == "document":
         return list(range(len(sentences)))
-    p = np.round(centrality(similarity(sentences, weights, idf), graph), 9)
-    return sorted(np.lexsort((np.arange(len(p)), -p))[:k].tolist())
+    p = np.round(centrality(similarity(sentences, weights, idf, encoder), graph, **walk), 9)
+    top = np.lexsort((np.arange(len(p)), -p))[:k].tolist()
+    return top if order == "rank" else sorted(top)
 
 
 def oracle_places(sentences: list[str], target: str, most: int) -> list[int]:

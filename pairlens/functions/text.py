@@ -44,7 +44,9 @@ def ngrams(toks: Column, n: int) -> Column:
     """Overlapping n-grams joined by a blank; none if there are fewer tokens."""
     if n == 1:
         return toks
-    return F.when(F.size(toks) >= n, F.transform(F.sequence(F.lit(1), F.size(toks) - (n - 1)), lambda i: F.array_join(F.slice(toks, i, n), " "))).otherwise(F.array().cast("array<string>"))
+    grams = lambda t: F.when(F.size(t) >= n, F.transform(F.sequence(F.lit(1), F.size(t) - (n - 1)), lambda i: F.array_join(F.slice(t, i, n), " "))).otherwise(F.array().cast("array<string>"))
+    # as the argument of a lambda the tokens are made once, inside one they would be made for every gram
+    return F.get(F.transform(F.array(toks), grams), 0)
 
 
 def sentences(c: Column, abbreviations: tuple[str, ...] = ()) -> Column:

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -28,10 +31,10 @@ def mean_ratio(pairs: DataFrame, split: str = "train", unit: str = "sentence") -
     return pairs.where(F.col("split") == split).agg(F.avg(r).alias("ratio"))
 
 
-def with_k(pairs: DataFrame, ratio: DataFrame) -> DataFrame:
-    """k: sentences of the reference over the mean ratio, rounded half up, at least 1 and at most all."""
+def with_k(pairs: DataFrame, ratio: DataFrame, rounding: str = "half_up") -> DataFrame:
+    """k: sentences of the reference over the mean ratio, rounded half_up, down or up, at least 1 and at most all."""
     n = F.size(sentences(F.col("reference")))
-    k = F.floor(n / F.col("ratio") + 0.5)
+    k = {"half_up": lambda x: F.floor(x + 0.5), "down": F.floor, "up": F.ceil}[rounding](n / F.col("ratio"))
     return pairs.crossJoin(F.broadcast(ratio)).withColumn("k", F.greatest(F.lit(1), F.least(F.coalesce(k, F.lit(1)), n)).cast("int")).drop("ratio")
 
 
@@ -48,8 +51,9 @@ def random_k(pairs: DataFrame, ratio: DataFrame, seed: int = 0) -> DataFrame:
     return p.withColumn("output", _joined(F.transform(order, lambda i: F.get("s", i)))).drop("s")
 
 
-def central(pairs: DataFrame, ratio: DataFrame, weights: str = "hashed", graph: str = "continuous") -> DataFrame:
-    """The k most central sentences of each reference's sentence graph. One document's graph is one row's work."""
+def central(pairs: DataFrame, ratio: DataFrame, weights: str = "hashed", graph: str = "continuous", order: str = "document", encoder: Callable[[list[str]], np.ndarray] = K.hashed_vectors, **walk) -> DataFrame:
+    """The k most central sentences of each reference's sentence graph, in document order or by rank. One document's
+    graph is one row's work. encoder gives a unit vector per sentence; walk: threshold, damping, rounds, enough."""
     p = with_k(pairs, ratio)
     if weights == "tfidf":
         df = p.select("pair_id", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("reference"), F.lit(r"[\p{L}\p{N}]+"), F.lit(0)))).alias("w"))
@@ -62,7 +66,7 @@ def central(pairs: DataFrame, ratio: DataFrame, weights: str = "hashed", graph:
 
     def pick(s: pd.Series, k: pd.Series, idf: pd.Series) -> pd.Series:
         rows = zip(s, k, idf, strict=True)
-        return pd.Series([" ".join(x[i] for i in K.central_places(list(x), int(n), weights, graph, dict(w) if w is not None else None)) if x is not None else "" for x, n, w in rows])
+        return pd.Series([" ".join(x[i] for i in K.central_places(list(x), int(n), weights, graph, dict(w) if w is not None else None, order, encoder, **walk)) if x is not None else "" for x, n, w in rows])
 
     return p.withColumn("output", F.pandas_udf(pick, "string")(sentences(F.col("reference")), "k", "idf")).drop("idf")
 

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from pairlens.functions import checks as C
@@ -97,6 +97,18 @@ def funnel(labelled: DataFrame, corpus: str, bold_share: float = 0.02, fold: boo
     return n.join(F.broadcast(total), "split").select(F.lit(corpus).alias("corpus"), "split", "verdict", "n", F.round(share, 6).alias("share"), ((F.col("verdict") != "valid") & (share > bold_share)).alias("bold"))
 
 
+def observed(labelled: DataFrame) -> tuple[DataFrame, Observation]:
+    """The rows as they are, with an observation that holds the counts of verdicts once they have been written."""
+    seen = Observation()
+    return labelled.observe(seen, F.count(F.lit(1)).alias("n"), *(F.count_if(F.col("verdict") == v).alias(v) for v in VERDICTS)), seen
+
+
+def grid(spark: SparkSession, first: float = 1.0, step: float = 0.25, ratios: int = 4, least: int = 20, wider: int = 15, lengths: int = 3) -> DataFrame:
+    """min_cr, min_ref: every setting of a sweep, from a range."""
+    i = F.col("id")
+    return spark.range(ratios * lengths).select(F.round(first + (i % ratios) * step, 6).alias("min_cr"), (least + F.floor(i / ratios) * wider).cast("int").alias("min_ref"))
+
+
 def wide_funnel(labelled: DataFrame) -> DataFrame:
     """A row per split, a column per verdict."""
     return labelled.groupBy("split").pivot("verdict", list(VERDICTS)).agg(F.count(F.lit(1))).na.fill(0)

@@ -119,17 +119,35 @@ add("copy_similarity", m1(lambda p: p.select("pair_id", F.round(C.jaccard(ref(),
 add("copy_edits", m1(lambda p: p.select("pair_id", F.levenshtein("reference", "summary").alias("edits"))))
 
 
-def near_copy(s: SparkSession, d: str) -> DataFrame:
-    """Longest common subsequence of tokens over the summary's, for pairs that pass the row checks."""
-    from pairlens.functions.udfs import lcs_length
+def near_copy(s: SparkSession, d: str, unit: str = "token") -> DataFrame:
+    """Longest common subsequence of tokens or characters over the summary's, for pairs that pass the row checks."""
+    from pairlens.functions.udfs import char_lcs_length, lcs_length
 
     p = S.Sieve(dedup=None).label_rows(MAPPINGS["mixed_news"](s, d)).where("verdict = 'valid'")
-    n = F.size(T.tokens(summ()))
-    share = F.try_divide(lcs_length(T.tokens(ref()), T.tokens(summ())).cast("double"), n.cast("double"))
+    n, lcs = (F.size(T.tokens(summ())), lcs_length(T.tokens(ref()), T.tokens(summ()))) if unit == "token" else (F.length(summ()), char_lcs_length(ref(), summ()))
+    share = F.try_divide(lcs.cast("double"), n.cast("double"))
     return p.select("pair_id", F.round(share, 6).alias("lcs_share"), (share >= 0.9).alias("near_copy"))
 
 
-add("near_copy", near_copy)
+def common_run(s: SparkSession, d: str) -> DataFrame:
+    """Longest run of characters that both sides have, over the summary's length."""
+    from pairlens.functions.udfs import substring_length
+
+    run = substring_length(ref(), summ())
+    return MAPPINGS["headline_body"](s, d).select("pair_id", run.alias("run"), F.round(F.try_divide(run.cast("double"), F.length(summ()).cast("double")), 6).alias("share"))
+
+
+def lcs_sql(cte: str, source: str, a: str, b: str) -> str:
+    """lcs (pair_id, na, nb, hit): the table's rows one after the other, each from the one before by running maxima."""
+    return f"""WITH RECURSIVE {cte}, lt AS (SELECT pair_id, {toks(a)} AS a, {toks(b)} AS b FROM {source}), la AS (SELECT pair_id, unnest(a) AS w, unnest(range(len(a))) AS i FROM lt),
+    ld AS (SELECT pair_id, 0::BIGINT AS i, b, list_transform(range(len(b) + 1), lambda x: 0::BIGINT) AS r FROM lt
+    UNION ALL SELECT ld.pair_id, ld.i + 1, b, list_prepend(0::BIGINT, list_transform(range(1, len(b) + 1), lambda j: list_max(list_transform(range(1, j + 1), lambda h: greatest(r[h + 1], r[h] + (b[h] = la.w)::BIGINT))))) FROM ld JOIN la ON la.pair_id = ld.pair_id AND la.i = ld.i),
+    lcs AS (SELECT lt.pair_id, len(lt.a) AS na, len(lt.b) AS nb, ld.r[len(lt.b) + 1] AS hit FROM lt JOIN ld ON lt.pair_id = ld.pair_id AND ld.i = len(lt.a))"""
+
+
+add("near_copy", near_copy, lcs_sql(f"{M3}, {row_sql('m3')}, passed AS (SELECT * FROM rows_ WHERE verdict = 'valid')", "passed", "reference", "summary") + " SELECT pair_id, round(hit / nullif(nb, 0)::DOUBLE, 6) AS lcs_share, hit / nullif(nb, 0)::DOUBLE >= 0.9 AS near_copy FROM lcs")
+add("near_copy_chars", lambda s, d: near_copy(s, d, "char"))
+add("copy_substring", common_run)
 
 # duplicates
 _d = f"WITH {M1}, p AS (SELECT *, md5(reference) AS fr, md5(summary) AS fs FROM m1) "
@@ -216,6 +234,7 @@ for _i in (1, 2, 3):
     add(f"rouge{_i}", (lambda i: m1(lambda p: R.relational_rouge(B.lead(p), "output", "summary", i)))(_i), rouge_sql(_i))
 add("rouge_kernel", m1(lambda p: B.lead(p).select("pair_id", R.rouge(F.col("output"), summ(), stem=None).alias("s")).select("pair_id", F.round("s.r1_p", 6).alias("p"), F.round("s.r1_r", 6).alias("r"), F.round("s.r1_f", 6).alias("f"))), rouge_sql(1))
 add("rougeL", m1(lambda p: B.lead(p).select("pair_id", F.round(R.rouge(F.col("output"), summ()).getField("rl_f"), 6).alias("f"))))
+add("rougeL_plain", m1(lambda p: B.lead(p).select("pair_id", F.round(R.rouge(F.col("output"), summ(), None).getField("rl_f"), 6).alias("f"))), lcs_sql(f"{M1}, o AS (SELECT pair_id, summary, {_lead(3)} AS output FROM m1)", "o", "output", "summary") + " SELECT pair_id, round(CASE WHEN hit > 0 THEN 2 * (hit / na::DOUBLE) * (hit / nb::DOUBLE) / (hit / na::DOUBLE + hit / nb::DOUBLE) ELSE 0 END, 6) AS f FROM lcs")
 
 
 def rouge_lsum(s: SparkSession, d: str) -> DataFrame:
@@ -279,3 +298,63 @@ def loops(s: SparkSession, d: str) -> DataFrame:
 
 add("fragments", fragments)
 add("block_repeats", loops)
+
+
+# the SQL surface
+def sql_surface(s: SparkSession, d: str) -> DataFrame:
+    """The checks and the score by their SQL names."""
+    from pairlens.sources.tables import register
+
+    register(s, B.lead(MAPPINGS["headline_body"](s, d)), "pairlens_surface")
+    return s.sql("SELECT pair_id, round(compression_ratio(reference, summary), 6) AS cr, sieve_verdict(reference, summary) AS verdict, round(rouge_f(output, summary), 6) AS f FROM pairlens_surface")
+
+
+def sentence_table(s: SparkSession, d: str) -> DataFrame:
+    from pairlens.functions.tables import register_tables
+
+    register_tables(s)
+    load(s, d, "documents").createOrReplaceTempView("pairlens_documents")
+    return s.sql("SELECT doc_id, z.pos, z.sentence FROM pairlens_documents, LATERAL sentence_rows(text) z")
+
+
+def gram_counts(s: SparkSession, d: str) -> DataFrame:
+    from pairlens.functions.tables import register_tables
+
+    register_tables(s)
+    MAPPINGS["headline_body"](s, d).createOrReplaceTempView("pairlens_heads")
+    return s.sql("SELECT z.gram, count(*) AS n FROM pairlens_heads, LATERAL gram_table(summary, 2) z GROUP BY z.gram")
+
+
+def novel_shares(s: SparkSession, d: str) -> DataFrame:
+    """The grouped aggregate over a pair's bigrams; pairs without any are left out, as there is nothing to group."""
+    from pairlens.functions.udfs import novel_share
+
+    new = lambda a, b: F.transform(a, lambda g: F.struct(g.alias("gram"), F.array_contains(b, g).alias("known")))
+    both = MAPPINGS["headline_body"](s, d).select("pair_id", F.get(F.transform(F.array(F.struct(T.ngrams(T.tokens(summ()), 2).alias("a"), T.ngrams(T.tokens(ref()), 2).alias("b"))), lambda z: new(z["a"], z["b"])), 0).alias("z"))
+    grams = both.select("pair_id", F.inline("z"))
+    return grams.groupBy("pair_id").agg(F.round(novel_share("gram", "known"), 6).alias("share"))
+
+
+add("sql_surface", sql_surface, f"SELECT a.pair_id, a.cr, a.verdict, b.f FROM (WITH {M1}, {row_sql('m1')} SELECT pair_id, round(length(reference)::DOUBLE / nullif(length(summary), 0), 6) AS cr, verdict FROM rows_) a JOIN ({rouge_sql(1)}) b ON a.pair_id = b.pair_id")
+add("sentence_table", sentence_table, O["sentences"])
+_bi = f"WITH {M1}, z AS (SELECT pair_id, unnest((SELECT {_nov(2)} FROM (SELECT {toks('summary')} AS t))) AS gram FROM m1)"
+add("gram_table", gram_counts, _bi + " SELECT gram, count(*) AS n FROM z GROUP BY gram")
+add("novel_share_agg", novel_shares, f"SELECT pair_id, novel_share AS share FROM ({O['novel_ngrams']}) WHERE n_grams > 0")
+add("threshold_grid", lambda s, d: S.grid(s), "SELECT round(1.0::DOUBLE + (i % 4) * 0.25::DOUBLE, 6) AS min_cr, (20 + (i // 4) * 15)::INT AS min_ref FROM range(12) AS t(i)")
+
+
+def pages_text(s: SparkSession, d: str) -> DataFrame:
+    from pairlens.sources.mappings import page_text
+
+    return load(s, d, "pages").select("page_id", page_text(F.col("html"), True).alias("title"), page_text(F.col("html")).alias("text"))
+
+
+def page_sql(part: str) -> str:
+    out = f"regexp_replace(regexp_replace(regexp_extract(html, '(?s)<{part}>(.*?)</{part}>', 1), '(?s)<h1>.*?</h1>', ' ', 'g'), '(?s)<[^>]*>', ' ', 'g')"
+    for entity, plain in (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "''"), ("&amp;", "&")):
+        out = f"replace({out}, '{entity}', '{plain}')"
+    return f"regexp_replace(regexp_replace({out}, '[\\s\\x0b]+', ' ', 'g'), '^ | $', '', 'g')"
+
+
+add("page_text", pages_text, f"SELECT page_id, {page_sql('title')} AS title, {page_sql('article')} AS text FROM pages")
+O["pairs_page_title_body"] = f"SELECT page_id AS pair_id, {SPLIT.format(k='page_id')}, regexp_extract(html, 'lang=\"([a-z]+)\"', 1) AS lang, 'pages' AS origin, page_id AS seq, {page_sql('article')} AS reference, {page_sql('title')} AS summary FROM pages"

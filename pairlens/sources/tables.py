@@ -30,7 +30,12 @@ def write_bucketed(pairs: DataFrame, table: str, buckets: int, key: str = "pair_
 
 
 def register(spark: SparkSession, pairs: DataFrame, name: str = "pairs") -> None:
-    """The pairs as a view and the checks as SQL functions."""
+    """The pairs as a view; the checks, the R-1 score and the table functions as SQL functions of the session."""
+    from pairlens.functions.tables import register_tables
+    from pairlens.functions.udfs import rouge1_f
+
+    spark.udf.register("rouge_f", rouge1_f)
+    register_tables(spark)
     pairs.createOrReplaceTempView(name)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION compression_ratio(r STRING, s STRING) RETURNS DOUBLE RETURN try_divide(CAST(length(r) AS DOUBLE), length(s))")
     spark.sql(

@@ -76,3 +76,24 @@ def repeat_counts(events: DataFrame) -> DataFrame:
 def run_to_end(df: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
     df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
     return df.sparkSession.table(name)
+
+
+def with_limits(pairs: DataFrame, limits: DataFrame) -> DataFrame:
+    """A stream of pairs against a static table (origin, min_ref, min_summ), a row per origin and so small: the verdict
+    of the lengths. Origins without limits keep their pairs."""
+    j = pairs.join(F.broadcast(limits), "origin", "left")
+    short = lambda c, n: F.length(c) < F.coalesce(n, F.lit(0))
+    return j.withColumn("verdict", F.when(short("reference", F.col("min_ref")), "ref_short").when(short("summary", F.col("min_summ")), "summ_short").otherwise("valid")).drop("min_ref", "min_summ")
+
+
+def run_to_files(df: DataFrame, path: str, checkpoint: str) -> StreamingQuery:
+    """All that has come so far, appended to files; run again on the same checkpoint it goes on where it ended."""
+    query = df.writeStream.format("parquet").outputMode("append").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    query.awaitTermination()
+    return query
+
+
+def dropped_late(query: StreamingQuery) -> int:
+    """Rows that came behind the watermark, as the query's progress tells. Rows are held against the watermark of the
+    batch before the last, so a row is late only if it was late then."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
