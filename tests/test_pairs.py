@@ -1,5 +1,6 @@
 import re
 
+import numpy as np
 import pytest
 from conftest import SF
 
@@ -209,3 +210,67 @@ def test_habits_and_gaps(spark):
     side = lambda rows: spark.createDataFrame(rows, "system string, r1 double")
     gaps = {r.system: (r.gap, r.within) for r in scores.reproduction_gap(side([("a", 30.0), ("b", 20.0)]), side([("a", 29.6), ("b", 23.0)]), ["system"]).collect()}
     assert gaps == {"a": (0.4, True), "b": (-3.0, False)}
+
+
+def test_degrees_without_pairs_as_rows(spark):
+    """A thousand vectors in a group, some of them copies: no operator makes a row for each pair."""
+    r = np.random.default_rng(3)
+    v = r.standard_normal((1000, 8)).astype(np.float32)
+    v[:300] = v[0]
+    df = spark.createDataFrame([(i, 1, x) for i, x in enumerate(v.tolist())], "vec_id long, label int, embedding array<float>")
+    got = baselines.vector_degree(df, threshold=0.3)
+    w = v.astype(float)
+    near = sum(np.outer(w[:, k], w[:, k]) for k in range(8)).round(6) >= 0.3
+    np.fill_diagonal(near, False)
+    assert {x.vec_id: x.degree for x in got.collect()} == dict(enumerate(near.sum(1).tolist()))
+    made = re.findall(r"number of output rows: ([\d,]+)", _metrics(got))
+    assert made and max(int(x.replace(",", "")) for x in made) < 20_000
+
+
+def _metrics(df):
+    """Row counts of the plan's operators after collect()."""
+    out, todo = [], [df._jdf.queryExecution().executedPlan()]
+    while todo:
+        p = todo.pop()
+        name = p.getClass().getSimpleName()
+        if name == "AdaptiveSparkPlanExec":
+            todo.append(p.executedPlan())
+        elif name.endswith("QueryStageExec"):
+            todo.append(p.plan())
+        else:
+            todo += [p.children().apply(i) for i in range(p.children().length())]
+        if p.metrics().contains("numOutputRows"):
+            out.append(f"number of output rows: {p.metrics().apply('numOutputRows').value()}")
+    return "\n".join(out)
+
+
+def test_degrees_of_odd_rows(spark):
+    """Keys twice in a group or in two groups, nulls, other lengths, products at the border of rounding, NaN."""
+    nan, inf = float("nan"), float("inf")
+    rows = [
+        (1, 1, [1.0, 0.0]), (1, 1, [0.5, 0.5]), (1, 2, [1.0, 0.0]), (2, 1, [0.5, 0.0]), (None, 1, [1.0, 0.0]), (3, None, [1.0, 0.0]), (4, 1, None), (5, 1, [1.0, None]), (6, 1, [1.0]),
+        (7, 1, []), (8, 2, [0.0999995, 0.0]), (9, 2, [0.0999994, 9.0]), (10, 2, [0.0999996, -1.0]), (11, 3, [nan, 1.0]), (12, 3, [1.0, 0.0]), (13, 4, [1e300, 1e300]), (14, 4, [1e300, -1e300]), (15, 4, [inf, 1.0]), (16, 4, [-inf, 1.0]),
+    ]
+    df = spark.createDataFrame([(k, g, v) for k, g, v in rows], "vec_id long, label int, embedding array<double>")
+    dot = C.F.aggregate(C.F.zip_with("u", "v", lambda p, q: p * q), C.F.lit(0.0), lambda s, x: s + x)
+    for t in (0.1, 0.3, -0.2):
+        a = df.selectExpr("row_number() over (order by vec_id, label, size(embedding), embedding) as i", "vec_id", "label", "embedding as u")
+        b = df.selectExpr("vec_id as y", "label as h", "embedding as v")
+        near = a.join(b, (a.label == b.h) & (a.vec_id != b.y)).where(C.F.round(dot, 6) >= t).groupBy("i").count()
+        exp = a.join(near, "i", "left").selectExpr("vec_id", "label", "coalesce(count, 0) as degree")
+        assert sorted(map(repr, baselines.vector_degree(df, threshold=t).collect())) == sorted(map(repr, exp.collect())), t
+
+
+def test_near_counts_at_the_border():
+    """Products a hair from the border, as halves of the sixth digit: decided as sums in order, in blocks of any size."""
+    r = np.random.default_rng(8)
+    a = r.standard_normal((70, 16)).astype(np.float32)
+    t = float(np.round(a[3].astype(float) @ a[5].astype(float), 6))
+    a[7] = a[5] * np.float32(1 - 1e-7)
+    n = r.integers(1, 4, 70)
+    w = sum(np.outer(a[:, k].astype(float), a[:, k].astype(float)) for k in range(16))
+    for least in (t, t + 1e-6, t - 1e-6, 0.0):
+        exp = np.array([sum(int(m) for x, m in zip(row, n) if round(x, 6) >= least) for row in w.tolist()])
+        for rows, columns in ((240, 2048), (7, 11)):
+            got = K.near_counts(a, n, a, n, least, rows, columns)
+            assert (got[0] == exp).all() and (got[1] == exp).all()
