@@ -274,3 +274,14 @@ def test_near_counts_at_the_border():
         for rows, columns in ((240, 2048), (7, 11)):
             got = K.near_counts(a, n, a, n, least, rows, columns)
             assert (got[0] == exp).all() and (got[1] == exp).all()
+
+
+def test_vectors_at_a_higher_cosine_meet_in_cells(spark):
+    """central_vectors: degrees as over all pairs, and no join whose condition is a product."""
+    df = pair_queries.Q["central_vectors"](spark, SF)
+    assert not any("Join" in x and "aggregate(" in x for x in df._jdf.queryExecution().optimizedPlan().toString().splitlines())
+    rows = spark.read.parquet(f"{SF}/embeddings.parquet").collect()
+    v, label = np.array([x.embedding for x in rows], float), np.array([x.label for x in rows])
+    near = (sum(np.outer(v[:, k], v[:, k]) for k in range(v.shape[1])).round(6) >= 0.3) & (label[:, None] == label)
+    np.fill_diagonal(near, False)
+    assert {x.vec_id: x.degree for x in df.collect()} == {x.vec_id: n for x, n in zip(rows, near.sum(1).tolist(), strict=True)}
