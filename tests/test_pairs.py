@@ -285,3 +285,26 @@ def test_vectors_at_a_higher_cosine_meet_in_cells(spark):
     near = (sum(np.outer(v[:, k], v[:, k]) for k in range(v.shape[1])).round(6) >= 0.3) & (label[:, None] == label)
     np.fill_diagonal(near, False)
     assert {x.vec_id: x.degree for x in df.collect()} == {x.vec_id: n for x, n in zip(rows, near.sum(1).tolist(), strict=True)}
+
+
+def test_habits_are_read_from_the_documents(spark):
+    """The audit has a record for each document."""
+    df = pair_queries.Q["evaluation_audit"](spark, SF)
+    assert {x.rsplit("/", 1)[1] for x in df.inputFiles()} == {"documents.parquet"}
+    p = sieve.Sieve(dedup=None).label_rows(mappings.headline_body(spark, SF)).collect()
+    exp = {}
+    for x in p:
+        e = exp.setdefault(x.split != "train", [0, 0, 0, 0])
+        parts = [y for y in re.sub(r"([.!?])[ \t]+", "\\1\n", x.reference).split("\n") if y.strip(" \t")]
+        beyond = bool(re.search("[0-9]", x.summary or ""))
+        for i, yes in enumerate((True, len(parts) > 3, beyond, beyond and x.verdict == "valid")):
+            e[i] += yes
+    assert {x.published: list(x)[1:] for x in df.collect()} == exp
+
+
+def test_records_of_odd_documents(spark, tmp_path):
+    rows = [(9, None), (8, ""), (19, "Sum of 3.\n" + "A b c. " * 20), (1, "word\nbody")]
+    spark.createDataFrame([(i, t, "en", "o", len(t or "")) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.system: tuple(r)[1:] for r in workloads.reports(spark, str(tmp_path)).collect()}
+    assert got == {"9": (True, False, False, []), "8": (True, False, False, []), "19": (True, False, True, ["rouge1", "rouge2", "rougeL", "factuality"]), "1": (False, False, False, ["rouge1", "rougeL"])}
+    assert {r.published: tuple(r)[1:] for r in workloads.habits(spark, str(tmp_path)).collect()} == {True: (3, 1, 1, 0), False: (1, 0, 0, 0)}
