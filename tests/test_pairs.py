@@ -308,3 +308,15 @@ def test_records_of_odd_documents(spark, tmp_path):
     got = {r.system: tuple(r)[1:] for r in workloads.reports(spark, str(tmp_path)).collect()}
     assert got == {"9": (True, False, False, []), "8": (True, False, False, []), "19": (True, False, True, ["rouge1", "rouge2", "rougeL", "factuality"]), "1": (False, False, False, ["rouge1", "rougeL"])}
     assert {r.published: tuple(r)[1:] for r in workloads.habits(spark, str(tmp_path)).collect()} == {True: (3, 1, 1, 0), False: (1, 0, 0, 0)}
+
+
+def test_the_grid_meets_the_documents(spark):
+    """Pairs that pass each setting of the range, counted from the table; without pairs each setting has none."""
+    df = pair_queries.Q["threshold_grid"](spark, SF)
+    assert {x.rsplit("/", 1)[1] for x in df.inputFiles()} == {"documents.parquet"}
+    p = [(len(x.reference), len(x.summary)) for x in mappings.headline_body(spark, SF).collect() if x.summary is not None]
+    exp = {(cr, n): sum(r >= n and r >= s * cr for r, s in p) for cr in (1.0, 1.25, 1.5, 1.75) for n in (20, 35, 50)}
+    assert {(x.min_cr, x.min_ref): x.passing for x in df.collect()} == exp
+    assert [x.passing for x in sieve.passing(pairs(spark, []), sieve.grid(spark)).collect()] == [0] * 12
+    odd = pairs(spark, [(1, "train", None, "x"), (2, "train", "r" * 35, "s" * 20), (3, "test", "r" * 50, None)])
+    assert {(x.min_cr, x.min_ref) for x in sieve.passing(odd, sieve.grid(spark)).collect() if x.passing} == {(c, n) for c in (1.0, 1.25, 1.5, 1.75) for n in (20, 35)}
