@@ -19,6 +19,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -311,8 +312,8 @@ class _Join(Cell):
             lo = hi
         if out:
             x, y = ids.take(pa.array([i for i, _ in out])), self.ids.take(pa.array([j for _, j in out]))
-            less = pa.compute.less(x, y)
-            yield pa.RecordBatch.from_arrays([pa.compute.if_else(less, x, y), pa.compute.if_else(less, y, x)], names=["a", "b"])
+            less = pc.less(x, y)
+            yield pa.RecordBatch.from_arrays([pc.if_else(less, x, y), pc.if_else(less, y, x)], names=["a", "b"])
 
     def close(self) -> Iterator[pa.RecordBatch]:
         yield from ()

@@ -23,6 +23,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -263,7 +264,7 @@ def _starts(lo: int, hi: int, spans: list[tuple[int, int]], s: Settings) -> list
 
 def _flat(lists: pa.ListArray) -> tuple[np.ndarray, list[pa.Array]]:
     """(row of each element, the fields of the elements) of a column of lists of structs."""
-    n = pa.compute.list_value_length(lists).to_numpy(zero_copy_only=False)
+    n = pc.list_value_length(lists).to_numpy(zero_copy_only=False)
     return np.repeat(np.arange(len(n)), n), lists.flatten().flatten()
 
 
@@ -461,7 +462,7 @@ def _rounds(nodes_: DataFrame, seqs: DataFrame, s: Settings, kind: str) -> DataF
         for batch in batches:
             row, (sig, c, l, r, loose, mine, total) = _flat(batch.column(1))  # noqa: E741
             raws, c = batch.column(2).to_pylist(), c.to_numpy().astype(np.int64)
-            at, end, lazy = np.maximum(c - far, 0), c + far + 1, (pa.compute.list_value_length(loose).to_numpy() == 0).tolist()
+            at, end, lazy = np.maximum(c - far, 0), c + far + 1, (pc.list_value_length(loose).to_numpy() == 0).tolist()
             seen: set = set()
             xs, stay = [], np.ones(len(c), bool)
             for i, (k, p, q, z) in enumerate(zip(row.tolist(), at.tolist(), end.tolist(), lazy, strict=True)):

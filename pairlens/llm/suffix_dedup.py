@@ -19,6 +19,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -334,7 +335,7 @@ def repeated_spans(docs: DataFrame, n: int = 50, gram: int = 24, text: str = "te
         types = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()]
         for batch in batches:
             keys, tags = batch.column(0).to_numpy().astype(np.int64), batch.column(1).to_numpy()
-            own, size = batch.column(2).to_pylist(), pa.compute.binary_length(batch.column(3)).to_numpy()
+            own, size = batch.column(2).to_pylist(), pc.binary_length(batch.column(3)).to_numpy()
             copies = np.flatnonzero(~np.array(own, bool))
             if len(copies):
                 yield pa.RecordBatch.from_arrays([pa.array(mix(keys[copies].view(np.uint64)).view(np.int64)), pa.array(keys[copies]), pa.array(tags[copies]), pa.array(np.zeros(len(copies), np.int32)), pa.array(size[copies].astype(np.int32)), pa.nulls(len(copies), pa.binary())], names=names)

@@ -8,6 +8,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -85,7 +86,7 @@ def count_tokens(docs: DataFrame, tokenizer: str, text: str = "text", key: str =
             texts, n = batch.column(1), []
             for part in chunks_of_bytes(texts, WORK_BYTES):
                 n.append(np.diff(count(part)[1]))
-            sizes = pa.compute.coalesce(pa.compute.binary_length(texts), pa.scalar(0, pa.int32())).cast(pa.int64())
+            sizes = pc.coalesce(pc.binary_length(texts), pa.scalar(0, pa.int32())).cast(pa.int64())
             tokens = pa.array(np.concatenate(n) if n else np.zeros(0, np.int64), pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0), sizes, tokens], names=["key", "n_bytes", "n_tokens"])
 

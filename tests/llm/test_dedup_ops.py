@@ -1,4 +1,7 @@
 import random
+import subprocess
+import sys
+from pathlib import Path
 
 import brute
 import numpy as np
@@ -264,3 +267,11 @@ def test_passages_of_nothing(spark):
     df = spark.createDataFrame([], DOCS)
     found = substring_dedup.repeated_passages(df)
     assert found.collect() == [] and substring_dedup.drop_passages(df, found).collect() == []
+
+
+def test_modules_import_what_their_workers_call():
+    """Nobody else may have imported pyarrow.compute in a fresh worker: there the lists of op1's cells are still read."""
+    code = "import pyarrow as pa\nfrom pairlens.llm import substring_dedup\nprint(substring_dedup._flat(pa.array([[{'x': 1}, {'x': 2}], [], [{'x': 3}]]))[0].tolist())\n"
+    code += "import sys\nfrom pairlens.llm import minhash_dedup, suffix_dedup, token_counts\nprint(all(m.pc is sys.modules['pyarrow.compute'] for m in (minhash_dedup, suffix_dedup, token_counts)))"
+    out = subprocess.run([sys.executable, "-c", code], cwd=Path(__file__).resolve().parents[2], capture_output=True, text=True, timeout=120)
+    assert out.stdout.split("\n")[:2] == ["[0, 0, 2]", "True"], out.stderr
