@@ -320,3 +320,49 @@ def test_the_grid_meets_the_documents(spark):
     assert [x.passing for x in sieve.passing(pairs(spark, []), sieve.grid(spark)).collect()] == [0] * 12
     odd = pairs(spark, [(1, "train", None, "x"), (2, "train", "r" * 35, "s" * 20), (3, "test", "r" * 50, None)])
     assert {(x.min_cr, x.min_ref) for x in sieve.passing(odd, sieve.grid(spark)).collect() if x.passing} == {(c, n) for c in (1.0, 1.25, 1.5, 1.75) for n in (20, 35)}
+
+
+def test_vectors_that_share_a_hash(spark, monkeypatch):
+    """Vectors find their counts by hash; those whose hash isn't their own also by their numbers."""
+    monkeypatch.setattr(baselines, "vector_hash", lambda u: C.F.pmod(C.F.xxhash64(u), C.F.lit(5)))
+    r = np.random.default_rng(4)
+    v = np.round(r.standard_normal((60, 3)), 1).astype(np.float32)
+    v[40:] = v[:20]
+    v[0, 0], v[40, 0] = 0.0, -0.0
+    label, ids = np.arange(60) % 2, np.arange(60)
+    ids[58] = ids[56]  # a key twice in its group
+    df = spark.createDataFrame([(int(i), int(g), x) for i, g, x in zip(ids, label, v.tolist(), strict=True)], "vec_id long, label int, embedding array<float>")
+    near = (sum(np.outer(v[:, k].astype(float), v[:, k].astype(float)) for k in range(3)).round(6) >= 0.3) & (label[:, None] == label) & (ids[:, None] != ids)
+    got = sorted((x.vec_id, x.label, x.degree) for x in baselines.vector_degree(df, threshold=0.3).collect())
+    assert got == sorted(zip(ids.tolist(), label.tolist(), near.sum(1).tolist(), strict=True))
+
+
+def test_counts_travel_without_their_vectors(spark):
+    """central_vectors: counts go back to the rows by hash; no join has vectors as keys."""
+    df = pair_queries.Q["central_vectors"](spark, SF)
+    df.collect()
+    keys = re.findall(r"(?:SortMergeJoin|BroadcastHashJoin|ShuffledHashJoin) \[([^\]]*)\], \[([^\]]*)\]", df._jdf.queryExecution().executedPlan().toString())
+    assert keys and not any(re.search(r"\bu#", side) for join in keys for side in join)
+
+
+def test_near_counts_within_halves():
+    r = np.random.default_rng(9)
+    a, n = r.standard_normal((97, 8)).astype(np.float32), r.integers(1, 3, 97)
+    a[50:60] = a[:10]
+    exp = K.near_counts(a, n, a, n, 0.3)[0]
+    for small in (1, 5, 48, 97):
+        assert (K.near_counts_within(a, n, 0.3, small) == exp).all()
+
+
+def test_open_products_in_any_number():
+    """Blocks whose products are all open (huge numbers, NaN) and blocks that end inside a word."""
+    r = np.random.default_rng(10)
+    a, b = np.round(r.standard_normal((300, 4)), 1), np.round(r.standard_normal((301, 4)), 1)
+    a[7], b[9, 1], a[8] = 1e200, float("nan"), 1e-200
+    w = sum(np.outer(a[:, k], b[:, k]) for k in range(4))
+    one = (np.ones(300, np.int64), np.ones(301, np.int64))
+    for t in (0.25, 0.0):
+        near = (w.round(6) >= t) | np.isnan(w)
+        for size in ((240, 2040), (255, 13)):
+            got = K.near_counts(a, one[0], b, one[1], t, *size)
+            assert (got[0] == near.sum(1)).all() and (got[1] == near.sum(0)).all()
